@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from spark_curation.io import table
-from spark_curation.llm import licences, order_minhash, pieces, simhash
+from spark_curation.llm import licences, order_minhash, pieces, pii, simhash
 
 
 def tokenizer_path(name: str = "piece_bpe_32k.model") -> str:
@@ -29,6 +29,10 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op8_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii.digests(pii.find(table(spark, sf_dir, "documents")))
+
+
 def op9_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return order_minhash.fingerprints(table(spark, sf_dir, "documents"))
 
@@ -37,6 +41,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_sentencepiece": op2_sentencepiece,
     "op5_licences": op5_licences,
     "op7_simhash": op7_simhash,
+    "op8_pii": op8_pii,
     "op9_order_minhash": op9_order_minhash,
 }
 
