@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from spark_curation.io import table
-from spark_curation.llm import licences, order_minhash, pieces, pii, simhash
+from spark_curation.llm import decontamination, licences, order_minhash, pieces, pii, quality, simhash
 
 
 def tokenizer_path(name: str = "piece_bpe_32k.model") -> str:
@@ -17,6 +17,14 @@ def tokenizer_path(name: str = "piece_bpe_32k.model") -> str:
     return public_tokenizers.path(name)
 
 
+def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality.classify(table(spark, sf_dir, "documents"))
+
+
+def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.search(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pieces.digests(pieces.encode_documents(table(spark, sf_dir, "documents"), tokenizer_path()))
 
@@ -38,7 +46,9 @@ def op9_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_quality": op1_quality,
     "op2_sentencepiece": op2_sentencepiece,
+    "op3_decontamination": op3_decontamination,
     "op5_licences": op5_licences,
     "op7_simhash": op7_simhash,
     "op8_pii": op8_pii,
@@ -46,5 +56,6 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLES: dict[str, str] = {
+    "op3_decontamination": decontamination.ORACLE,
     "op5_licences": licences.oracle_sql(),
 }
