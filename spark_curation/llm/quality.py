@@ -21,6 +21,8 @@ from pyspark.sql import functions as F
 
 #: Buckets of the hashed scorer, and documents that it is trained on (about).
 BUCKETS, SAMPLE = 4096, 3000
+#: The least score that keeps a document; below one half, since dropping a good text costs more than keeping a bad one.
+KEEP = 0.35
 LABELLERS = ("symbols", "shouting", "pipes", "runs", "variety", "sentences", "letters", "wordsize")
 #: The first labellers are alarms: on a good text they go off with this chance at the most. Without such a
 #: bound the model takes a lone alarm, which all others outvote, for noise.
@@ -147,7 +149,7 @@ def train(docs: DataFrame, sample: int = SAMPLE, text_col: str = "text") -> tupl
 def classify(docs: DataFrame, sample: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, votes, posterior, score, keep)`` for every row.
 
-    ``keep`` is a score of one half or more. A null or empty text has one bad vote and
+    ``keep`` is a score of ``KEEP`` or more. A null or empty text has one bad vote and
     is scored like any other; equal texts get equal scores. Repeated rows and null ids
     stay, an empty table gives none, other columns are ignored.
     """
@@ -158,7 +160,7 @@ def classify(docs: DataFrame, sample: int = SAMPLE, id_col: str = "doc_id", text
             texts = [t.as_py() for t in b.column(1)]
             cast = [votes(t) for t in texts]
             scores = [score(t, p, w) for t, p in zip(texts, cast, strict=True)]
-            columns = [b.column(0), pa.array(cast, pa.string()), pa.array([post.get(p) for p in cast], pa.float64()), pa.array(scores, pa.float64()), pa.array([s >= 0.5 for s in scores], pa.bool_())]
+            columns = [b.column(0), pa.array(cast, pa.string()), pa.array([post.get(p) for p in cast], pa.float64()), pa.array(scores, pa.float64()), pa.array([s >= KEEP for s in scores], pa.bool_())]
             yield pa.RecordBatch.from_arrays(columns, ["doc_id", "votes", "posterior", "score", "keep"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
@@ -173,6 +175,6 @@ def keep_good(docs: DataFrame, sample: int = SAMPLE, text_col: str = "text") ->
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = [t.as_py() for t in b.column(at)]
-            yield b.filter(pa.array([score(t, votes(t), w) >= 0.5 for t in texts], pa.bool_()))
+            yield b.filter(pa.array([score(t, votes(t), w) >= KEEP for t in texts], pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
