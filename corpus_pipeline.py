@@ -1 +1,65 @@
-"""placeholder"""
+"""A corpus from raw documents: good texts, one of each near copy, no test items, no personal data, as token ids.
+
+Each stage takes what the one before kept. All but the last return the columns of
+``documents``.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from spark_curation.io import cut, table
+from spark_curation.llm import decontamination, pieces, pii, quality, simhash
+
+
+def tokenizer_path(name: str = "piece_bpe_32k.model") -> str:
+    """Place of a public vocabulary file on this machine."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def good_texts(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the quality classifier keeps."""
+    return quality.keep_good(docs)
+
+
+def one_of_each(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The document of smallest id of each group of near duplicates."""
+    return simhash.keep_one(docs)
+
+
+def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that contain no benchmark item."""
+    return decontamination.keep_clean(docs, table(spark, sf_dir, "benchmark"))
+
+
+def without_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents with personal data replaced by its kind."""
+    return pii.redact_documents(docs)
+
+
+def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Piece ids of every document, with digests of ids, decoded text and source spans."""
+    encoded = pieces.encode_documents(docs, tokenizer_path())
+    return pieces.digests(encoded, "ids")
+
+
+STAGES = [
+    ("quality", good_texts),
+    ("near_duplicates", one_of_each),
+    ("decontamination", without_benchmark),
+    ("pii", without_personal_data),
+    ("tokens", token_ids),
+]
+
+#: SQL cannot express the trained stages; tests hold them against brute force.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All stages over ``documents``; what a stage keeps is written once before the next reads it."""
+    docs = table(spark, sf_dir, "documents")
+    for _, stage in STAGES[:-1]:
+        docs = cut(stage(spark, docs, sf_dir))
+    return STAGES[-1][1](spark, docs, sf_dir)

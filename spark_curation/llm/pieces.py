@@ -185,12 +185,13 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
     return rows.mapInArrow(run, SCHEMA)
 
 
-def digests(encoded: DataFrame) -> DataFrame:
-    """Digest columns of ``encode_documents``."""
+def digests(encoded: DataFrame, *more: str) -> DataFrame:
+    """Digest columns of ``encode_documents``, and the columns named in ``more`` as they are."""
     return encoded.select(
         "doc_id",
         F.expr("cast(length(ids) / 4 as bigint)").alias("n_tokens"),
         F.sha2("ids", 256).alias("ids_sha256"),
         F.sha2(F.col("decoded").cast("binary"), 256).alias("decoded_sha256"),
         F.sha2(F.concat("begins", "ends"), 256).alias("spans_sha256"),
+        *more,
     )

@@ -138,18 +138,22 @@ def _votes(kind: str) -> Column:
 
 
 def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``(doc_id, c_<kind> ...)``: the valid matches of every kind in every row, with the labellers' votes.
+    """``(doc_id, c_<kind> ...)``: the valid matches of every kind in every row, with the labellers' votes."""
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
+    return _staged(rows, F.col("text"), ["doc_id"])
+
+
+def _staged(df: DataFrame, text: Column, carry: list[str]) -> DataFrame:
+    """``carry`` with c_<kind> for every kind.
 
     Matches and the gaps between them come from one pattern each; a match stands where
     the lengths before it add up to. Each step is a projection of its own, since an
     expression written inside a lambda is worked out again for every element.
     """
     strings, ints = F.array().cast("array<string>"), F.array().cast("array<int>")
-    text = F.col("text")
-    df = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    df = df.select("doc_id", "text", *[(_hint(k, text) & text.rlike(PATTERNS[k])).alias(f"has_{k}") for k in KINDS])
+    df = df.select("*", *[(_hint(k, text) & text.rlike(PATTERNS[k])).alias(f"has_{k}") for k in KINDS])
     df = df.select(
-        "doc_id",
+        *carry,
         *[F.when(F.col(f"has_{k}"), F.split(text, PATTERNS[k], -1)).otherwise(strings).alias(f"g_{k}") for k in KINDS],
         *[F.when(F.col(f"has_{k}"), F.regexp_extract_all(text, F.lit(PATTERNS[k]), F.lit(0))).otherwise(strings).alias(f"m_{k}") for k in KINDS],
     )
@@ -157,7 +161,7 @@ def candidates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     last = lambda k: F.floor((F.size(f"l_{k}") - 1) / BLOCK).cast("int")
     df = df.select("*", *[F.when(F.size(f"l_{k}") > 0, _sums(F.sequence(F.lit(0), last(k)), F.col(f"l_{k}"))).otherwise(ints).alias(f"b_{k}") for k in KINDS])
     df = df.select("*", *[_before(F.col(f"b_{k}")).alias(f"h_{k}") for k in KINDS])
-    return df.select("doc_id", *[_votes(k).alias(f"c_{k}") for k in KINDS])
+    return df.select(*carry, *[_votes(k).alias(f"c_{k}") for k in KINDS])
 
 
 def _lengths(kind: str) -> Column:
@@ -245,11 +249,32 @@ def find(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Dat
     """
     found = cut(candidates(docs, id_col, text_col))
     counts = vote_counts(found)
-    weights = train(counts, posteriors(counts)[0])
+    base, spans = _decided(train(counts, posteriors(counts)[0]))
+    return found.select("doc_id", base.alias("base"), spans.alias("spans"), *[F.size(f"c_{k}").cast("long").alias(f"n_{k}") for k in BASE])
+
+
+def _decided(weights: dict[str, float]) -> tuple[Column, Column]:
+    """Base spans, and these with the spans of other kinds that the classifier accepts."""
     plain = lambda c: F.transform(c, lambda s: F.struct(s["kind"].alias("kind"), s["a"].alias("a"), s["b"].alias("b")))
     base = F.concat(*[plain(F.col(f"c_{k}")) for k in BASE])
     more = [plain(F.filter(f"c_{k}", lambda s: _personal(s, weights))) for k in KINDS if k not in BASE]
-    return found.select("doc_id", base.alias("base"), F.concat(base, *more).alias("spans"), *[F.size(f"c_{k}").cast("long").alias(f"n_{k}") for k in BASE])
+    return base, F.concat(base, *more)
+
+
+def redact_documents(docs: DataFrame, text_col: str = "text", length_col: str = "n_chars") -> DataFrame:
+    """``docs`` with the spans of every text replaced by their kinds, and ``length_col`` (if there) brought up to date.
+
+    One pass over the texts learns the classifier, a second one redacts; rows are
+    neither moved nor joined. Null texts stay null, and other columns stay as they are.
+    """
+    counts = vote_counts(candidates(docs.withColumn("doc_id", F.lit(0)), "doc_id", text_col))
+    packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    whole = F.coalesce(F.col("row")[text_col].cast("string"), F.lit(""))
+    spans = _decided(train(counts, posteriors(counts)[0]))[1]
+    found = _staged(packed, whole, ["row"]).select("row", spans.alias("spans"))
+    done = found.select("row", F.when(F.col("row")[text_col].isNotNull(), redact(F.col("row")[text_col], F.col("spans"))).alias("new"))
+    new = {text_col: F.col("new"), length_col: F.length("new").cast("long")}
+    return done.select(*[(new[c] if c in new else F.col("row")[c]).alias(c) for c in docs.columns])
 
 
 def _listed(spans: Column) -> Column:

@@ -6,15 +6,10 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spark_curation.io import table
-from spark_curation.llm import decontamination, licences, order_minhash, pieces, pii, quality, simhash
-
-
-def tokenizer_path(name: str = "piece_bpe_32k.model") -> str:
-    """Place of a public vocabulary file on this machine."""
-    import public_tokenizers
+import corpus_pipeline
 
-    return public_tokenizers.path(name)
+from spark_curation.io import table
+from spark_curation.llm import decontamination, licences, order_minhash, pieces, pii, quality, simhash, warc_derivatives
 
 
 def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -26,7 +21,11 @@ def op3_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pieces.digests(pieces.encode_documents(table(spark, sf_dir, "documents"), tokenizer_path()))
+    return pieces.digests(pieces.encode_documents(table(spark, sf_dir, "documents"), corpus_pipeline.tokenizer_path()))
+
+
+def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return warc_derivatives.digests(warc_derivatives.derivatives(warc_derivatives.responses(table(spark, sf_dir, "pages"))))
 
 
 def op5_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -49,10 +48,12 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality": op1_quality,
     "op2_sentencepiece": op2_sentencepiece,
     "op3_decontamination": op3_decontamination,
+    "op4_warc": op4_warc,
     "op5_licences": op5_licences,
     "op7_simhash": op7_simhash,
     "op8_pii": op8_pii,
     "op9_order_minhash": op9_order_minhash,
+    "pipeline": corpus_pipeline.run,
 }
 
 ORACLES: dict[str, str] = {

@@ -108,3 +108,16 @@ def near_duplicates(docs: DataFrame, distance: int = 4, width: int = 4, id_col:
     small = named.groupBy("part").agg(F.min("least").alias("component_id"))
     by_fp = named.join(small, "part").select("fp", "component_id")
     return fps.join(by_fp, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def keep_one(docs: DataFrame, distance: int = 4, width: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` that stand for their group: those whose id is the smallest of the component.
+
+    Of rows that share that id one stays. Rows with a null id stay only where no row
+    of their group has an id, and then all do.
+    """
+    found = cut(near_duplicates(docs, distance, width, id_col, text_col))
+    stay = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.count("*").alias("n"))
+    repeated = not stay.where("n > 1 and doc_id is not null").isEmpty()
+    kept = docs.join(stay.select(F.col("doc_id").alias("__stay")), F.col(f"`{id_col}`").eqNullSafe(F.col("__stay")), "left_semi")
+    return kept.dropDuplicates([id_col]) if repeated else kept
