@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 import corpus_pipeline
 
 from spark_curation.io import table
-from spark_curation.llm import decontamination, licences, order_minhash, pieces, pii, quality, simhash, warc_derivatives
+from spark_curation.llm import decontamination, html_tree, licences, order_minhash, pieces, pii, quality, simhash, warc_derivatives
 
 
 def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -32,6 +32,10 @@ def op5_licences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licences.scan(table(spark, sf_dir, "documents"))
 
 
+def op6_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html_tree.extract(table(spark, sf_dir, "pages"))
+
+
 def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
@@ -50,6 +54,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_decontamination": op3_decontamination,
     "op4_warc": op4_warc,
     "op5_licences": op5_licences,
+    "op6_html": op6_html,
     "op7_simhash": op7_simhash,
     "op8_pii": op8_pii,
     "op9_order_minhash": op9_order_minhash,
