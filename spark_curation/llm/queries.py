@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 import corpus_pipeline
 
 from spark_curation.io import table
-from spark_curation.llm import decontamination, html_tree, licences, order_minhash, pieces, pii, quality, simhash, warc_derivatives
+from spark_curation.llm import decontamination, html_tree, licences, order_minhash, passages, pieces, pii, quality, simhash, warc_derivatives
 
 
 def op1_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -48,6 +48,10 @@ def op9_order_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return order_minhash.fingerprints(table(spark, sf_dir, "documents"))
 
 
+def op10_passages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return passages.repeated(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_quality": op1_quality,
     "op2_sentencepiece": op2_sentencepiece,
@@ -58,6 +62,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_simhash": op7_simhash,
     "op8_pii": op8_pii,
     "op9_order_minhash": op9_order_minhash,
+    "op10_passages": op10_passages,
     "pipeline": corpus_pipeline.run,
 }
 
