@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
@@ -40,3 +41,13 @@ def cut(df: DataFrame) -> DataFrame:
     """
     checkpoint_dir(df.sparkSession)
     return df.checkpoint(eager=True)
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of results that nothing refers to any more.
+
+    They go when the driver collects its garbage, which a driver with little to do may
+    not do for hours; called between steps that each shuffle much.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
