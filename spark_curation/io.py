@@ -6,6 +6,7 @@ import gc
 import tempfile
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 TABLES = (
     "region nation customer supplier part orders lineitem events documents "
@@ -51,3 +52,13 @@ def release(spark: SparkSession) -> None:
     """
     gc.collect()
     spark.sparkContext._jvm.System.gc()
+
+
+def fence(df: DataFrame) -> DataFrame:
+    """The same rows behind a generator that predicates and projections do not pass.
+
+    Catalyst writes the definition of every column into a predicate that it pushes
+    below a projection. Over a long chain of derived columns that text grows with every
+    step; a fence after the step keeps it short. Rows do not move.
+    """
+    return df.select(F.inline(F.array(F.struct(*[F.col(f"`{c}`") for c in df.columns]))))

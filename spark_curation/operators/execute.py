@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spark_curation.functions.text import count_words
+from spark_curation.io import fence
 
 
 def _covered(ranges: Column, lid: Column) -> Column:
@@ -54,7 +55,7 @@ def run(df: DataFrame, disable: tuple[str, ...] = (), cut_policy: str = "first")
     )
     raw, kept = F.array_join("lines", "\n"), joined(F.col("__kept"))
     stats = {"provenance": tag, "lines_in": F.size("lines"), "lines_kept": F.size("__kept"), "words_in": count_words(raw), "words_stripped": count_words(raw) - count_words(kept), "words_out": count_words(F.col("text"))}
-    return df.withColumns(stats).drop("__kept", "__edited")
+    return fence(df.withColumns(stats).drop("__kept", "__edited"))
 
 
 def run_relational(df: DataFrame) -> DataFrame:
