@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import time
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -50,8 +51,10 @@ def release(spark: SparkSession) -> None:
     They go when the driver collects its garbage, which a driver with little to do may
     not do for hours; called between steps that each shuffle much.
     """
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(3):  # what the first round frees may hold what the next one finds
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.7)
 
 
 def fence(df: DataFrame) -> DataFrame:
