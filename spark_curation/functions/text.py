@@ -33,10 +33,19 @@ def count(c: Column, pattern: str) -> Column:
     return F.regexp_count(F.coalesce(c, F.lit("")), F.lit(pattern)).cast("long")
 
 
+def let(value: Column, body) -> Column:
+    """``body(value)`` with ``value`` worked out once, though body uses it inside lambdas."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def ngrams(ws: Column, n: int) -> Column:
     """Array of the n-word strings of an array of words, in order; empty if there are fewer words."""
-    at = F.sequence(F.lit(1), F.size(ws) - (n - 1))
-    return F.when(F.size(ws) >= n, F.transform(at, lambda i: F.array_join(F.slice(ws, i, F.lit(n)), " "))).otherwise(F.array().cast("array<string>"))
+
+    def of(w: Column) -> Column:
+        at = F.sequence(F.lit(1), F.size(w) - (n - 1))
+        return F.when(F.size(w) >= n, F.transform(at, lambda i: F.array_join(F.slice(w, i, F.lit(n)), " "))).otherwise(F.array().cast("array<string>"))
+
+    return let(ws, of)
 
 
 def repeats(ws: Column) -> Column:

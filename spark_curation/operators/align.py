@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from spark_curation.functions.text import let
+
 
 def is_subsequence(out: str, src: str) -> bool:
     """Whether ``out`` comes from ``src`` by deletions alone."""
@@ -83,7 +85,7 @@ def to_edit(df: DataFrame, lines: str = "lines", cleaned: str = "cleaned", id_co
 def lines_absent(lines: Column, extracted: Column) -> Column:
     """Flags of the lines that an extractor's text does not have, by whole lines."""
     have = F.transform(F.split(F.coalesce(extracted, F.lit("")), "\n"), lambda x: F.trim(x))
-    return F.transform(lines, lambda x: ~F.array_contains(have, x))
+    return let(have, lambda h: F.transform(lines, lambda x: ~F.array_contains(h, x)))
 
 
 def classify_page_edit(df: DataFrame, src: str = "source", out: str = "body") -> DataFrame:
