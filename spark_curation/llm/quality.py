@@ -69,11 +69,10 @@ def fit_labellers(counts: dict[str, int], rounds: int = 60) -> tuple[dict[str, f
     """Posterior chance of good quality for each vote pattern, and each labeller's chance of a
     yes vote on good and on bad texts, by expectation-maximisation from the votes' majority."""
     patterns = sorted(counts)
-    n = np.array([counts[p] for p in patterns], float)
-    yes = np.array([[c == "1" for c in p] for p in patterns], float).reshape(len(patterns), -1)
-    no = np.array([[c == "0" for c in p] for p in patterns], float).reshape(len(patterns), -1)
-    if not len(patterns):
+    if not patterns:
         return {}, np.full((len(LABELLERS), 2), 0.5)
+    n = np.array([counts[p] for p in patterns], float)
+    yes, no = (np.array([[c == v for c in p] for p in patterns], float) for v in "10")
     post = np.where(no.sum(1) > 0, 0.1, 0.9)  # a bad vote is meant as an alarm
     for _ in range(rounds):
         good, bad = n * post, n * (1 - post)
