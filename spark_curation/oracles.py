@@ -338,3 +338,24 @@ SQL["cube_lineitem"] = "SELECT l_returnflag, l_linestatus, count(*) AS n, round(
 SQL["semi_anti"] = "SELECT c_mktsegment, nullif(count(*) FILTER (b), 0) AS n_semi, nullif(count(*) FILTER (NOT b), 0) AS n_anti FROM (SELECT c_mktsegment, c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 100000) AS b FROM customer) GROUP BY 1"
 SQL["topk_per_group"] = "SELECT o_orderpriority, o_orderkey, place FROM (SELECT o_orderpriority, o_orderkey, CAST(row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS INT) AS place FROM orders) WHERE place <= 3"
 SQL["star_join"] = "SELECT r_name, count(*) AS n, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1"
+SQL["stream_host_lines"] = f"WITH {R}, x AS (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, unnest(lines) AS line FROM rendered), c AS (SELECT host, line, count(*) AS n FROM x GROUP BY 1, 2 HAVING count(*) >= 3) SELECT count(*) AS n_lines, max(n) AS most FROM c"
+SQL["stream_interval_join"] = "SELECT count(*) AS n FROM pages JOIN events ON page_id = event_id WHERE page_id % 5 <> 0"
+
+# ---- targets ----
+_RM = "list_transform(list_filter(string_split({r}, ','), lambda x: x <> ''), lambda x: 'rm ' || CASE WHEN split_part(x, '-', 1) = split_part(x, '-', 2) THEN split_part(x, '-', 1) ELSE x END)"
+_CUTS = f"flatten(list_transform(clean, lambda m: list_transform(regexp_extract_all(m.txt, {q(teachers.FRAGMENT)}), lambda f: 'sub ' || m.lid || ': ' || to_json(f))))"
+T = f"""{P}, target AS (SELECT page_id, verdict, {words_of('raw')} AS page, {words_of('raw')} + len(lines) + {words_of('answer')} AS n_tokens, answer, ops FROM (
+SELECT *, array_to_string(list_concat(['<' || verdict || '>', '<extract>'], {_RM.format(r=ranges(STRIP))}, ['<' || verdict || '>'], CASE verdict WHEN 'edit' THEN list_concat({_RM.format(r=ranges(DROPS))}, {_CUTS}) WHEN 'rewrite' THEN [rewr] ELSE [] END), chr(10)) AS answer,
+{n_ranges(STRIP)} + {n_ranges(DROPS)} + n_cuts AS ops FROM policy))"""
+SQL["target_tokens"] = f"{T} SELECT page_id, verdict, n_tokens, md5(answer) AS answer_md5 FROM target"
+SQL["fit_window"] = f"{T} SELECT verdict, count(*) AS n, max(n_tokens) AS longest FROM target WHERE n_tokens <= 900 GROUP BY 1"
+SQL["outcome_line"] = f"{T} SELECT string_agg(verdict || ' ' || round(100.0 * n / total, 1)::DOUBLE || '%', ', ' ORDER BY verdict) AS line FROM (SELECT verdict, count(*) AS n, CAST(sum(count(*)) OVER () AS DOUBLE) AS total FROM target GROUP BY 1)"
+_DRAW = "(('0x' || substr(md5({x}), 1, 8))::BIGINT / 4294967296.0::DOUBLE)"
+SQL["stage_mixture"] = f"""{T}, k AS (SELECT count(*) FILTER (verdict = 'rewrite')::DOUBLE AS r, count(*) FILTER (verdict <> 'rewrite')::DOUBLE AS o FROM target), d AS (SELECT verdict, {_DRAW.format(x="'0|' || page_id")} AS u FROM target)
+SELECT 1 AS stage, verdict, count(*) AS n FROM d, k WHERE verdict <> 'rewrite' OR u < least(1.0, 0.01 * o / (0.99 * r)) GROUP BY 2
+UNION ALL SELECT 2, verdict, count(*) FROM d, k WHERE verdict = 'rewrite' OR u < least(1.0, r * 0.7 / (0.3 * o)) GROUP BY 2"""
+SQL["pack_sequences"] = f"""{T}, s AS (SELECT page_id, n_tokens, CAST(floor({_DRAW.format(x="page_id::VARCHAR")} * 4) AS INT) AS shard FROM target),
+p AS (SELECT shard, n_tokens, CAST(floor((sum(n_tokens) OVER (PARTITION BY shard ORDER BY page_id ROWS UNBOUNDED PRECEDING) - 1) / 4096.0) AS BIGINT) AS pack_id FROM s) SELECT shard, pack_id, count(*) AS n, CAST(sum(n_tokens) AS BIGINT) AS n_tokens FROM p GROUP BY 1, 2"""
+SQL["output_economy"] = f"{T}, x AS (SELECT {words_of('answer')} AS a, page, ops FROM target WHERE verdict <> 'rewrite') SELECT count(*) AS n, round(sum(a) / CAST(sum(page) AS DOUBLE), 6) AS answer_share, round(corr(a, ops), 4) AS with_ops, round(corr(a, page), 4) AS with_page FROM x"
+SQL["length_profile"] = f"""{E}, {TAGDROP}, {_lined('s', 'page_id')}, {_progs(True)}, c AS (SELECT 'raw' AS pipeline, {words_of('text')} AS t FROM s UNION ALL SELECT 'refiner_lineprog', {words_of('text')} FROM pr WHERE text IS NOT NULL UNION ALL SELECT 'unified', words_out FROM executed WHERE text IS NOT NULL)
+SELECT pipeline, count(*) AS n, CAST(quantile_cont(t, 0.5) AS DOUBLE) AS median_tokens, round(avg(CAST(t < 100 AS DOUBLE)), 6) AS under_100 FROM c GROUP BY 1"""

@@ -30,9 +30,9 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     def put(batch: DataFrame, number: int) -> None:
         batch.write.mode("overwrite").parquet(f"{at}/out/batch={number}")
 
+    put(spark.createDataFrame([], stream.schema), -1)  # so that a stream without rows has a result too
     stream.writeStream.outputMode(mode).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).foreachBatch(put).start().awaitTermination()
-    out = spark.read.schema(stream.schema).option("recursiveFileLookup", "true").parquet(f"{at}/out")
-    return out
+    return spark.read.schema(stream.schema).option("recursiveFileLookup", "true").parquet(f"{at}/out")
 
 
 def timed_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -57,3 +57,21 @@ def sliding(events: DataFrame, size: str = "1 hour", step: str = "30 minutes", l
 
 def sessions(events: DataFrame, gap: str = "1 hour", late: str = "60 days") -> DataFrame:
     return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("session_window.start").alias("start"), "n")
+
+
+def with_labels(stream: DataFrame, labels: DataFrame, key: str) -> DataFrame:
+    """A stream with a table that does not change: the table is read anew for each micro-batch."""
+    return stream.join(labels, key, "left")
+
+
+def with_outputs(pages: DataFrame, outputs: DataFrame, within: str = "2 hours") -> DataFrame:
+    """Arrived pages with the model outputs that come within a time bound: both sides ``(page_id, ts, ...)``, state bounded by watermarks."""
+    a = pages.withWatermark("ts", within)
+    b = outputs.select(F.col("page_id").alias("of"), F.col("ts").alias("done"), "output").withWatermark("done", within)
+    return a.join(b, F.expr(f"page_id = of AND done >= ts AND done <= ts + INTERVAL {within}")).drop("of")
+
+
+def host_lines(stream: DataFrame):
+    """``(host, line, n)``: running counts of a host's lines, the boilerplate signal of a crawl, as keyed state of the engine's own aggregate."""
+    host = F.regexp_extract("url", "^[a-z]+://([^/]+)", 1)
+    return stream.select(host.alias("host"), F.explode("lines").alias("line")).groupBy("host", "line").agg(F.count("*").alias("n"))

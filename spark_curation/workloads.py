@@ -826,3 +826,18 @@ def star_join(s, d):
     li, o, c, n, r = (table(s, d, t) for t in ("lineitem", "orders", "customer", "nation", "region"))
     j = li.join(o, li.l_orderkey == o.o_orderkey).join(c, o.o_custkey == c.c_custkey).join(n, c.c_nationkey == n.n_nationkey).join(r, n.n_regionkey == r.r_regionkey)
     return j.groupBy("r_name").agg(F.count("*").alias("n"), F.round(F.sum(F.col("l_extendedprice") * (1 - F.col("l_discount"))), 2).alias("revenue"))
+
+
+@query
+def stream_host_lines(s, d):
+    r = render.render_pages(streams.source(s, d, "pages", streams.PAGES))
+    return streams.drain(streams.host_lines(r), "complete").where("n >= 3").groupBy().agg(F.count("*").alias("n_lines"), F.max("n").alias("most"))
+
+
+@query
+def stream_interval_join(s, d):
+    """Pages and their outputs, each output half an hour after its page: joined within two hours."""
+    p = streams.timed_pages(s, d).select("page_id", "ts")
+    late = F.when(F.col("page_id") % 5 == 0, F.expr("INTERVAL 3 HOURS")).otherwise(F.expr("INTERVAL 30 MINUTES"))
+    o = streams.timed_pages(s, d).select("page_id", (F.col("ts") + late).alias("ts"), F.lit("<keep>").alias("output"))
+    return streams.drain(streams.with_outputs(p, o).select("page_id")).groupBy().agg(F.count("*").alias("n"))
