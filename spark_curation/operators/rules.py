@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spark_curation.functions.text import count, ngrams, safe_ratio, words
+from spark_curation.io import fence
 
 #: Word lists and thresholds of the stacks.
 STOP_WORDS = ("the", "be", "to", "of", "and", "that", "have", "with")
@@ -92,4 +93,4 @@ def apply(docs: DataFrame, stack: str) -> DataFrame:
     bad = F.lit(False)
     for c in page_rules()[stack].values():
         bad = bad | F.coalesce(c, F.lit(False))
-    return statistics(docs).where(~bad & (F.col("n_words") > 0)).select(*docs.columns)
+    return fence(statistics(fence(docs))).where(~bad & (F.col("n_words") > 0)).select(*docs.columns)

@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spark_curation.functions.text import count_words
-from spark_curation.io import fence
+from spark_curation.io import cut, fence
 from spark_curation.operators import dedup, execute, postfilter, program, refiners, render, rules, scrapers, teachers
 
 Backend = Callable[[DataFrame], DataFrame]
@@ -72,8 +72,8 @@ def cascade(scraper: Callable[[DataFrame], DataFrame], cleaner: str) -> Callable
     by = {"chunkprog": refiners.chunkprog, "lineprog": refiners.lineprog, "orchestrated": refiners.orchestrated}
 
     def run(pages: DataFrame) -> DataFrame:
-        texts = scraper(pages)
-        return (by[cleaner](texts) if cleaner in by else rules.apply(texts, cleaner)).select("page_id", "text").where("text is not null and text <> ''")
+        texts = fence(scraper(pages))
+        return fence((by[cleaner](texts) if cleaner in by else rules.apply(texts, cleaner)).select("page_id", "text")).where("text is not null and text <> ''")
 
     return run
 
@@ -102,5 +102,6 @@ def corpora(pages: DataFrame, names: list[str] | None = None, deduplicate: bool
         out = part if out is None else out.unionByName(part)
     if not deduplicate:
         return out
+    out = cut(out)  # read by the owners of grams and again by what is left
     fell = dedup.ngram(out, id_col="page_id", by=("pipeline",)).select("pipeline", F.col("id").alias("page_id"))
     return out.join(fell, ["pipeline", "page_id"], "left_anti")
