@@ -59,7 +59,7 @@ def with_fingerprints(docs: DataFrame, width: int = 4, id_col: str = "doc_id", t
 
 def segments(distance: int) -> list[tuple[int, int]]:
     """(offset, width) of the fewest segments of which one differs by at most one bit."""
-    k = distance // 2 + 1
+    k = max(2, distance // 2 + 1)
     edges = [BITS * i // k for i in range(k + 1)]
     return [(a, b - a) for a, b in zip(edges, edges[1:], strict=False)]
 
@@ -71,7 +71,7 @@ def _variants(fp: F.Column, distance: int) -> F.Column:
         part = F.shiftrightunsigned(fp, off).bitwiseAND(F.lit((1 << width) - 1))
         for i in range(width):
             left = part.bitwiseAND(F.lit(((1 << width) - 1) ^ (1 << i)))
-            keys.append(left.bitwiseOR(F.lit((off + i) << 48)) if width <= 48 else F.xxhash64(F.lit(off + i), left))
+            keys.append(left.bitwiseOR(F.lit((off + i) << 48)))
     return F.array(*keys)
 
 

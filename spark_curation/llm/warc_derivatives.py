@@ -29,7 +29,7 @@ SCHEMA = (
 _NAMES = [c.split()[0] for c in SCHEMA.split(", ")]
 _KINDS = [pa.int64(), *[pa.string()] * 8, pa.int64(), pa.binary()]
 #: Elements whose content is no text, and elements that end a line.
-_HIDDEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style|head|noscript|template|svg|iframe|object)\b[^>]*>.*?(?:</\1\s*>|\Z)|<!\[CDATA\[|<![^>]*>|<\?[^>]*>", re.S | re.I)
+_HIDDEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style|head|title|noscript|template|svg|iframe|object)\b[^>]*>.*?(?:</\1\s*>|\Z)|<!\[CDATA\[|<![^>]*>|<\?[^>]*>", re.S | re.I)
 _LINE = re.compile(r"</?(?:p|div|li|ul|ol|dl|dt|dd|h[1-6]|nav|article|section|header|footer|main|aside|form|table|tr|blockquote|pre|figure|figcaption|body|html|br|hr|address|fieldset|option)\b[^>]*>", re.I)
 _CELL = re.compile(r"</?t[dh]\b[^>]*>", re.I)
 _TAG = re.compile(r"</?[A-Za-z][^>]*>")
