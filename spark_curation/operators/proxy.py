@@ -37,7 +37,7 @@ def continuation_tasks(items: DataFrame, choices: int = 4, id_col: str = "item_i
     ranked = tails.withColumn("r", F.row_number().over(Window.orderBy("id")) - 1)  # items of a benchmark: a bounded table
     offered = ranked.select("id", "last", F.explode(F.sequence(F.lit(0), F.lit(choices - 1))).alias("choice"), "r").withColumn("from", F.pmod(F.col("r") + F.col("choice"), F.lit(max(n, 1))))
     got = offered.join(ranked.select(F.col("r").alias("from"), "tail"), "from")
-    grams = ngrams(F.concat(F.array("last"), F.slice("tail", 1, 12)), 2)
+    grams = ngrams(F.concat(F.array("last"), F.col("tail")), 2)
     return got.select("id", "choice", F.posexplode(grams).alias("pos", "g")).select("id", "choice", "pos", F.split("g", " ")[0].alias("w1"), F.split("g", " ")[1].alias("w2"))
 
 

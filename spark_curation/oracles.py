@@ -196,7 +196,8 @@ SQL["unique_tokens"] = f"WITH {_G13} SELECT lang AS pipeline, CAST(sum({words_of
 for n in (3, 5):
     SQL[f"distinct_{n}grams"] = f"SELECT lang, count(DISTINCT g) AS n_distinct, count(*) AS n_total, round(count(DISTINCT g) / CAST(count(*) AS DOUBLE), 6) AS share FROM (SELECT lang, array_to_string(w[i:i+{n - 1}], ' ') AS g FROM (SELECT lang, w, unnest(range(1, len(w) - {n - 2})) AS i FROM (SELECT lang, regexp_extract_all(text, '\\S+') AS w FROM documents))) GROUP BY 1"
 SQL["equal_token_cut"] = f"SELECT doc_id, n_tokens FROM (SELECT doc_id, n_tokens, coalesce(sum(n_tokens) OVER (ORDER BY pos, doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS run FROM (SELECT doc_id, {words_of('text')} AS n_tokens, ('0x' || substr(md5(doc_id::VARCHAR), 1, 8))::BIGINT AS pos FROM documents)) WHERE run < 100000"
-SQL["benchmark_hits"] = "SELECT DISTINCT doc_id, item_id FROM (SELECT doc_id, array_to_string(w[i:i+7], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT doc_id, regexp_extract_all(text, '\\S+') AS w FROM documents))) JOIN (SELECT item_id, array_to_string(regexp_extract_all(text, '\\S+')[1:8], ' ') AS g FROM benchmark) USING (g)"
+_G8 = "SELECT DISTINCT {k}, array_to_string(w[i:i+7], ' ') AS g FROM (SELECT {k}, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT {k}, regexp_extract_all(text, '\\S+') AS w FROM {t}))"
+SQL["benchmark_hits"] = f"SELECT doc_id, item_id, count(*) AS n_shared FROM ({_G8.format(k='doc_id', t='documents')}) JOIN ({_G8.format(k='item_id', t='benchmark')}) USING (g) GROUP BY 1, 2"
 SQL["decontaminated"] = f"SELECT lang, count(*) AS n FROM documents WHERE doc_id NOT IN (SELECT doc_id FROM ({SQL['benchmark_hits']})) GROUP BY 1"
 
 
@@ -283,7 +284,7 @@ SQL["chunk_programs"] = f"WITH {R}, {TAGDROP}, {_lined('s', 'page_id')} SELECT p
 PUB = published.values_sql()
 SQL["centered_accuracy"] = "SELECT task, acc, round((acc - chance) / (1 - chance), 6) AS centered FROM (VALUES ('four', 0.25::DOUBLE, 0.25::DOUBLE), ('four', 0.625, 0.25), ('two', 0.4, 0.5), ('two', 1.0, 0.5)) AS t(task, acc, chance)"
 _w = published.TASKS
-SQL["suite_rollup"] = " UNION ALL ".join(f"SELECT pipeline, scale, '{c}' AS category, round({c}, 4) AS score, CAST({n} AS BIGINT) AS n_tasks FROM {PUB}" for c, n in _w.items()) + f" UNION ALL SELECT pipeline, scale, 'all', round(({' + '.join(f'{n} * {c}' for c, n in _w.items())}) / 22, 4), 22 FROM {PUB}"
+SQL["suite_rollup"] = " UNION ALL ".join(f"SELECT pipeline, scale, '{c}' AS category, round({c}, 6) AS score, CAST({n} AS BIGINT) AS n_tasks FROM {PUB}" for c, n in _w.items()) + f" UNION ALL SELECT pipeline, scale, 'all', round(({' + '.join(f'{n} * {c}' for c, n in _w.items())}) / 22, 6), 22 FROM {PUB}"
 SQL["relative_gain"] = f"SELECT a.pipeline, a.scale, round(a.suite / b.suite - 1, 6) AS gain FROM {PUB} a JOIN {PUB} b ON a.scale = b.scale AND b.pipeline = 'rules_b'"
 SQL["scale_ranks"] = f"SELECT * FROM (SELECT pipeline, scale, suite AS score, CAST(dense_rank() OVER (PARTITION BY scale ORDER BY suite DESC) AS INT) AS place FROM {PUB}) WHERE place <= 2"
 SQL["repetition_factor"] = f"SELECT pipeline, scale, round(budget / unique_b, 4) AS repetition FROM {PUB} JOIN (VALUES ('S', 8.2::DOUBLE), ('M', 28.8), ('L', 55.9)) AS b(scale, budget) USING (scale)"
@@ -316,10 +317,10 @@ c AS (SELECT vec_id, v.label, sum(x * m) / sqrt(sum(x * x) * sum(m * m)) AS c FR
 
 # ---- proxy ----
 _BI = "bi AS (SELECT w1, w2, count(*) AS c2 FROM (SELECT w[i] AS w1, w[i+1] AS w2 FROM (SELECT w, unnest(range(1, len(w))) AS i FROM (SELECT regexp_extract_all(lower(text), '\\S+') AS w FROM documents))) GROUP BY 1, 2), model AS (SELECT w1, w2, c2, sum(c2) OVER (PARTITION BY w1) AS c1 FROM bi)"
-SQL["proxy_bigrams"] = f"WITH {_BI} SELECT w1, w2, c2, CAST(c1 AS BIGINT) AS c1 FROM model WHERE c2 >= 40"
+SQL["proxy_bigrams"] = f"WITH {_BI} SELECT w1, w2, c2, CAST(c1 AS BIGINT) AS c1 FROM model"
 SQL["proxy_suite"] = f"""WITH {_BI}, h AS (SELECT item_id AS id, w, len(w) // 2 AS m FROM (SELECT item_id, regexp_extract_all(lower(text), '\\S+') AS w FROM benchmark) WHERE len(w) >= 8),
 t AS (SELECT id, w[m] AS last, w[m+1:] AS tail, row_number() OVER (ORDER BY id) - 1 AS r, count(*) OVER () AS n FROM h),
-o AS (SELECT a.id, c.choice, list_concat([a.last], b.tail[1:12]) AS g FROM t a, (VALUES (0), (1), (2), (3)) AS c(choice) JOIN t b ON b.r = (a.r + c.choice) % a.n),
+o AS (SELECT a.id, c.choice, list_concat([a.last], b.tail) AS g FROM t a, (VALUES (0), (1), (2), (3)) AS c(choice) JOIN t b ON b.r = (a.r + c.choice) % a.n),
 x AS (SELECT id, choice, g[i] AS w1, g[i+1] AS w2 FROM (SELECT id, choice, g, unnest(range(1, len(g))) AS i FROM o)),
 s AS (SELECT id, choice, round(avg(ln((coalesce(c2, 0) + 0.1) / (coalesce(c1, 0) + 10000.0))), 6) AS score FROM x LEFT JOIN model USING (w1, w2) GROUP BY 1, 2),
 b AS (SELECT id, max({{'score': score, 'choice': choice}}) AS best, count(*) AS k FROM s GROUP BY 1)
