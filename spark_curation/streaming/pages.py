@@ -37,7 +37,7 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
 
 def timed_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pages with an arrival time: page k arrives with event k."""
-    events = spark.read.parquet(f"{sf_dir.rstrip('/')}/events.parquet").select("event_id", "ts")
+    events = spark.read.parquet(f"{sf_dir.rstrip('/')}/events.parquet").select("event_id", F.col("ts").cast("timestamp").alias("ts"))
     return source(spark, sf_dir, "pages", PAGES).join(events, F.col("page_id") == F.col("event_id")).drop("event_id")
 
 

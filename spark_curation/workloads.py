@@ -629,7 +629,8 @@ def paired_length(s, d):
 
 @query
 def rewrite_faithfulness(s, d):
-    p = _executed(s, d).where("verdict = 'rewrite'").select("page_id", F.array_join("lines", "\n").alias("source"), F.col("text").alias("out"))
+    kept = F.filter("lines", lambda x, i: ~F.exists("strip", lambda r: (i + 1).between(r["a"], r["b"])))
+    p = _executed(s, d).where("verdict = 'rewrite'").select("page_id", F.array_join(kept, "\n").alias("source"), F.col("text").alias("out"))
     return metrics.soft_match_f1(p).agg(F.count("*").alias("n"), F.round(F.avg("soft_f1"), 4).alias("mean_f1"), F.round(F.avg((F.col("soft_f1") > 0.8).cast("double")), 4).alias("over_08"))
 
 
