@@ -277,6 +277,38 @@ def test_repeated_passages(spark):
     assert a <= 80 and b >= 140
 
 
+def _planted(rng, n, edits, kinds="sid"):
+    """A passage of ``n`` words and a copy with ``edits`` changed, inserted or left out words between its ends."""
+    p = [f"w{rng.randrange(20_000)}" for _ in range(n)]
+    q = list(p)
+    for at in sorted(rng.sample(range(5, n - 5), edits), reverse=True):
+        q[at : at + 1] = {"s": ["changed"], "i": ["more", q[at]], "d": []}[rng.choice(kinds)]
+    return p, q
+
+
+def test_passages_go_on_over_changed_words(spark):
+    rng = random.Random(5)
+    text = lambda n: [f"w{rng.randrange(20_000)}" for _ in range(n)]
+    p = text(60)
+    q = [*p[:15], "changed", *p[16:]]
+    rows = [(1, " ".join(text(40) + p + text(40))), (2, " ".join(text(50) + q + text(30)))]
+    got = {x.doc_id: x.spans for x in passages.repeated(spark.createDataFrame(rows, DOCS)).collect()}
+    assert got == {1: "40:100", 2: "50:110"}
+    found = total = 0
+    for edits, n in ((1, 51), (1, 60), (2, 100), (3, 150)):
+        for _ in range(40):
+            p, q = _planted(rng, n, edits)
+            x, y = (decontamination.shingle_hashes(decontamination.words(" ".join(w)), 5) for w in (p, q))
+            both = len(set(x.tolist()) & set(y.tolist()))
+            if both / (len(x) + len(y) - both) < 0.8 or len(q) < 50:
+                continue
+            total += 1
+            one, two = (decontamination.shingle_hashes(decontamination.words(" ".join(text(k) + w + text(40))), 5) for k, w in ((30, p), (70, q)))
+            hit = (30, 70) if (x[:5] == y[:5]).all() else (30 + len(x) - passages.SPAN, 70 + len(y) - passages.SPAN)
+            found += any(a <= 30 and b >= 30 + len(p) and c <= 70 and d >= 70 + len(q) for a, b, c, d, _ in passages.common_passages(one, two, [hit]))
+    assert total > 80 and found >= 0.95 * total
+
+
 def test_quality_on_labels(spark):
     docs, labels = table(spark, "/root/testdata/sf0.01", "documents"), table(spark, "/root/testdata/sf0.01", "labels")
     rows = quality.classify(docs).join(labels, "doc_id").select("keep", "quality").collect()
