@@ -309,6 +309,26 @@ def test_passages_go_on_over_changed_words(spark):
     assert total > 80 and found >= 0.95 * total
 
 
+def test_passages_of_members_and_repeated_places():
+    for seed in range(3):  # where the minima fall differs
+        rng = random.Random(seed)
+        text = lambda n: [f"w{rng.randrange(20_000)}" for _ in range(n)]
+        shared, twice = text(52), text(60)
+        rows = [
+            (1, text(20) + shared[:47] + text(20)), (2, text(30) + shared + text(10)), (3, text(40) + shared + text(10)),
+            (4, twice + text(440) + twice), (5, text(100) + twice + text(30)),
+        ]
+        windows = sorted((k, d, s, x) for d, w in rows for k, s, x in zip(*(c.tolist() for c in passages.compact_windows(" ".join(w))), strict=True))
+        groups, hits = {}, {}
+        for k, d, s, x in windows:
+            for o, t in groups.setdefault(k, passages.Group()).add(d, s, x):
+                hits.setdefault((d, o), []).append((s, t))
+        h = {d: decontamination.shingle_hashes(decontamination.words(" ".join(w)), 5) for d, w in rows}
+        got = {pair: [x[:4] for x in passages.common_passages(h[pair[0]], h[pair[1]], v)] for pair, v in hits.items()}
+        assert got[3, 2] == [(40, 92, 30, 82)] and not got.get((2, 1)) and not got.get((3, 1))
+        assert got[5, 4] == [(100, 160, 0, 60), (100, 160, 500, 560)]
+
+
 def test_quality_on_labels(spark):
     docs, labels = table(spark, "/root/testdata/sf0.01", "documents"), table(spark, "/root/testdata/sf0.01", "labels")
     rows = quality.classify(docs).join(labels, "doc_id").select("keep", "quality").collect()
