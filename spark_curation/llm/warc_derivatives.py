@@ -29,7 +29,14 @@ SCHEMA = (
 _NAMES = [c.split()[0] for c in SCHEMA.split(", ")]
 _KINDS = [pa.int64(), *[pa.string()] * 8, pa.int64(), pa.binary()]
 #: Elements whose content is no text, and elements that end a line.
-_HIDDEN = re.compile(r"<!--.*?(?:-->|\Z)|<(script|style|head|title|noscript|template|svg|iframe|object)\b[^>]*>.*?(?:</\1\s*>|\Z)|<!\[CDATA\[|<![^>]*>|<\?[^>]*>", re.S | re.I)
+_BLOCK = "p|div|li|ul|ol|dl|dt|dd|h[1-6]|nav|article|section|header|footer|main|aside|form|table|tr|blockquote|pre|figure|figcaption|body|br|hr|address|fieldset"
+_HIDDEN = re.compile(
+    r"<!--.*?(?:-->|\Z)|<(script|style|title)\b[^>]*>.*?(?:</\1\s*>|\Z)|<(?:svg|iframe|object)\b[^>]*/>"
+    r"|<(noscript|template|svg|iframe|object)\b[^>]*>.*?</\2\s*>|<!\[CDATA\[|<![^>]*>|<\?[^>]*>",
+    re.S | re.I,
+)
+#: A head that is not closed before the first block is a mere tag.
+_HEAD = re.compile(rf"<head\b[^>]*>(?:(?!<(?:{_BLOCK})\b).)*?</head\s*>", re.S | re.I)
 _LINE = re.compile(r"</?(?:p|div|li|ul|ol|dl|dt|dd|h[1-6]|nav|article|section|header|footer|main|aside|form|table|tr|blockquote|pre|figure|figcaption|body|html|br|hr|address|fieldset|option)\b[^>]*>", re.I)
 _CELL = re.compile(r"</?t[dh]\b[^>]*>", re.I)
 _TAG = re.compile(r"</?[A-Za-z][^>]*>")
@@ -49,7 +56,7 @@ def record_id(*parts: object) -> str:
 
 def plain_text(page: str) -> str:
     """The page's visible text, one block on a line, character references decoded."""
-    page = _HIDDEN.sub(" ", page)
+    page = _HEAD.sub(" ", _HIDDEN.sub(" ", page))
     page = _LINE.sub("\0", re.sub(r"\s+", " ", page.replace("\0", "")))
     page = html.unescape(_TAG.sub("", _CELL.sub(" ", page)))
     return "\n".join(x for x in (" ".join(part.split()) for part in page.split("\0")) if x)

@@ -329,6 +329,14 @@ def test_passages_of_members_and_repeated_places():
         assert got[5, 4] == [(100, 160, 0, 60), (100, 160, 500, 560)]
 
 
+def test_text_after_elements_that_stay_open():
+    text = warc_derivatives.plain_text
+    assert text("<html><head><title>t</title><body><p>one<p>two") == "one\ntwo"
+    assert text("<html><head><title>t</title>loose <b>text</b><p>one") == "loose text\none"
+    assert text("<p>a<svg width=1/> b<iframe/> c<object> d<p>e") == "a b c d\ne"
+    assert text("<head><title>t</title>x</head><p>a<svg>x</svg> b<script>x") == "a b"
+
+
 def test_quality_on_labels(spark):
     docs, labels = table(spark, "/root/testdata/sf0.01", "documents"), table(spark, "/root/testdata/sf0.01", "labels")
     rows = quality.classify(docs).join(labels, "doc_id").select("keep", "quality").collect()
