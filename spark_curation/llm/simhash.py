@@ -101,23 +101,35 @@ def near_duplicates(docs: DataFrame, distance: int = 4, width: int = 4, id_col:
     null id keep their fingerprint and get the component of its other rows, if any.
     Repeated rows stay; an empty table gives none; other columns are ignored.
     """
+    found = _grouped(docs, distance, width, id_col, text_col)
+    return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+def _grouped(docs: DataFrame, distance: int, width: int, id_col: str, text_col: str) -> DataFrame:
+    """``(doc_id, fp, part, component_id)``: ``part`` tells components apart that share their smallest id."""
     fps = cut(with_fingerprints(docs, width, id_col, text_col))
     nodes = fps.groupBy("fp").agg(F.min("doc_id").alias("least"))
     comp = components(links(nodes.select("fp"), distance))
     named = nodes.join(comp, nodes["fp"] == comp["node"], "left").select("fp", "least", F.coalesce("component", "fp").alias("part"))
     small = named.groupBy("part").agg(F.min("least").alias("component_id"))
-    by_fp = named.join(small, "part").select("fp", "component_id")
-    return fps.join(by_fp, "fp").select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+    by_fp = named.join(small, "part").select("fp", "part", "component_id")
+    return fps.join(by_fp, "fp").select("doc_id", "fp", "part", "component_id")
 
 
 def keep_one(docs: DataFrame, distance: int = 4, width: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` that stand for their group: those whose id is the smallest of the component.
 
-    Of rows that share that id one stays. Rows with a null id stay only where no row
-    of their group has an id, and then all do.
+    Of rows of one component that share that id one stays, one with the smallest
+    fingerprint; unrelated texts that share an id all stay. Rows with a null id stay
+    only where no row of their group has an id, and then all do.
     """
-    found = cut(near_duplicates(docs, distance, width, id_col, text_col))
-    stay = found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.count("*").alias("n"))
-    repeated = not stay.where("n > 1 and doc_id is not null").isEmpty()
-    kept = docs.join(stay.select(F.col("doc_id").alias("__stay")), F.col(f"`{id_col}`").eqNullSafe(F.col("__stay")), "left_semi")
-    return kept.dropDuplicates([id_col]) if repeated else kept
+    found = cut(_grouped(docs, distance, width, id_col, text_col))
+    stay = found.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    key = F.col(f"`{id_col}`").cast("long")
+    if found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null").isEmpty():
+        return docs.join(stay.select(F.col("doc_id").alias("__stay")), key == F.col("__stay"), "left_semi")
+    named = stay.where("doc_id is not null").groupBy("part", "doc_id").agg(F.min("fp").alias("__of")).select(F.col("doc_id").alias("__stay"), "__of")
+    free = stay.where("doc_id is null").select(F.col("fp").alias("__of")).distinct()
+    rows = docs.withColumn("__fp", F.udf(lambda t: fingerprint(t, width), "long")(F.col(f"`{text_col}`").cast("string")))
+    one = rows.where(key.isNotNull()).join(named, (key == F.col("__stay")) & (F.col("__fp") == F.col("__of")), "left_semi").dropDuplicates([id_col, "__fp"])
+    return one.unionByName(rows.where(key.isNull()).join(free, F.col("__fp") == F.col("__of"), "left_semi")).drop("__fp")

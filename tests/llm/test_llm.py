@@ -337,6 +337,14 @@ def test_text_after_elements_that_stay_open():
     assert text("<head><title>t</title>x</head><p>a<svg>x</svg> b<script>x") == "a b"
 
 
+def test_one_of_each_with_null_and_shared_ids(spark):
+    r = random.Random(3)
+    a, b, c, d, e = (" ".join(f"u{r.randrange(9999)}" for _ in range(60)) for _ in range(5))
+    rows = [(1, a), (1, a), (None, a), (2, a), (None, b), (None, b), (None, c), (7, d), (7, e)]
+    got = simhash.keep_one(spark.createDataFrame(rows, DOCS)).collect()
+    assert sorted(map(str, got)) == sorted(map(str, spark.createDataFrame([(1, a), (None, b), (None, b), (None, c), (7, d), (7, e)], DOCS).collect()))
+
+
 def test_quality_on_labels(spark):
     docs, labels = table(spark, "/root/testdata/sf0.01", "documents"), table(spark, "/root/testdata/sf0.01", "labels")
     rows = quality.classify(docs).join(labels, "doc_id").select("keep", "quality").collect()
