@@ -18,12 +18,10 @@ def is_subsequence(out: str, src: str) -> bool:
     return all(c in it for c in out)
 
 
-def _cuts(line: str, new: str, most: int = 8) -> list[str] | None:
+def _cuts(line: str, new: str) -> list[str] | None:
     """Fragments whose first occurrences, removed in turn, make ``new`` of ``line``; none if that can't be."""
     found, rest = [], line
-    for _ in range(most):
-        if rest == new:
-            return found
+    while rest != new:
         head = next((i for i, (a, b) in enumerate(zip(rest, new, strict=False)) if a != b), min(len(rest), len(new)))
         best = None
         for size in range(1, len(rest) - len(new) + 1):
@@ -39,7 +37,7 @@ def _cuts(line: str, new: str, most: int = 8) -> list[str] | None:
             return None
         found.append(best[0])
         rest = best[1]
-    return found if rest == new else None
+    return found
 
 
 def align(lines: list[str], cleaned: str) -> tuple[list[int], list[tuple[int, str]], str | None]:

@@ -81,3 +81,11 @@ def test_archive_and_sinks(spark, tmp_path):
     archive.write_corpus(corpus, str(tmp_path / "out"))
     done = spark.read.parquet(str(tmp_path / "out"))
     assert done.count() == 2 and archive.remaining(corpus, done.where("page_id = 1")).count() == 1
+
+
+def test_many_fragments_of_a_line():
+    from spark_curation.operators.align import align
+
+    line = "to " + " ".join(f"u{i}@x.org word{i}" for i in range(12))
+    drop, cuts, body = align([line, "next"], " ".join(x for x in line.split(" ") if "@" not in x) + "\nnext")
+    assert (drop, len(cuts), body) == ([], 12, None)
