@@ -58,13 +58,14 @@ def size_class(n: int) -> int:
 class Index:
     """Signatures of a block of items, ready to probe with documents."""
 
-    def __init__(self, items: list[tuple[int, str]], width: int = WIDTH, threshold: float = THRESHOLD):
+    def __init__(self, items: list[tuple[int | None, str]], width: int = WIDTH, threshold: float = THRESHOLD):
         self.threshold = threshold
-        #: By shingle width (items shorter than a shingle are one shingle of their own length): item and its shingles.
+        #: By shingle width (items shorter than a shingle are one shingle of their own length): place of an item and its shingles.
         self.items: dict[int, dict[int, frozenset[bytes]]] = defaultdict(dict)
+        self.ids = [key for key, _ in items]
         signed: dict[int, dict[int, list[int]]] = defaultdict(lambda: defaultdict(list))
         every: dict[int, list[np.ndarray]] = defaultdict(list)
-        for key, text in items:
+        for key, (_, text) in enumerate(items):
             ws = words(text)
             if not ws:
                 continue
@@ -86,7 +87,7 @@ class Index:
         bits[(keys >> np.uint64(44)).astype(np.int64)] = True
         return bits
 
-    def hits(self, text: str | None) -> list[tuple[int, int, int]]:
+    def hits(self, text: str | None) -> list[tuple[int | None, int, int]]:
         """(item, its shingles, how many of them the text has) for the items that the text contains."""
         out = []
         ws = words(text)
@@ -105,28 +106,30 @@ class Index:
                 item = self.items[w][key]
                 shared = len(item & have)
                 if shared >= self.threshold * len(item) - 1e-9:
-                    out.append((key, len(item), shared))
+                    out.append((self.ids[key], len(item), shared))
         return out
 
 
-def blocks(benchmark: DataFrame, block: int = BLOCK, id_col: str = "item_id", text_col: str = "text") -> list[list[tuple[int, str]]]:
+def blocks(benchmark: DataFrame, block: int = BLOCK, id_col: str = "item_id", text_col: str = "text") -> list[list[tuple[int | None, str]]]:
     """The items in blocks of a bounded number, each to be held by every worker while the documents pass once."""
-    items = benchmark.select(F.col(id_col).cast("long").alias("item_id"), F.col(text_col).cast("string").alias("text")).where("item_id is not null and text is not null")
+    items = benchmark.select(F.col(id_col).cast("long").alias("item_id"), F.col(text_col).cast("string").alias("text")).where("text is not null").distinct()
     n = -(-items.count() // block)
     parts = (items.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(n)) == i) for i in range(n))
-    return [sorted((r["item_id"], r["text"]) for r in p.collect()) for p in parts]
+    return [sorted(((r["item_id"], r["text"]) for r in p.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1])) for p in parts]
 
 
 def search(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", **kw) -> DataFrame:
     """``(doc_id, item_id, n_item, n_shared, containment)``: each row of ``docs`` with each item that it contains.
 
     Items without words match nothing; one shorter than a shingle must stand whole.
-    Null texts contain nothing. Rows that repeat in ``docs`` give repeated hits; of
-    items that share an id, one is taken.
+    Null texts contain nothing. Rows that repeat in ``docs`` give repeated hits;
+    items that share an id are each searched, equal rows of the benchmark once. Items
+    with a null id are left out here, as no row can name them; ``keep_clean`` has them.
     """
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     out = None
-    for block in blocks(benchmark, **kw):
+    named = benchmark.where(F.col(kw.get("id_col", "item_id")).cast("long").isNotNull())
+    for block in blocks(named, **kw):
         items = rows.sparkSession.sparkContext.broadcast(block)
 
         def run(batches: Iterator[pa.RecordBatch], items=items) -> Iterator[pa.RecordBatch]:
@@ -144,7 +147,7 @@ def search(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_c
 
 
 def keep_clean(docs: DataFrame, benchmark: DataFrame, text_col: str = "text", **kw) -> DataFrame:
-    """The rows of ``docs`` that contain no benchmark item, all columns as they were."""
+    """The rows of ``docs`` that contain no benchmark item, with an id or without; all columns as they were."""
     at = docs.columns.index(text_col)
     for block in blocks(benchmark, **kw):
         items = docs.sparkSession.sparkContext.broadcast(block)

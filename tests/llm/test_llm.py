@@ -345,6 +345,14 @@ def test_one_of_each_with_null_and_shared_ids(spark):
     assert sorted(map(str, got)) == sorted(map(str, spark.createDataFrame([(1, a), (None, b), (None, b), (None, c), (7, d), (7, e)], DOCS).collect()))
 
 
+def test_items_that_share_an_id_or_have_none(spark):
+    texts = [" ".join(f"{k}{i}" for i in range(12)) for k in "abcd"]
+    docs = spark.createDataFrame([(i, f"x {t} y") for i, t in enumerate(texts)], DOCS)
+    items = spark.createDataFrame([(0, texts[0]), (0, texts[1]), (None, texts[2])], "item_id long, text string")
+    assert sorted(r.doc_id for r in decontamination.search(docs, items).collect()) == [0, 1]
+    assert [r.doc_id for r in decontamination.keep_clean(docs, items).collect()] == [3]
+
+
 def test_quality_on_labels(spark):
     docs, labels = table(spark, "/root/testdata/sf0.01", "documents"), table(spark, "/root/testdata/sf0.01", "labels")
     rows = quality.classify(docs).join(labels, "doc_id").select("keep", "quality").collect()
