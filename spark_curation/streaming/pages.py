@@ -64,10 +64,10 @@ def with_labels(stream: DataFrame, labels: DataFrame, key: str) -> DataFrame:
     return stream.join(labels, key, "left")
 
 
-def with_outputs(pages: DataFrame, outputs: DataFrame, within: str = "2 hours") -> DataFrame:
-    """Arrived pages with the model outputs that come within a time bound: both sides ``(page_id, ts, ...)``, state bounded by watermarks."""
-    a = pages.withWatermark("ts", within)
-    b = outputs.select(F.col("page_id").alias("of"), F.col("ts").alias("done"), "output").withWatermark("done", within)
+def with_outputs(pages: DataFrame, outputs: DataFrame, within: str = "2 hours", late: str = "60 days") -> DataFrame:
+    """Arrived pages with the model outputs that come within a time bound: both sides ``(page_id, ts, ...)``, state bounded by watermarks as wide as the disorder of the files."""
+    a = pages.withWatermark("ts", late)
+    b = outputs.select(F.col("page_id").alias("of"), F.col("ts").alias("done"), "output").withWatermark("done", late)
     return a.join(b, F.expr(f"page_id = of AND done >= ts AND done <= ts + INTERVAL {within}")).drop("of")
 
 

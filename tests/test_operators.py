@@ -89,3 +89,22 @@ def test_many_fragments_of_a_line():
     line = "to " + " ".join(f"u{i}@x.org word{i}" for i in range(12))
     drop, cuts, body = align([line, "next"], " ".join(x for x in line.split(" ") if "@" not in x) + "\nnext")
     assert (drop, len(cuts), body) == ([], 12, None)
+
+
+def test_interval_join_over_many_files(spark, tmp_path):
+    import random
+
+    import pyarrow as pa
+    import pyarrow.parquet as pq
+
+    from spark_curation.streaming import pages
+
+    order = list(range(70))
+    random.Random(2).shuffle(order)
+    (tmp_path / "pages.parquet").mkdir()
+    for k, i in enumerate(order):
+        one = pa.table({"page_id": pa.array([i], pa.int64()), "url": [f"u{i}"], "html": ["x"]})
+        pq.write_table(one, str(tmp_path / "pages.parquet" / f"{k:03}.parquet"))
+    timed = lambda: pages.source(spark, str(tmp_path), "pages", pages.PAGES).selectExpr("page_id", "timestamp'2024-01-01' + make_interval(0, 0, 0, 0, cast(6 * page_id AS INT)) AS ts")
+    out = timed().selectExpr("page_id", "ts", "'o' AS output")
+    assert pages.drain(pages.with_outputs(timed(), out)).count() == 70
