@@ -12,7 +12,6 @@ Nothing is missed: the depth makes the search exact, not a matter of recall.
 
 from __future__ import annotations
 
-import re
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -20,36 +19,11 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from xxhash import xxh3_64_intdigest
+
+from spark_curation.llm.shingling import shingle_hashes, shingles, word_hashes, words
 
 #: Words in a shingle, share of an item's shingles that makes a hit, most items held in memory at once.
 WIDTH, THRESHOLD, BLOCK = 5, 0.8, 20_000
-_WORD = re.compile(rb"[0-9a-z\x80-\xff]+")
-_STEP = np.uint64(0x9E3779B97F4A7C15)
-
-
-def words(text: str | None) -> list[bytes]:
-    """Runs of digits, letters a-z (A-Z in lower case) and other scripts."""
-    return _WORD.findall((text or "").encode("utf-8", "surrogatepass").lower())
-
-
-def shingle_hashes(ws: list[bytes], width: int) -> np.ndarray:
-    """Hashes of all runs of ``width`` words, repeats included."""
-    if len(ws) < width:
-        return np.empty(0, np.uint64)
-    h = np.fromiter(map(xxh3_64_intdigest, ws), np.uint64, len(ws))
-    n = len(ws) - width + 1
-    out = np.zeros(n, np.uint64)
-    for j in range(width):
-        out = out * _STEP + h[j : j + n]
-        out ^= out >> np.uint64(29)
-    return out * _STEP
-
-
-def shingles(ws: list[bytes], width: int) -> list[bytes]:
-    return [b" ".join(ws[i : i + width]) for i in range(len(ws) - width + 1)]
-
-
 def size_class(n: int) -> int:
     """The largest size of the class that ``n`` shingles fall into."""
     return (1 << n.bit_length()) - 1
@@ -71,7 +45,7 @@ class Index:
                 continue
             w = min(width, len(ws))
             self.items[w][key] = frozenset(shingles(ws, w))
-            hashes = np.unique(shingle_hashes(ws, w))
+            hashes = np.unique(shingle_hashes(word_hashes(ws), w))
             depth = int((1 - threshold) * size_class(len(hashes)) + 1e-9) + 1
             for h in hashes[:depth].tolist():
                 signed[w][h].append(key)
@@ -92,7 +66,7 @@ class Index:
         out = []
         ws = words(text)
         for w, keys in self.keys.items():
-            h = shingle_hashes(ws, w)
+            h = shingle_hashes(word_hashes(ws), w)
             if not len(h):
                 continue
             some = h[self.seen[w][(h >> np.uint64(44)).astype(np.int64)]]

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from spark_curation.io import table
-from spark_curation.llm import decontamination, graph, html_tree, licences, order_minhash, passages, pieces, pii, quality, queries, simhash, warc_derivatives
+from spark_curation.llm import decontamination, graph, html_tree, licences, order_minhash, passages, pieces, pii, quality, queries, shingling, simhash, warc_derivatives
 from tests.conftest import DATA
 
 DOCS = "doc_id long, text string"
@@ -132,10 +132,10 @@ def test_compiled_map_takes_the_longest_prefix():
 def test_containment_equals_brute_force(spark):
     docs, bench = table(spark, DATA, "documents"), table(spark, DATA, "benchmark")
     want = set()
-    texts = [(d.doc_id, decontamination.words(d.text)) for d in docs.collect()]
+    texts = [(d.doc_id, shingling.words(d.text)) for d in docs.collect()]
     for b in bench.collect():
-        q = set(decontamination.shingles(decontamination.words(b.text), 5))
-        want |= {(i, b.item_id) for i, ws in texts if len(q & set(decontamination.shingles(ws, 5))) >= 0.8 * len(q)}
+        q = set(shingling.shingles(shingling.words(b.text), 5))
+        want |= {(i, b.item_id) for i, ws in texts if len(q & set(shingling.shingles(ws, 5))) >= 0.8 * len(q)}
     got = {(r.doc_id, r.item_id) for r in decontamination.search(docs, bench).collect()}
     assert got == want and want
     blocks = {(r.doc_id, r.item_id) for r in decontamination.search(docs, bench, block=7).collect()}
@@ -262,73 +262,6 @@ def test_next_document_over_bucket_edges(spark):
     assert got == {i * 3: f"t{(i + 1) % 100}" for i in range(100)}
 
 
-def test_repeated_passages(spark):
-    r = random.Random(8)
-    text = lambda n: " ".join(f"v{r.randrange(5000)}" for _ in range(n))
-    passage = [text(60), text(55)]
-    rows = [(i, f"{text(80)} {passage[i % 2]} {text(90)}") for i in range(20)] + [(50 + i, text(300)) for i in range(10)]
-    near = passage[0].split()
-    near[30] = "changed"
-    rows.append((40, text(30) + " " + " ".join(near) + " " + text(30)))
-    got = {x.doc_id: x for x in passages.repeated(spark.createDataFrame(rows, DOCS)).collect()}
-    assert all(got[i].n_passages for i in range(20)) and not any(got[50 + i].n_passages for i in range(10))
-    assert {got[i].class_id for i in range(0, 20, 2)} == {0} and {got[i].class_id for i in range(1, 20, 2)} == {1}
-    a, b = map(int, got[2].spans.split(",")[0].split(":"))
-    assert a <= 80 and b >= 140
-
-
-def _planted(rng, n, edits, kinds="sid"):
-    """A passage of ``n`` words and a copy with ``edits`` changed, inserted or left out words between its ends."""
-    p = [f"w{rng.randrange(20_000)}" for _ in range(n)]
-    q = list(p)
-    for at in sorted(rng.sample(range(5, n - 5), edits), reverse=True):
-        q[at : at + 1] = {"s": ["changed"], "i": ["more", q[at]], "d": []}[rng.choice(kinds)]
-    return p, q
-
-
-def test_passages_go_on_over_changed_words(spark):
-    rng = random.Random(5)
-    text = lambda n: [f"w{rng.randrange(20_000)}" for _ in range(n)]
-    p = text(60)
-    q = [*p[:15], "changed", *p[16:]]
-    rows = [(1, " ".join(text(40) + p + text(40))), (2, " ".join(text(50) + q + text(30)))]
-    got = {x.doc_id: x.spans for x in passages.repeated(spark.createDataFrame(rows, DOCS)).collect()}
-    assert got == {1: "40:100", 2: "50:110"}
-    found = total = 0
-    for edits, n in ((1, 51), (1, 60), (2, 100), (3, 150)):
-        for _ in range(40):
-            p, q = _planted(rng, n, edits)
-            x, y = (decontamination.shingle_hashes(decontamination.words(" ".join(w)), 5) for w in (p, q))
-            both = len(set(x.tolist()) & set(y.tolist()))
-            if both / (len(x) + len(y) - both) < 0.8 or len(q) < 50:
-                continue
-            total += 1
-            one, two = (decontamination.shingle_hashes(decontamination.words(" ".join(text(k) + w + text(40))), 5) for k, w in ((30, p), (70, q)))
-            hit = (30, 70) if (x[:5] == y[:5]).all() else (30 + len(x) - passages.SPAN, 70 + len(y) - passages.SPAN)
-            found += any(a <= 30 and b >= 30 + len(p) and c <= 70 and d >= 70 + len(q) for a, b, c, d, _ in passages.common_passages(one, two, [hit]))
-    assert total > 80 and found >= 0.95 * total
-
-
-def test_passages_of_members_and_repeated_places():
-    for seed in range(3):  # where the minima fall differs
-        rng = random.Random(seed)
-        text = lambda n: [f"w{rng.randrange(20_000)}" for _ in range(n)]
-        shared, twice = text(52), text(60)
-        rows = [
-            (1, text(20) + shared[:47] + text(20)), (2, text(30) + shared + text(10)), (3, text(40) + shared + text(10)),
-            (4, twice + text(440) + twice), (5, text(100) + twice + text(30)),
-        ]
-        windows = sorted((k, d, s, x) for d, w in rows for k, s, x in zip(*(c.tolist() for c in passages.compact_windows(" ".join(w))), strict=True))
-        groups, hits = {}, {}
-        for k, d, s, x in windows:
-            for o, t in groups.setdefault(k, passages.Group()).add(d, s, x):
-                hits.setdefault((d, o), []).append((s, t))
-        h = {d: decontamination.shingle_hashes(decontamination.words(" ".join(w)), 5) for d, w in rows}
-        got = {pair: [x[:4] for x in passages.common_passages(h[pair[0]], h[pair[1]], v)] for pair, v in hits.items()}
-        assert got[3, 2] == [(40, 92, 30, 82)] and not got.get((2, 1)) and not got.get((3, 1))
-        assert got[5, 4] == [(100, 160, 0, 60), (100, 160, 500, 560)]
-
-
 def test_text_after_elements_that_stay_open():
     text = warc_derivatives.plain_text
     assert text("<html><head><title>t</title><body><p>one<p>two") == "one\ntwo"
