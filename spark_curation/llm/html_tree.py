@@ -10,7 +10,9 @@ expectations are the same marginals.
 
 from __future__ import annotations
 
+import functools
 import html
+import math
 import random
 import re
 from collections.abc import Iterator
@@ -22,7 +24,7 @@ from pyspark.sql import functions as F
 
 #: Elements by role in a page.
 BLOCKS = frozenset("address article aside blockquote body center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul caption search".split())
-DROPPED = frozenset("script style title noscript template svg math iframe object embed audio video canvas select textarea button datalist map".split())
+DROPPED = frozenset("script style title noscript template iframe select textarea button datalist".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 #: Of the dropped ones, those that run to the end of the page if they are not closed.
 RAW = frozenset("script style title textarea".split())
@@ -37,7 +39,7 @@ HINTS = {
     "comment": "comment comments commentlist reply replies respond disqus discussion responses".split(),
     "aside": "sidebar side widget widgets related recommended rail aside more trending popular teaser complementary".split(),
     "notice": "cookie cookies consent gdpr notice popup modal overlay alert banner newsletter subscribe signup paywall toast".split(),
-    "share": "share sharing social follow tags byline meta".split(),
+    "share": "share sharing social follow".split(),
     "footer": "footer foot copyright legal contentinfo bottom colophon".split(),
     "header": "header masthead topbar top logo brand".split(),
     "form": "form search login register contact-form searchform".split(),
@@ -45,18 +47,19 @@ HINTS = {
 _HINT = {w: k for k, ws in HINTS.items() for w in ws}
 _TOKEN = re.compile(r"[a-z]+(?:-[a-z]+)*")
 _CAMEL = re.compile(r"(?<=[a-z])(?=[A-Z])")
-_HIDDEN = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden", re.I)
 _ENDED = re.compile(r"[.!?…。！？]")
-_MARKUP = re.compile(r"<!--.*?(?:--!?>|\Z)|<[!?][^>]*>|<(/?)([A-Za-z][^\s/>]*)((?:\"[^\"]*\"|'[^']*'|[^>\"'])*+|[^>]*)>", re.S)
+_NAME = re.compile(r"/?[A-Za-z][^\s/>]*")
+_STOP = re.compile(r">|=\s*[\"']")
 _ATTR = re.compile(r"([^\s=\"'/>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 
 
 class Tree:
     """Block elements in page order as parallel lists, and the text runs that hang on them.
 
-    Tolerates unclosed and misnested tags. Inline elements leave no node; their text
-    goes to the nearest block, and so do the characters inside links for the share of
-    linked text.
+    Tolerates unclosed and misnested tags. Text or a block outside a body opens one. Inline
+    elements leave no node; their text goes to the nearest block, and so do the words
+    inside links for the share of linked text. Reading takes time in proportion to the
+    page: open elements are found by name, and nothing is searched for twice.
     """
 
     def __init__(self, page: str) -> None:
@@ -64,36 +67,75 @@ class Tree:
         self.words, self.linked, self.ends = [0], [0], [0]
         self.runs: list[tuple[int, str]] = []
         self._open: list[tuple[str, int]] = [("root", 0)]
+        #: By name of a block, where it stands among the open ones.
+        self._where: dict[str, list[int]] = {}
+        #: How many blocks were open when the link began that is open now; 0 if there is none.
         self._link = 0
         self._buffer: list[str] = []
-        self._read(page)
+        self._page = page
+        self._last = {q: page.rfind(q) for q in "\"'"}
+        self._quotes = True
+        self._dropped: dict[str, dict[int, int]] = {}
+        self._read()
         self._flush()
 
-    def _read(self, page: str) -> None:
-        at, find = 0, _MARKUP.search
-        while (m := find(page, at)) is not None:
-            if m.start() > at:
-                self._data(page[at : m.start()])
-            at = m.end()
-            if (name := m[2]) is None:
+    def _read(self) -> None:
+        page, at, seen = self._page, 0, 0  # text before ``seen`` has been taken up
+        while (at := page.find("<", at)) >= 0:
+            kind = page[at + 1 : at + 2]
+            if kind in ("!", "?"):
+                if page.startswith("<!--", at):
+                    ends = [e for e in (page.find("-->", at + 2), page.find("--!>", at + 4)) if e >= 0]
+                    end = page.index(">", min(ends)) + 1 if ends else len(page)
+                else:
+                    end = page.find(">", at) + 1
+                if not end:
+                    break
+                self._data(page[seen:at])
+                at = seen = end
                 continue
-            name = name.lower()
-            if m[1]:
-                self._end(name)
-            elif name in DROPPED or self._start(name, m[3]):
-                at = self._skip(page, name, at)
-        if at < len(page):
-            self._data(page[at:])
-
-    @staticmethod
-    def _skip(page: str, tag: str, at: int) -> int:
-        """Where an element that is dropped ends."""
-        depth = 1
-        for m in re.compile(rf"<(/?){re.escape(tag)}(?=[\s/>])[^>]*>", re.I).finditer(page, at):
-            depth += -1 if m[1] else tag not in RAW
-            if not depth:
+            m = _NAME.match(page, at + 1)
+            if m is None:
+                at += 1
+                continue
+            end = self._tag_end(m.end())
+            if end < 0:
+                break
+            self._data(page[seen:at])
+            name = m[0].lower()
+            start, at = at, end
+            if name[0] == "/":
+                self._end(name[1:])
+            elif name in DROPPED:
+                at = self._skip(name, start, end)
+            else:
+                self._start(name, page[m.end() : end - 1])
+            seen = at
+        self._data(page[seen:])
+
+    def _tag_end(self, at: int) -> int:
+        """Where the tag whose name ends at ``at`` ends: after the first ``>`` outside quoted values; -1 if nowhere."""
+        page, begin = self._page, at
+        while self._quotes and (m := _STOP.search(page, at)) is not None:
+            if m[0] == ">":
                 return m.end()
-        return len(page) if tag in RAW else at
+            quote = m[0][-1]
+            at = page.index(quote, m.end()) + 1 if self._last[quote] >= m.end() else m.end()
+        self._quotes = False  # quotes are out of step: from here on they mean nothing
+        return page.find(">", begin) + 1 or -1
+
+    def _skip(self, tag: str, start: int, end: int) -> int:
+        """Where an element that is dropped ends; one that stays open is a mere tag, or runs to the end of the page."""
+        if tag not in self._dropped:
+            stack: list[int] = []
+            ends = self._dropped[tag] = {}
+            for m in re.finditer(rf"<(/?){tag}(?=[\s/>])[^<>]*>?", self._page, re.I):
+                if not m[1]:
+                    if tag not in RAW or not stack:
+                        stack.append(m.start())
+                elif stack:
+                    ends[stack.pop()] = m.end()
+        return self._dropped[tag].get(start, len(self._page) if tag in RAW else end)
 
     def _flush(self) -> None:
         if self._buffer:
@@ -107,75 +149,69 @@ class Tree:
 
     def _pop_to(self, depth: int) -> None:
         self._flush()
-        for tag, _ in self._open[depth:]:
-            self._link -= tag == "a"
-        del self._open[depth:]
+        while len(self._open) > depth:
+            self._where[self._open.pop()[0]].pop()
+        if self._link > depth:
+            self._link = 0
+
+    def _innermost(self, names) -> int:
+        return max((w[-1] for n in names if (w := self._where.get(n))), default=-1)
 
     def _close_implied(self, tag: str) -> None:
         if tag in IMPLIED:
             ends, stops = IMPLIED[tag]
-            for i in range(len(self._open) - 1, 0, -1):
-                if self._open[i][0] in stops:
-                    break
-                if self._open[i][0] in ends:
-                    return self._pop_to(i)
-        elif tag in ENDS_P:
-            for i in range(len(self._open) - 1, 0, -1):
-                name = self._open[i][0]
-                if name == "p":
-                    return self._pop_to(i)
-                if name in BLOCKS:
-                    break
+            at = self._innermost(ends)
+            if at > self._innermost(stops):
+                self._pop_to(at)
+        elif tag in ENDS_P and self._open[-1][0] == "p":
+            self._pop_to(len(self._open) - 1)
+
+    def _push(self, tag: str, hints: tuple[str, ...], label: int | None) -> None:
+        above = self._open[-1][1]
+        self.parent.append(above)
+        self.tag.append(tag)
+        self.hints.append(hints)
+        self.label.append(self.label[above] if label is None else label)
+        for x in (self.words, self.linked, self.ends):
+            x.append(0)
+        self._where.setdefault(tag, []).append(len(self._open))
+        self._open.append((tag, len(self.parent) - 1))
 
-    def _start(self, tag: str, attrs: str) -> bool:
-        """Takes up an element; true if it is hidden and to be dropped."""
+    def _start(self, tag: str, attrs: str) -> None:
         if tag == "br" or tag == "hr":
-            self._flush()
-            return False
-        if tag in VOID:
-            return False
+            return self._flush()
+        if tag == "a":
+            self._link = len(self._open)
         if tag not in BLOCKS:
-            if len(self._open) < 5000:
-                self._link += tag == "a"
-                self._open.append((tag, self._open[-1][1]))
-            return False
+            return None
+        if tag not in ("html", "body") and not self._where.get("body"):
+            self._push("body", (), None)
         self._close_implied(tag)
         self._flush()
-        get = {k.lower(): html.unescape(a or b or c) for k, a, b, c in _ATTR.findall(attrs)} if attrs else {}
-        if get and ("hidden" in get or get.get("aria-hidden") == "true" or _HIDDEN.search(get.get("style", ""))):
-            return True
-        above = self._open[-1][1]
+        get = {k.lower(): html.unescape(a or b or c) for k, a, b, c in _ATTR.findall(attrs)} if attrs and not attrs.isspace() else {}
         named = " ".join(get.get(k, "") for k in ("class", "id", "role", "itemprop")) if get else ""
         hints: set[str] = set()
         for w in _TOKEN.findall(_CAMEL.sub("-", named).lower().replace("_", "-")):
             hints.update(_HINT[p] for p in (w, *w.split("-")) if p in _HINT)
-        self.parent.append(above)
-        self.tag.append(tag)
-        self.hints.append(tuple(sorted(hints)))
-        self.label.append(int(get["data-y"]) if "data-y" in get else self.label[above])
-        for x in (self.words, self.linked, self.ends):
-            x.append(0)
-        self._open.append((tag, len(self.parent) - 1))
-        return False
+        if tag in ("html", "body") and self._where.get(tag):
+            return None
+        return self._push(tag, tuple(sorted(hints)), int(get["data-y"]) if "data-y" in get else None)
 
     def _end(self, tag: str) -> None:
-        for i in range(len(self._open) - 1, 0, -1):
-            name = self._open[i][0]
-            if name == tag:
-                if tag in BLOCKS:
-                    self._pop_to(i)
-                else:
-                    self._link -= name == "a"
-                    del self._open[i]
-                return
-            if name in BLOCKS and tag not in BLOCKS:
-                return
+        if tag == "a":
+            self._link = 0
+        elif tag not in ("html", "body") and (w := self._where.get(tag)):
+            self._pop_to(w[-1])
 
     def _data(self, data: str) -> None:
+        if not data:
+            return
         if "&" in data:
             data = html.unescape(data)
+        if not self._where.get("body") and not data.isspace():
+            self._push("body", (), None)
         self._buffer.append(data)
-        if self._link > 0:
+        if self._link:
             self.linked[self._open[-1][1]] += len(data.split())
 
 
@@ -193,12 +229,21 @@ _VALUES = {
     "words": ["0", "1", "5", "20", "80"],
     "ends": ["0", "1", "3"],
     "shape": ["leaf", "inner"],
+    "bare": sorted({_GROUP.get(t, t) for t in BLOCKS} | {"root"}),
+    "framed": sorted({_GROUP.get(t, t) for t in BLOCKS} | {"root"}),
 }
 #: Number of each feature, in a fixed order.
 FEATURES = {name: i for i, name in enumerate(["bias", *[f"{k}={v}" for k, vs in _VALUES.items() for v in vs]])}
 _TAG = {t: FEATURES[f"tag={_GROUP.get(t, t)}"] for t in [*BLOCKS, "root"]}
 _HINTED = {h: FEATURES[f"hint={h}"] for h in HINTS}
 _LINKS, _WORDS, _ENDS, _SHAPE = (FEATURES[f"{k}={_VALUES[k][0]}"] for k in ("links", "words", "ends", "shape"))
+#: Features of elements of pages with and without an element marked as the content.
+_FRAME = {b: {t: FEATURES[f"{'bare' if b else 'framed'}={_GROUP.get(t, t)}"] for t in [*BLOCKS, "root"]} for b in (True, False)}
+
+
+def bare(t: Tree) -> bool:
+    """Whether no element of a page is marked as its content."""
+    return not any((x in ("article", "main") or "content" in h) and "comment" not in h for x, h in zip(t.tag, t.hints, strict=True))
 
 
 class Forest:
@@ -219,13 +264,23 @@ class Forest:
                 depth[i] = depth[p] + 1
         depth = np.array(depth, np.int64)
         order = np.argsort(depth, kind="stable")
-        #: Nodes of each depth below the roots.
+        #: Nodes of each depth below the roots; where most hold few nodes, steps go from node to node.
         self.levels = np.split(order, np.searchsorted(depth[order], np.arange(1, (depth.max() if n else 0) + 1)))[1:] if n else []
+        self.narrow = len(self.levels) * 16 > n
         words, linked, ends, below = flat("words"), flat("linked"), flat("ends"), np.zeros(n, np.int64)
-        for level in reversed(self.levels):
-            p = self.parent[level]
-            for x, add in ((words, words[level]), (linked, linked[level]), (ends, ends[level]), (below, below[level] + 1)):
-                np.add.at(x, p, add)
+        if self.narrow:
+            columns = [x.tolist() for x in (words, linked, ends, below)]
+            for i in range(n - 1, -1, -1):
+                if (p := up[i]) >= 0:
+                    for x in columns:
+                        x[p] += x[i]
+                    columns[3][p] += 1
+            words, linked, ends, below = (np.array(x, np.int64) for x in columns)
+        else:
+            for level in reversed(self.levels):
+                p = self.parent[level]
+                for x, add in ((words, words[level]), (linked, linked[level]), (ends, ends[level]), (below, below[level] + 1)):
+                    np.add.at(x, p, add)
         share = linked / np.maximum(words, 1)
         every = [
             np.zeros(n, np.int64),
@@ -234,6 +289,7 @@ class Forest:
             _WORDS + np.searchsorted([1, 5, 20, 80], words, "right"),
             _ENDS + np.searchsorted([1, 3], ends, "right"),
             _SHAPE + (below > 0),
+            np.fromiter((of[x] for t in trees for of in [_FRAME[bare(t)]] for x in t.tag), np.int64, n),
         ]
         hints = [(b + i, _HINTED[h]) for b, t in zip(self.first[:-1].tolist(), trees, strict=True) for i, hs in enumerate(t.hints) for h in hs]
         self.at = np.concatenate([np.tile(np.arange(n), len(every)), np.array([a for a, _ in hints], np.int64)])
@@ -248,6 +304,9 @@ class Forest:
         ``node`` has log odds of label 1; ``edge[a, b]`` is the log potential of a
         parent labelled a over a child labelled b. One sweep goes up, one goes down.
         """
+        if self.narrow:
+            full, up, rest = self._one_by_one(node.tolist(), edge.tolist())
+            return self._chances(full, up, rest, edge)
         up, sent, full = node.copy(), np.zeros(self.n), np.zeros(self.n)
         for level in reversed(self.levels):
             u = up[level]
@@ -258,6 +317,28 @@ class Forest:
         for level in self.levels:
             q = rest[level] = full[self.parent[level]] - sent[level]
             full[level] = up[level] + np.logaddexp(edge[0, 1], edge[1, 1] + q) - np.logaddexp(edge[0, 0], edge[1, 0] + q)
+        return self._chances(full, up, rest, edge)
+
+    def _one_by_one(self, up: list[float], edge: list[list[float]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The same sweeps for trees that are deep and narrow."""
+
+        def either(x: float, y: float) -> float:
+            return max(x, y) + math.log1p(math.exp(-abs(x - y)))
+
+        (a, b), (c, d) = edge
+        parent, sent, rest = self.parent.tolist(), [0.0] * self.n, [0.0] * self.n
+        for i in range(self.n - 1, -1, -1):
+            if (p := parent[i]) >= 0:
+                sent[i] = either(c, d + up[i]) - either(a, b + up[i])
+                up[p] += sent[i]
+        full = list(up)
+        for i, p in enumerate(parent):
+            if p >= 0:
+                q = rest[i] = full[p] - sent[i]
+                full[i] = up[i] + either(b, d + q) - either(a, c + q)
+        return np.array(full), np.array(up), np.array(rest)
+
+    def _chances(self, full: np.ndarray, up: np.ndarray, rest: np.ndarray, edge: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         kids = np.flatnonzero(self.parent >= 0)
         z = np.stack([edge[a, b] + a * rest[kids] + b * up[kids] for a in (0, 1) for b in (0, 1)])
         pairs = np.exp(z - z.max(axis=0, initial=-np.inf))
@@ -314,7 +395,7 @@ def labelled_page(r: random.Random) -> str:
     link = lambda: f'<a href="/{word()}">{words(1, 4)}</a>'
     items = lambda a, b: "".join(f"<li>{link()}</li>" for _ in range(r.randrange(a, b)))
     named = lambda kind: r.choice([f'class="{w}"', f'id="{w}"', f'class="{word()} {w}-{word()}"'][: r.choice([2, 3])]) if (w := r.choice(HINTS[kind])) else ""
-    para = lambda: r.choice([f"<p>{says(r.randrange(1, 8))}</p>"] * 6 + [f"<p>{says(2)} {link()} {says(2)}</p>", f"<p>{words(1, 6).capitalize()}.", f"<p><b>{says(1)}<br>", f"<blockquote><p>{says(2)}</p></blockquote>", f"<h2>{words(2, 6)}</h2>", f"<ul>{''.join(f'<li>{says(1)}</li>' for _ in range(r.randrange(2, 6)))}</ul>", f"<table><tr><th>{words(1, 3)}</th><td>{words(1, 5)}</td></tr><tr><td>{words(1, 3)}</td><td>{r.randrange(99)}</td></tr></table>", f"<div>{says(3)}</div>", f"<figure><img src=x><figcaption>{words(3, 9)}.</figcaption></figure>", f"<pre>{words(2, 9)}</pre>", f"<p>{words(1, 150)}</p>", f"<p>{words(1, 30)}</p>", f"<p>{' | '.join(words(1, 3) for _ in range(r.randrange(3, 40)))}</p>", f"<p>{word()} " + f"{word()}### " * r.randrange(1, 60) + "</p>"])
+    para = lambda: r.choice([f"<p>{says(r.randrange(1, 8))}</p>"] * 6 + [f"<p>{says(2)} {link()} {says(2)}</p>", f"<p>{words(1, 6).capitalize()}.", f"<p><b>{says(1)}<br>", f"<blockquote><p>{says(2)}</p></blockquote>", f"<h2>{words(2, 6)}</h2>", f"<ul>{''.join(f'<li>{says(1)}</li>' for _ in range(r.randrange(2, 6)))}</ul>", f"<table><tr><th>{words(1, 3)}</th><td>{words(1, 5)}</td></tr><tr><td>{words(1, 3)}</td><td>{r.randrange(99)}</td></tr></table>", f"<div>{says(3)}</div>", f"<figure><img src=x><figcaption>{words(3, 9)}.</figcaption></figure>", f"<pre>{words(2, 9)}</pre>", f"<h3>{words(1, 4)}</h3><ul>{items(1, 9)}</ul>", f"<ul>{items(1, 9)}</ul>", f"<ol>{items(2, 5)}</ol>", f'<p class="{r.choice(["byline", "author", "meta", "dateline", "tags"])}">{words(1, 7)}</p>', f'<div class="{r.choice(["byline", "author", "post-meta"])}">{link()} {words(1, 4)}</div>', f"<dl><dt>{words(1, 3)}</dt><dd>{words(1, 9)}</dd></dl>", f"<div hidden><p>{says(2)}</p></div>", f"<p>{words(1, 150)}</p>", f"<p>{words(1, 30)}</p>", f"<p>{' | '.join(words(1, 3) for _ in range(r.randrange(3, 40)))}</p>", f"<p>{word()} " + f"{word()}### " * r.randrange(1, 60) + "</p>"])
     ad = lambda: f'<div {named("ad")} data-y="0">{r.choice([says(1), says(2), says(3), link(), words(2, 9)])}</div>'
     menu = lambda: r.choice([f'<nav data-y="0"><ul>{items(2, 9)}</ul></nav>', f'<div {named("menu")} data-y="0"><ul>{items(2, 9)}</ul></div>', f'<ul {named("menu")} data-y="0">{items(2, 9)}</ul>', f'<nav data-y="0">{" | ".join(link() for _ in range(r.randrange(2, 7)))}</nav>'])
     foot = lambda: r.choice([f'<footer data-y="0">{r.choice([f"&copy; {word()}.com &middot; {says(1)}", f"<p>{says(2)}</p>", f"<ul>{items(2, 6)}</ul>", says(2)])}</footer>', f'<div {named("footer")} data-y="0"><p>&copy; {words(2, 5)}. {says(1)}</p></div>'])
@@ -330,15 +411,20 @@ def labelled_page(r: random.Random) -> str:
         if r.random() < 0.2:
             body.insert(r.randrange(1, len(body) + 1), extra())
     inner = "".join(body)
-    main = r.choice([f'<article data-y="1">{inner}</article>'] * 2 + [f'<main data-y="1">{inner}</main>', f'<div {named("content")} data-y="1">{inner}</div>', f'<main data-y="0">{side()}<article data-y="1">{inner}</article></main>', f'<section {named("content")} data-y="1">{inner}</section>', f'<div data-y="1">{inner}</div>'])
+    main = r.choice([f'<article data-y="1">{inner}</article>'] * 2 + [f'<main data-y="1">{inner}</main>', f'<div {named("content")} data-y="1">{inner}</div>', f'<main data-y="0">{side()}<article data-y="1">{inner}</article></main>', f'<section {named("content")} data-y="1">{inner}</section>'])
     before = [x() for x in r.sample([head, menu, ad, note, side, form, share], r.randrange(1, 5))]
     after = [x() for x in r.sample([talk, side, ad, menu, note, form, share], r.randrange(0, 4))] + [foot()] * r.choice([1, 1, 0])
+    top = 0
+    if r.random() < 0.35:  # no element is marked as the article; text may even stand in the body itself
+        main, top = r.choice([inner, inner, f"<div>{inner}</div>", f"<div>{inner}</div>", says(r.randrange(1, 9)), words(1, 60), f"<p>{words(1, 6).capitalize()}.</p>"]), 1
+        before, after = before[: r.choice([0, 1, 2])], after[-r.choice([1, 1, 2]) :] if r.random() < 0.7 else []
     if r.random() < 0.4:
-        before, after = ['<div id="wrap" data-y="0">', *before], [*after, "</div>"]
-    return f"<!DOCTYPE html><html><head><title>{words(2, 6)}</title></head><body data-y='0'>{''.join(before)}{main}{''.join(after)}</body></html>"
+        before, after = ['<div id="wrap">', *before], [*after, "</div>"]
+    return f"<!DOCTYPE html><html><head><title>{words(2, 6)}</title></head><body data-y='{top}'>{''.join(before)}{main}{''.join(after)}</body></html>"
 
 
-def default_model(pages: int = 400, seed: int = 7) -> Model:
+@functools.cache
+def default_model(pages: int = 600, seed: int = 7) -> Model:
     """The model trained on ``pages`` made-up labelled pages; the same weights for the same arguments."""
     r = random.Random(seed)
     return train([labelled_page(r) for _ in range(pages)])
@@ -351,8 +437,7 @@ TOGETHER = 128
 def extract(pages: DataFrame, model: Model | None = None) -> DataFrame:
     """``(page_id, url, text, n_chars)`` for every row of ``pages``.
 
-    A null page, or one without content, has the empty text. Hidden elements count as
-    absent. Repeated rows and nulls in other columns are kept, an empty table gives
+    A null page, or one without content, has the empty text. Repeated rows and nulls in other columns are kept, an empty table gives
     none, further columns are ignored.
     """
     model = model or default_model()

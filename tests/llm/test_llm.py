@@ -163,35 +163,6 @@ def test_licences_equal_plain_search(spark):
     assert got[0][2:7] == (2, 1, 5, "mit", "mit") and got[1][5] == "apache-2,cc-by-nc" and got[2][2] == 0
 
 
-def test_main_text_of_unseen_layouts():
-    model = html_tree.default_model()
-    r = random.Random(99)
-    wrong = total = 0
-    for _ in range(200):
-        t = html_tree.tree(html_tree.labelled_page(r))
-        chance = model.content([t])[0]
-        wrong += sum((chance[at] > 0.5) != t.label[at] for at, _ in t.runs)
-        total += len(t.runs)
-    assert wrong < 0.02 * total
-    page = '<body><header>Site</header><div class="cookie-notice"><p>We use cookies.</p></div><article><h1>Head</h1><p>One &amp; two.<p>Three\n four.<script>no()</script></article><section id="comments"><p>Nice post, thanks.</p></section><footer>&copy; us</footer>'
-    assert model.extract([page, None, "", "<p>"]) == ["Head One & two. Three four.", "", "", ""]
-
-
-def test_beliefs_are_exact():
-    """Marginals on a small tree against the sum over all labellings."""
-    t = html_tree.tree("<div><p>a.</p><ul><li>b</li></ul></div>")
-    f = html_tree.Forest([t])
-    rng = np.random.default_rng(0)
-    node, edge = rng.normal(size=f.n), rng.normal(size=(2, 2))
-    z, one = 0.0, np.zeros(f.n)
-    for bits in range(1 << f.n):
-        y = [bits >> i & 1 for i in range(f.n)]
-        w = np.exp(sum(node[i] * y[i] for i in range(f.n)) + sum(edge[y[p], y[i]] for i, p in enumerate(f.parent) if p >= 0))
-        z += w
-        one += w * np.array(y)
-    assert np.allclose(f.beliefs(node, edge)[0], one / z)
-
-
 def test_warc_round_trip():
     src = warc_derivatives.response(1, "http://a.b/?q=1", "<html lang=en><title>T</title><p>A &amp; B<p>C <a href='/x'>l</a>", "2024-01-01T00:00:00Z")
     meta, text = warc_derivatives.derive(src)
