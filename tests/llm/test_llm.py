@@ -138,9 +138,10 @@ def test_containment_equals_brute_force(spark):
         want |= {(i, b.item_id) for i, ws in texts if len(q & set(shingling.shingles(ws, 5))) >= 0.8 * len(q)}
     got = {(r.doc_id, r.item_id) for r in decontamination.search(docs, bench).collect()}
     assert got == want and want
-    blocks = {(r.doc_id, r.item_id) for r in decontamination.search(docs, bench, block=7).collect()}
-    assert blocks == want
-    assert decontamination.keep_clean(docs, bench).count() == docs.count() - len({d for d, _ in want})
+    joined = decontamination.search(docs, bench, held=0)
+    assert sorted(joined.collect()) == sorted(decontamination.search(docs, bench).collect())
+    for held in (0, decontamination.HELD):
+        assert decontamination.keep_clean(docs, bench, held=held).count() == docs.count() - len({d for d, _ in want})
 
 
 def test_near_copies_of_items_count(spark):
@@ -148,7 +149,33 @@ def test_near_copies_of_items_count(spark):
     changed = ws[:39] + ["other"]
     docs = spark.createDataFrame([(1, "pre " * 500 + " ".join(changed) + " post" * 500), (2, " ".join(ws[:25])), (3, "A b")], DOCS)
     bench = spark.createDataFrame([(7, " ".join(ws)), (8, "a B")], "item_id long, text string")
-    assert {(r.doc_id, r.item_id) for r in decontamination.search(docs, bench).collect()} == {(1, 7), (3, 8)}
+    for held in (0, decontamination.HELD):
+        assert {(r.doc_id, r.item_id) for r in decontamination.search(docs, bench, held=held).collect()} == {(1, 7), (3, 8)}
+
+
+def test_containment_at_other_sizes_and_thresholds(spark):
+    """Scattered shingles, items of 1 to 200 words, against all pairs, by index and by join."""
+    r = random.Random(12)
+    pool = [f"p{i}" for i in range(60)]
+    some = lambda n: " ".join(r.choice(pool) for _ in range(n))
+    items = [(i, some(r.choice([1, 2, 4, 5, 6, 9, 20, 200]))) for i in range(40)]
+    docs = [(i, " ".join(some(r.randrange(40)) + " " + (t if r.random() < 0.6 else t[: len(t) * 3 // 4]) for t in r.sample([t for _, t in items], 2))) for i in range(60)]
+    docs += [docs[0], (None, docs[1][1]), (99, None)]
+    sh = lambda ws, w: {tuple(ws[i : i + w]) for i in range(len(ws) - w + 1)}
+    d, b = spark.createDataFrame(docs, DOCS), spark.createDataFrame(items, "item_id long, text string")
+    for threshold in (0.5, 0.8, 1.0):
+        want = []
+        for k, t in docs:
+            for i, x in items:
+                w = min(5, len(x.split()))
+                q = sh(x.split(), w)
+                n = len(q & sh((t or "").split(), w))
+                want += [(k, i, len(q), n)] if n >= threshold * len(q) - 1e-9 else []
+        for held in (0, decontamination.HELD):
+            got = [tuple(x)[:4] for x in decontamination.search(d, b, held=held, threshold=threshold).collect()]
+            assert sorted(got, key=str) == sorted(want, key=str) and want
+            clean = decontamination.keep_clean(d, b, held=held, threshold=threshold)
+            assert sorted(map(str, clean.collect())) == sorted(str(x) for x in d.collect() if not any(w[0] == x.doc_id for w in want))
 
 
 def test_licences_equal_plain_search(spark):
@@ -253,8 +280,9 @@ def test_items_that_share_an_id_or_have_none(spark):
     texts = [" ".join(f"{k}{i}" for i in range(12)) for k in "abcd"]
     docs = spark.createDataFrame([(i, f"x {t} y") for i, t in enumerate(texts)], DOCS)
     items = spark.createDataFrame([(0, texts[0]), (0, texts[1]), (None, texts[2])], "item_id long, text string")
-    assert sorted(r.doc_id for r in decontamination.search(docs, items).collect()) == [0, 1]
-    assert [r.doc_id for r in decontamination.keep_clean(docs, items).collect()] == [3]
+    for held in (0, decontamination.HELD):
+        assert sorted(r.doc_id for r in decontamination.search(docs, items, held=held).collect()) == [0, 1]
+        assert [r.doc_id for r in decontamination.keep_clean(docs, items, held=held).collect()] == [3]
 
 
 def test_quality_on_labels(spark):
