@@ -4,7 +4,10 @@ Heuristic labellers vote good, bad or nothing on each text. Votes are counted by
 pattern over all documents (a table bounded by the labellers, not by the data);
 expectation-maximisation over the counts estimates how accurate each labeller is and
 gives every pattern a posterior. A linear scorer over hashed word endings and votes
-is then trained on the posteriors of a bounded sample and scores every document.
+is then trained on the posteriors and scores every document. It learns from a bounded
+number of different texts of each pattern, those of the smallest text hashes, weighed
+by how many rows the pattern has; so no pattern goes unseen, and neither other columns
+nor the layout of the table change what is drawn.
 """
 
 from __future__ import annotations
@@ -16,11 +19,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from xxhash import xxh3_64_intdigest
 
-#: Buckets of the hashed scorer, and documents that it is trained on (about).
-BUCKETS, SAMPLE = 4096, 3000
+from spark_curation.io import cut
+
+#: Buckets of the hashed scorer, and texts of each vote pattern that it is trained on at most.
+BUCKETS, SAMPLE = 4096, 64
 #: The least score that keeps a document; below one half, since dropping a good text costs more than keeping a bad one.
 KEEP = 0.35
 LABELLERS = ("symbols", "shouting", "pipes", "runs", "variety", "sentences", "letters", "wordsize")
@@ -96,21 +102,20 @@ def features(text: str | None, pattern: str) -> tuple[np.ndarray, np.ndarray]:
     return np.array(idx + shown, np.int64), np.array(val + [0.5] * len(shown))
 
 
-def fit_scorer(rows: list[tuple[str | None, str]], post: dict[str, float], epochs: int = 30, rate: float = 1.0, ridge: float = 1e-4) -> np.ndarray:
-    """Weights of the hashed scorer (the last is the bias): logistic regression on the posteriors, classes weighed alike."""
+def fit_scorer(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, n: np.ndarray, epochs: int = 60, rate: float = 1.0, ridge: float = 1e-4) -> np.ndarray:
+    """Weights of the hashed scorer (the last is the bias): logistic regression of features on posteriors ``y`` of rows that stand for ``n`` each, classes weighed alike."""
     w = np.zeros(BUCKETS + 1)
     if not rows:
         return w
-    made = [features(t, p) for t, p in rows]
-    y = np.array([post[p] for _, p in rows])
-    share = np.clip([1 - y.mean(), y.mean()], 0.02, 1)
-    weight = y / share[1] + (1 - y) / share[0]
-    size = np.array([len(i) for i, _ in made])
-    at, idx, val = np.repeat(np.arange(len(rows)), size), np.concatenate([i for i, _ in made]), np.concatenate([v for _, v in made])
+    n = n / n.sum()
+    share = np.clip([(n * (1 - y)).sum(), (n * y).sum()], 0.02, 1)
+    weight = n * (y / share[1] + (1 - y) / share[0])
+    size = np.array([len(i) for i, _ in rows])
+    at, idx, val = np.repeat(np.arange(len(rows)), size), np.concatenate([i for i, _ in rows]), np.concatenate([v for _, v in rows])
     seen = np.zeros(BUCKETS + 1)
     for _ in range(epochs):
         z = np.bincount(at, w[idx] * val, len(rows)) + w[-1]
-        err = weight * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y) / len(rows)
+        err = weight * (1 / (1 + np.exp(-np.clip(z, -30, 30))) - y)
         grad = np.append(np.bincount(idx, err[at] * val, BUCKETS), err.sum()) + ridge * w
         seen += grad**2
         w -= rate * grad / np.sqrt(seen + 1e-12)
@@ -122,35 +127,61 @@ def score(text: str | None, pattern: str, w: np.ndarray) -> float:
     return float(1 / (1 + np.exp(-np.clip((w[idx] * val).sum() + w[-1], -30, 30))))
 
 
+def _survey(sample: int):
+    """For a partition: how many rows each pattern has, and the features of its texts of the smallest hashes."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        n: Counter[str] = Counter()
+        drawn: dict[str, dict[int, tuple[np.ndarray, np.ndarray]]] = {}
+        bound: dict[str, int] = {}
+        for b in batches:
+            for t in b.column(0):
+                text = t.as_py()
+                p = votes(text)
+                n[p] += 1
+                h = xxh3_64_intdigest((text or "").encode("utf-8", "surrogatepass")) >> 1
+                few = drawn.setdefault(p, {})
+                if h in few or h > bound.get(p, 1 << 63):
+                    continue
+                few[h] = features(text, p)
+                if len(few) >= 2 * sample:
+                    bound[p] = sorted(few)[sample - 1]
+                    drawn[p] = {k: v for k, v in few.items() if k <= bound[p]}
+        rows = [(p, k, None, None, None) for p, k in n.items()]
+        rows += [(p, None, h, *few[h]) for p, few in drawn.items() for h in sorted(few)[:sample]]
+        columns = list(zip(*rows, strict=True)) or [[]] * 5
+        kinds = (pa.string(), pa.int64(), pa.int64(), pa.list_(pa.int64()), pa.list_(pa.float64()))
+        yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds, strict=True)], ["votes", "n", "h", "idx", "val"])
+
+    return run
+
+
 def train(docs: DataFrame, sample: int = SAMPLE, text_col: str = "text") -> tuple[dict[str, float], np.ndarray, np.ndarray]:
     """(posterior by vote pattern, labeller rates, scorer weights) for the texts of ``docs``.
 
-    Votes are counted over every row. About ``sample`` texts train the scorer, drawn
-    by a hash of text and row order free of any key; that is the only bounded part.
+    Votes are counted over every row. Of each pattern, the ``sample`` different texts
+    of the smallest hashes train the scorer, as features of bounded size; that is the
+    only bounded part. They depend on the set of texts alone.
     """
-
-    def voted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            c = Counter(votes(t.as_py()) for t in b.column(0))
-            yield pa.RecordBatch.from_arrays([pa.array(c, pa.string()), pa.array(c.values(), pa.int64())], ["votes", "n"])
-
-    texts = docs.select(F.col(text_col).cast("string").alias("text"))
-    counted = texts.mapInArrow(voted, "votes string, n long").groupBy("votes").agg(F.sum("n").alias("n")).collect()
-    counts = {r["votes"]: r["n"] for r in counted}
+    surveyed = docs.select(F.col(f"`{text_col}`").cast("string").alias("text")).mapInArrow(_survey(sample), "votes string, n long, h long, idx array<long>, val array<double>")
+    surveyed = cut(surveyed)
+    counts = {r["votes"]: r["n"] for r in surveyed.where("n is not null").groupBy("votes").agg(F.sum("n").alias("n")).collect()}
     post, rates = fit_labellers(counts)
-    total = max(1, sum(counts.values()))
-    span = 1 << 40
-    drawn = docs.where(F.pmod(F.xxhash64(*docs.columns), F.lit(span)) < int(span * min(1.0, sample / total)))
-    rows = [(r[0], votes(r[0])) for r in drawn.select(F.col(text_col).cast("string")).limit(2 * sample).collect()]
-    return post, rates, fit_scorer(sorted((r for r in rows if r[1] in post), key=lambda r: r[0] or ""), post)
+    first = lambda df, *by: df.withColumn("r", F.row_number().over(Window.partitionBy(*by).orderBy("h"))).where(F.col("r") <= sample).drop("r")
+    texts = surveyed.where("h is not null").groupBy("votes", "h").agg(F.first("idx").alias("idx"), F.first("val").alias("val")).withColumn("part", F.pmod("h", F.lit(64)))
+    drawn = sorted(first(first(texts, "votes", "part"), "votes").select("votes", "h", "idx", "val").collect())
+    of = Counter(r["votes"] for r in drawn)
+    rows = [(np.array(r["idx"], np.int64), np.array(r["val"])) for r in drawn]
+    y, n = (np.array([f(r["votes"]) for r in drawn]) for f in (post.get, lambda p: counts[p] / of[p]))
+    return post, rates, fit_scorer(rows, y, n)
 
 
 def classify(docs: DataFrame, sample: int = SAMPLE, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``(doc_id, votes, posterior, score, keep)`` for every row.
 
     ``keep`` is a score of ``KEEP`` or more. A null or empty text has one bad vote and
-    is scored like any other; equal texts get equal scores. Repeated rows and null ids
-    stay, an empty table gives none, other columns are ignored.
+    is scored like any other; equal texts get equal scores, whatever else the table
+    holds in its columns. Repeated rows and null ids stay, an empty table gives none.
     """
     post, _, w = train(docs, sample, text_col)
 
@@ -162,12 +193,15 @@ def classify(docs: DataFrame, sample: int = SAMPLE, id_col: str = "doc_id", text
             columns = [b.column(0), pa.array(cast, pa.string()), pa.array([post.get(p) for p in cast], pa.float64()), pa.array(scores, pa.float64()), pa.array([s >= KEEP for s in scores], pa.bool_())]
             yield pa.RecordBatch.from_arrays(columns, ["doc_id", "votes", "posterior", "score", "keep"])
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, votes string, posterior double, score double, keep boolean")
 
 
 def keep_good(docs: DataFrame, sample: int = SAMPLE, text_col: str = "text") -> DataFrame:
-    """The rows of ``docs`` that the classifier keeps, all columns as they were."""
+    """The rows of ``docs`` that the classifier keeps, all columns as they were.
+
+    Null and empty texts are judged like others; repeated rows stay or go together; an empty table stays empty.
+    """
     _, _, w = train(docs, sample, text_col)
     at = docs.columns.index(text_col)
 

@@ -292,6 +292,46 @@ def test_quality_on_labels(spark):
     assert sum(good) >= 0.99 * len(good) and sum(bad) <= 0.1 * len(bad)
 
 
+def test_quality_depends_on_the_texts_alone(spark):
+    docs = table(spark, DATA, "documents").select("doc_id", "text")
+    plain = {r.doc_id: r.score for r in quality.classify(docs, sample=8).collect()}
+    more = docs.withColumn("x", F.create_map(F.lit("a"), F.lit(1))).withColumn("votes", F.lit("clash")).repartition(7)
+    assert {r.doc_id: r.score for r in quality.classify(more, sample=8).collect()} == plain
+    assert quality.keep_good(more, sample=8).columns == more.columns
+
+
+def test_quality_of_many_equal_rows(spark):
+    good = [r.text for r in table(spark, DATA, "documents").join(table(spark, DATA, "labels"), "doc_id").where("quality = 1").collect()]
+    rows = [(i, "BUY!! now### now### CHEAP!! deal### | x | y | z | now### now###") for i in range(4000)] + [(5000 + i, t) for i, t in enumerate(good)]
+    got = quality.classify(spark.createDataFrame(rows, DOCS)).groupBy((F.col("doc_id") < 5000).alias("junk"), "keep").count().collect()
+    assert {(r.junk, r.keep): r["count"] for r in got}[True, False] == 4000
+    assert sum(r["count"] for r in got if not r.junk and r.keep) >= 0.98 * len(good)
+
+
+def test_labeller_model_against_plain_loops():
+    """Expectation-maximisation over patterns equals the same rounds row by row."""
+    rng = random.Random(1)
+    rows = ["".join(rng.choice("01-") if rng.random() < 0.4 else "1" for _ in quality.LABELLERS) for _ in range(300)]
+    post, rates = quality.fit_labellers({p: rows.count(p) for p in set(rows)}, rounds=5)
+    q = [0.1 if "0" in r else 0.9 for r in rows]
+    for _ in range(5):
+        rate = []
+        for side in (q, [1 - x for x in q]):
+            rate.append([min(max((1 + sum(w for r, w in zip(rows, side) if r[j] == "1")) / (2 + sum(w for r, w in zip(rows, side) if r[j] in "01")), 5e-4), 1 - 5e-4) for j in range(len(quality.LABELLERS))])
+        rate[0] = [max(x, 1 - quality.FALSE_ALARM) if j < quality.ALARMS else x for j, x in enumerate(rate[0])]
+        rate[1] = [min(a, b) for a, b in zip(rate[1], rate[0])]
+        prior = min(max((8 + sum(q)) / (10 + len(q)), 0.05), 0.95)
+        odds = []
+        for r in rows:
+            like = [prior, 1 - prior]
+            for k in (0, 1):
+                for j, c in enumerate(r):
+                    like[k] *= {"1": rate[k][j], "0": 1 - rate[k][j], "-": 1}[c]
+            odds.append(like[0] / sum(like))
+        q = odds
+    assert np.allclose([post[r] for r in rows], q) and np.allclose(rates.T, rate)
+
+
 def test_pipeline_against_its_operators(spark):
     docs, bench = table(spark, DATA, "documents"), table(spark, DATA, "benchmark")
     good = {r.doc_id for r in quality.classify(docs).where("keep").collect()}
