@@ -202,6 +202,30 @@ def test_warc_round_trip():
     assert warc_derivatives.derive(src) == [meta, text]
 
 
+def test_hundreds_of_templates(spark):
+    """Random phrases that share words, against plain search; the plan does not grow with their number."""
+    r = random.Random(5)
+    ws = [f"w{i}" for i in range(30)]
+    some = lambda a, b: [r.choice(ws) for _ in range(r.randrange(a, b))]
+    made = [licences.Template(f"base{i}", " ".join(some(2, 4)), "", True) for i in range(3)]
+    for i in range(400):
+        text = some(3, 12)
+        at = r.randrange(len(text))
+        made.append(licences.Template(f"l{i % 50}", " ".join(text), " ".join(text[at : at + r.randrange(1, 5)])))
+    rows = [(i, " ".join(some(0, 60))) for i in range(60)] + [(100, made[50].text.upper()), (101, None), (None, made[60].text + "," + made[60].text)]
+    got = {x.doc_id: x for x in licences.scan(spark.createDataFrame(rows, DOCS), tuple(made)).collect()}
+    for i, text in rows:
+        w = re.findall(r"[a-z0-9]+", (text or "").lower())
+        hits = [(t, s) for t in made for s in range(len(w)) if w[s : s + len(t.key_words)] == t.key_words]
+        base = [s for t, s in hits if t.base]
+        share = [sum(0 <= s - t.offset + j < len(w) and w[s - t.offset + j] == x for j, x in enumerate(t.words)) / len(t.words) for t, s in hits]
+        x = got[i]
+        assert (x.n_words, x.n_base, x.first_word, x.last_word) == (len(w), len(base), min(base, default=None), max(base, default=None))
+        assert x.labels == ",".join(sorted({t.label for t, _ in hits})) and abs(x.score - max(share, default=0)) < 1e-9
+    size = lambda ts: licences.scan(spark.createDataFrame(rows, DOCS), tuple(ts))._jdf.queryExecution().optimizedPlan().expressions().size()
+    assert size(made) == size(made[:10])
+
+
 def luhn(d):
     t = 0
     for i, c in enumerate(reversed(d)):
