@@ -22,12 +22,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from spark_curation.llm.markup import ATTRIBUTE, Scanner
+
 #: Elements by role in a page.
 BLOCKS = frozenset("address article aside blockquote body center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr html legend li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul caption search".split())
 DROPPED = frozenset("script style title noscript template iframe select textarea button datalist".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-#: Of the dropped ones, those that run to the end of the page if they are not closed.
-RAW = frozenset("script style title textarea".split())
 ENDS_P = BLOCKS - {"body", "html", "td", "th", "tr", "tbody", "thead", "tfoot", "caption"}
 #: Elements that an opening tag ends when they are still open, and elements the search for them stops at.
 IMPLIED = {"li": ({"li"}, {"ul", "ol", "menu"}), "dd": ({"dd", "dt"}, {"dl"}), "dt": ({"dd", "dt"}, {"dl"}), "tr": ({"tr", "td", "th"}, {"table"}), "td": ({"td", "th"}, {"tr", "table"}), "th": ({"td", "th"}, {"tr", "table"}), "option": ({"option"}, {"select"})}
@@ -48,9 +48,6 @@ _HINT = {w: k for k, ws in HINTS.items() for w in ws}
 _TOKEN = re.compile(r"[a-z]+(?:-[a-z]+)*")
 _CAMEL = re.compile(r"(?<=[a-z])(?=[A-Z])")
 _ENDED = re.compile(r"[.!?…。！？]")
-_NAME = re.compile(r"/?[A-Za-z][^\s/>]*")
-_STOP = re.compile(r">|=\s*[\"']")
-_ATTR = re.compile(r"([^\s=\"'/>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 
 
 class Tree:
@@ -58,8 +55,8 @@ class Tree:
 
     Tolerates unclosed and misnested tags. Text or a block outside a body opens one. Inline
     elements leave no node; their text goes to the nearest block, and so do the words
-    inside links for the share of linked text. Reading takes time in proportion to the
-    page: open elements are found by name, and nothing is searched for twice.
+    inside links for the share of linked text. Open elements are found by name, so that
+    reading takes time in proportion to the page.
     """
 
     def __init__(self, page: str) -> None:
@@ -72,70 +69,13 @@ class Tree:
         #: How many blocks were open when the link began that is open now; 0 if there is none.
         self._link = 0
         self._buffer: list[str] = []
-        self._page = page
-        self._last = {q: page.rfind(q) for q in "\"'"}
-        self._quotes = True
-        self._dropped: dict[str, dict[int, int]] = {}
-        self._read()
-        self._flush()
-
-    def _read(self) -> None:
-        page, at, seen = self._page, 0, 0  # text before ``seen`` has been taken up
-        while (at := page.find("<", at)) >= 0:
-            kind = page[at + 1 : at + 2]
-            if kind in ("!", "?"):
-                if page.startswith("<!--", at):
-                    ends = [e for e in (page.find("-->", at + 2), page.find("--!>", at + 4)) if e >= 0]
-                    end = page.index(">", min(ends)) + 1 if ends else len(page)
-                else:
-                    end = page.find(">", at) + 1
-                if not end:
-                    break
-                self._data(page[seen:at])
-                at = seen = end
-                continue
-            m = _NAME.match(page, at + 1)
-            if m is None:
-                at += 1
-                continue
-            end = self._tag_end(m.end())
-            if end < 0:
-                break
-            self._data(page[seen:at])
-            name = m[0].lower()
-            start, at = at, end
-            if name[0] == "/":
+        for text, name, more in Scanner(page, DROPPED):
+            self._data(text)
+            if name[:1] == "/":
                 self._end(name[1:])
-            elif name in DROPPED:
-                at = self._skip(name, start, end)
-            else:
-                self._start(name, page[m.end() : end - 1])
-            seen = at
-        self._data(page[seen:])
-
-    def _tag_end(self, at: int) -> int:
-        """Where the tag whose name ends at ``at`` ends: after the first ``>`` outside quoted values; -1 if nowhere."""
-        page, begin = self._page, at
-        while self._quotes and (m := _STOP.search(page, at)) is not None:
-            if m[0] == ">":
-                return m.end()
-            quote = m[0][-1]
-            at = page.index(quote, m.end()) + 1 if self._last[quote] >= m.end() else m.end()
-        self._quotes = False  # quotes are out of step: from here on they mean nothing
-        return page.find(">", begin) + 1 or -1
-
-    def _skip(self, tag: str, start: int, end: int) -> int:
-        """Where an element that is dropped ends; one that stays open is a mere tag, or runs to the end of the page."""
-        if tag not in self._dropped:
-            stack: list[int] = []
-            ends = self._dropped[tag] = {}
-            for m in re.finditer(rf"<(/?){tag}(?=[\s/>])[^<>]*>?", self._page, re.I):
-                if not m[1]:
-                    if tag not in RAW or not stack:
-                        stack.append(m.start())
-                elif stack:
-                    ends[stack.pop()] = m.end()
-        return self._dropped[tag].get(start, len(self._page) if tag in RAW else end)
+            elif name and name not in DROPPED and name != "!":
+                self._start(name, more)
+        self._flush()
 
     def _flush(self) -> None:
         if self._buffer:
@@ -188,7 +128,7 @@ class Tree:
             self._push("body", (), None)
         self._close_implied(tag)
         self._flush()
-        get = {k.lower(): html.unescape(a or b or c) for k, a, b, c in _ATTR.findall(attrs)} if attrs and not attrs.isspace() else {}
+        get = {k.lower(): html.unescape(a or b or c) for k, a, b, c in ATTRIBUTE.findall(attrs)} if attrs and not attrs.isspace() else {}
         named = " ".join(get.get(k, "") for k in ("class", "id", "role", "itemprop")) if get else ""
         hints: set[str] = set()
         for w in _TOKEN.findall(_CAMEL.sub("-", named).lower().replace("_", "-")):

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from spark_curation.io import table
-from spark_curation.llm import decontamination, graph, html_tree, licences, order_minhash, passages, pieces, pii, quality, queries, shingling, simhash, warc_derivatives
+from spark_curation.llm import decontamination, graph, licences, order_minhash, passages, pieces, pii, quality, queries, shingling, simhash
 from tests.conftest import DATA
 
 DOCS = "doc_id long, text string"
@@ -190,18 +190,6 @@ def test_licences_equal_plain_search(spark):
     assert got[0][2:7] == (2, 1, 5, "mit", "mit") and got[1][5] == "apache-2,cc-by-nc" and got[2][2] == 0
 
 
-def test_warc_round_trip():
-    src = warc_derivatives.response(1, "http://a.b/?q=1", "<html lang=en><title>T</title><p>A &amp; B<p>C <a href='/x'>l</a>", "2024-01-01T00:00:00Z")
-    meta, text = warc_derivatives.derive(src)
-    data = b"".join(map(warc_derivatives.serialize, (src, meta, text)))
-    (f0, b0), (f1, b1), (f2, b2) = warc_derivatives.parse(data)
-    assert f1["warc-refers-to"] == f2["warc-refers-to"] == f0["warc-record-id"]
-    assert b2.decode() == "A & B\nC l" and b"outlink: /x" in b1 and b"http-content-type: text/html" in b1
-    for f, b in ((f0, b0), (f1, b1), (f2, b2)):
-        assert f["warc-block-digest"] == warc_derivatives.digest(b) and int(f["content-length"]) == len(b)
-    assert warc_derivatives.derive(src) == [meta, text]
-
-
 def test_hundreds_of_templates(spark):
     """Random phrases that share words, against plain search; the plan does not grow with their number."""
     r = random.Random(5)
@@ -284,14 +272,6 @@ def test_next_document_over_bucket_edges(spark):
     assert got == {i * 3: f"t{(i + 1) % 100}" for i in range(100)}
 
 
-def test_text_after_elements_that_stay_open():
-    text = warc_derivatives.plain_text
-    assert text("<html><head><title>t</title><body><p>one<p>two") == "one\ntwo"
-    assert text("<html><head><title>t</title>loose <b>text</b><p>one") == "loose text\none"
-    assert text("<p>a<svg width=1/> b<iframe/> c<object> d<p>e") == "a b c d\ne"
-    assert text("<head><title>t</title>x</head><p>a<svg>x</svg> b<script>x") == "a b"
-
-
 def test_one_of_each_with_null_and_shared_ids(spark):
     r = random.Random(3)
     a, b, c, d, e = (" ".join(f"u{r.randrange(9999)}" for _ in range(60)) for _ in range(5))
