@@ -30,7 +30,7 @@ def _small(edges: DataFrame) -> DataFrame:
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """``(u, v)`` links to ``(node, component)``, where component is the smallest node reachable.
 
-    Nodes without a link do not appear. Self links, repeated links and nulls on
+    Nodes are of any type that has an order. Nodes without a link do not appear. Self links, repeated links and nulls on
     either side are ignored; an empty table gives an empty result.
     """
     edges = edges.select("u", "v").where("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
@@ -50,6 +50,19 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).union(roots)
 
 
+def join_small(rows: DataFrame, named: DataFrame, key: str, share: int = 1000) -> DataFrame:
+    """``rows`` with the columns of ``named``, which has each key once and in ``n`` how many rows have it.
+
+    Keys that more than one in ``share`` rows have, fewer than ``share`` of them, travel
+    to every task; the rest is an ordinary join without hot keys.
+    """
+    total = named.agg(F.sum("n")).first()[0] or 0
+    named = cut(named)
+    hot = F.broadcast(named.where(F.col("n") * share > total).drop("n"))
+    cold = rows.join(hot.select(key), key, "left_anti").join(named.where(F.col("n") * share <= total).drop("n"), key)
+    return cold.unionByName(rows.join(hot, key))
+
+
 def _mark(edges: DataFrame) -> tuple:
     """Count and order-free digest: equal when a round changed nothing."""
     return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first())

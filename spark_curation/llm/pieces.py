@@ -4,9 +4,8 @@ The model file is read here for its normaliser: a compiled double-array trie of
 source strings and their replacements. Normalising takes the longest prefix of the
 rest of the text that the trie knows, else one character, and records for every
 normalised byte the source byte it came from. A piece covers a range of normalised
-bytes, so the record projects it to a range of source bytes. Merging within a word
-is the library's; where the vocabulary shows that no piece can reach over a word
-start or a line break, words are encoded once and remembered.
+bytes, so the record projects it to a range of source bytes. Merging of pieces is
+the library's.
 """
 
 from __future__ import annotations
@@ -19,7 +18,6 @@ import sentencepiece
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-SPACE = "▁"
 #: Characters of source text that a batch holds while it is encoded and sent back.
 BATCH_CHARS = 2 << 20
 
@@ -49,6 +47,13 @@ def _fields(raw: bytes) -> Iterator[tuple[int, int | bytes]]:
         at += size
 
 
+def tokenizer_path(name: str = "piece_bpe_32k.model") -> str:
+    """Place of a public vocabulary file on this machine."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
 class CharMap:
     """Longest-prefix replacement through the compiled map of a model's normaliser."""
 
@@ -181,7 +186,7 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
             if keys:
                 yield some(keys, texts)
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"))
     return rows.mapInArrow(run, SCHEMA)
 
 

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from xxhash import xxh64_digest
 
 from spark_curation.io import cut
-from spark_curation.llm.graph import components
+from spark_curation.llm.graph import components, join_small
 
 BITS, SEED = 64, 42
 
@@ -53,7 +53,7 @@ def with_fingerprints(docs: DataFrame, width: int = 4, id_col: str = "doc_id", t
             fps = pa.array([fingerprint(t, width) for t in b.column(1).to_pylist()], pa.int64())
             yield pa.RecordBatch.from_arrays([b.column(0), fps], ["doc_id", "fp"])
 
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"))
     return rows.mapInArrow(run, "doc_id long, fp long")
 
 
@@ -105,15 +105,37 @@ def near_duplicates(docs: DataFrame, distance: int = 4, width: int = 4, id_col:
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
+#: Stands for no id; larger than any id that a group could take its name from.
+_NONE = (1 << 63) - 1
+
+
 def _grouped(docs: DataFrame, distance: int, width: int, id_col: str, text_col: str) -> DataFrame:
-    """``(doc_id, fp, part, component_id)``: ``part`` tells components apart that share their smallest id."""
+    """``(doc_id, fp, part, component_id)``: ``part`` tells components apart that share their smallest id.
+
+    The nodes of the graph are (smallest id, fingerprint), so the smallest node reachable
+    has the smallest id reachable, and no group ever meets under one key.
+    """
     fps = cut(with_fingerprints(docs, width, id_col, text_col))
-    nodes = fps.groupBy("fp").agg(F.min("doc_id").alias("least"))
-    comp = components(links(nodes.select("fp"), distance))
-    named = nodes.join(comp, nodes["fp"] == comp["node"], "left").select("fp", "least", F.coalesce("component", "fp").alias("part"))
-    small = named.groupBy("part").agg(F.min("least").alias("component_id"))
-    by_fp = named.join(small, "part").select("fp", "part", "component_id")
-    return fps.join(by_fp, "fp").select("doc_id", "fp", "part", "component_id")
+    nodes = fps.groupBy("fp").agg(F.coalesce(F.min("doc_id"), F.lit(_NONE)).alias("least"), F.count("*").alias("n"))
+    near = links(nodes.select("fp"), distance)
+    name = lambda side: nodes.select(F.col("fp").alias(side), F.struct("least", "fp").alias(f"{side}_node"))
+    edges = near.join(name("u"), "u").join(name("v"), "v").select(F.col("u_node").alias("u"), F.col("v_node").alias("v"))
+    comp = components(edges).select(F.col("node.fp").alias("linked"), F.col("component").alias("root"))
+    root = F.coalesce("root", F.struct("least", "fp"))
+    named = nodes.join(comp, nodes["fp"] == comp["linked"], "left").select("fp", "n", root.alias("root"))
+    by_fp = named.select("fp", "n", F.col("root.fp").alias("part"), F.nullif(F.col("root.least"), F.lit(_NONE)).alias("component_id"))
+    return join_small(fps, by_fp, "fp").select("doc_id", "fp", "part", "component_id")
+
+
+def _unused(docs: DataFrame, *names: str) -> list[str]:
+    """The names, made longer where ``docs`` has such a column."""
+    taken = {c.lower() for c in docs.columns}
+    out = []
+    for n in names:
+        while n.lower() in taken:
+            n += "_"
+        out.append(n)
+    return out
 
 
 def keep_one(docs: DataFrame, distance: int = 4, width: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -121,15 +143,16 @@ def keep_one(docs: DataFrame, distance: int = 4, width: int = 4, id_col: str = "
 
     Of rows of one component that share that id one stays, one with the smallest
     fingerprint; unrelated texts that share an id all stay. Rows with a null id stay
-    only where no row of their group has an id, and then all do.
+    only where no row of their group has an id, and then all do. An empty table stays empty.
     """
     found = cut(_grouped(docs, distance, width, id_col, text_col))
     stay = found.where(F.col("doc_id").eqNullSafe(F.col("component_id")))
+    stays, print_, of = _unused(docs, "stays", "print", "of_print")
     key = F.col(f"`{id_col}`").cast("long")
     if found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null").isEmpty():
-        return docs.join(stay.select(F.col("doc_id").alias("__stay")), key == F.col("__stay"), "left_semi")
-    named = stay.where("doc_id is not null").groupBy("part", "doc_id").agg(F.min("fp").alias("__of")).select(F.col("doc_id").alias("__stay"), "__of")
-    free = stay.where("doc_id is null").select(F.col("fp").alias("__of")).distinct()
-    rows = docs.withColumn("__fp", F.udf(lambda t: fingerprint(t, width), "long")(F.col(f"`{text_col}`").cast("string")))
-    one = rows.where(key.isNotNull()).join(named, (key == F.col("__stay")) & (F.col("__fp") == F.col("__of")), "left_semi").dropDuplicates([id_col, "__fp"])
-    return one.unionByName(rows.where(key.isNull()).join(free, F.col("__fp") == F.col("__of"), "left_semi")).drop("__fp")
+        return docs.join(stay.select(F.col("doc_id").alias(stays)), key == F.col(stays), "left_semi")
+    named = stay.where("doc_id is not null").groupBy("part", "doc_id").agg(F.min("fp").alias(of)).select(F.col("doc_id").alias(stays), of)
+    free = stay.where("doc_id is null").select(F.col("fp").alias(of)).distinct()
+    rows = docs.withColumn(print_, F.udf(lambda t: fingerprint(t, width), "long")(F.col(f"`{text_col}`").cast("string")))
+    one = rows.where(key.isNotNull()).join(named, (key == F.col(stays)) & (F.col(print_) == F.col(of)), "left_semi").dropDuplicates([id_col, print_])
+    return one.unionByName(rows.where(key.isNull()).join(free, F.col(print_) == F.col(of), "left_semi")).drop(print_)

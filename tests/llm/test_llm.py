@@ -30,7 +30,7 @@ def empty(spark):
 
 
 def test_odd_inputs_keep_every_row(spark, odd, empty):
-    model = corpus_pipeline.tokenizer_path()
+    model = pieces.tokenizer_path()
     item = spark.createDataFrame([(1, "one two three four five one two"), (2, None), (3, ""), (None, "x")], "item_id long, text string")
     whole = {
         "quality": lambda d: quality.classify(d), "pieces": lambda d: pieces.digests(pieces.encode_documents(d, model)), "licences": licences.scan,
@@ -100,7 +100,7 @@ def test_components_of_long_paths_and_stars(spark):
 
 
 def test_pieces_equal_the_library_and_spans_cover_the_source(spark):
-    with open(corpus_pipeline.tokenizer_path(), "rb") as f:
+    with open(pieces.tokenizer_path(), "rb") as f:
         enc = pieces.Encoder(f.read())
     r = random.Random(1)
     texts = ["", " ", "  a  b ", "a▁b", "日本 𠀀\n\n", "<s> </s>", "a\x00b"] + ["".join(r.choice(" \n▁abé日.,0") for _ in range(r.randrange(30))) for _ in range(300)]
@@ -280,6 +280,15 @@ def test_one_of_each_with_null_and_shared_ids(spark):
     assert sorted(map(str, got)) == sorted(map(str, spark.createDataFrame([(1, a), (None, b), (None, b), (None, c), (7, d), (7, e)], DOCS).collect()))
 
 
+def test_hot_fingerprints_and_clashing_names(spark):
+    rows = [(i, "the same words in every row of this table") for i in range(3000)] + [(5000 + i, f"t{i} u{i * 7} v{i * 13} w{i * 17} x{i * 19}") for i in range(50)]
+    df = spark.createDataFrame([(*r, 1, 2, 3, "c") for r in rows], DOCS + ", stays int, print int, of_print int, fp string")
+    got = simhash.near_duplicates(df)
+    assert got.where("doc_id < 3000").select("component_id").distinct().collect() == [(0,)] and got.count() == len(rows)
+    kept = simhash.keep_one(df.union(df.limit(1)))
+    assert kept.columns == df.columns and kept.where("doc_id < 3000").count() == 1 and simhash.keep_one(df).where("doc_id < 3000").count() == 1
+
+
 def test_items_that_share_an_id_or_have_none(spark):
     texts = [" ".join(f"{k}{i}" for i in range(12)) for k in "abcd"]
     docs = spark.createDataFrame([(i, f"x {t} y") for i, t in enumerate(texts)], DOCS)
