@@ -2,9 +2,8 @@
 
 from __future__ import annotations
 
-import gc
 import tempfile
-import time
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -23,15 +22,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def checkpoint_dir(spark: SparkSession) -> str:
-    """The shared folder for cut lineage.
+    """The shared folder for intermediate results, which the session names.
 
-    The session's own setting wins; a temporary folder is set only where there is
-    none, which is the case in tests on one machine.
+    A temporary folder is set only where there is none and everything runs on one
+    machine, as in tests; on a cluster a missing setting is an error.
     """
     sc = spark.sparkContext
     if (at := sc.getCheckpointDir()) is not None:
         return at
-    at = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="spark-curation-")
+    at = spark.conf.get("spark.checkpoint.dir", None)
+    if at is None:
+        if not sc.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        at = tempfile.mkdtemp(prefix="spark-curation-")
     sc.setCheckpointDir(at)
     return at
 
@@ -45,16 +48,18 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def release(spark: SparkSession) -> None:
-    """Lets Spark delete the shuffle files of results that nothing refers to any more.
+def written(df: DataFrame, name: str) -> tuple[DataFrame, str]:
+    """``df`` written to the shared folder as compressed columns and read back, and where it is, for ``remove``."""
+    spark = df.sparkSession
+    at = f"{checkpoint_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(at)
+    return spark.read.schema(df.schema).parquet(at), at
 
-    They go when the driver collects its garbage, which a driver with little to do may
-    not do for hours; called between steps that each shuffle much.
-    """
-    for _ in range(3):  # what the first round frees may hold what the next one finds
-        gc.collect()
-        spark.sparkContext._jvm.System.gc()
-        time.sleep(0.7)
+
+def remove(spark: SparkSession, at: str) -> None:
+    """Deletes what ``written`` wrote, on whatever file system it is."""
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(at)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def fence(df: DataFrame) -> DataFrame:
