@@ -83,21 +83,28 @@ def distinct_ngrams(docs: DataFrame, n: int, text_col: str = "text", by: tuple[s
     return out.withColumn("share", F.round(F.col("n_distinct") / F.col("n_total"), 6))
 
 
-def equal_token_cut(docs: DataFrame, budget: int, id_col: str = "doc_id", tokens: str = "n_tokens", buckets: int = 256) -> DataFrame:
-    """Documents of a fixed pseudo-random order until the budget is used, without a global sort.
+def token_run(docs: DataFrame, by: tuple[str, ...] = (), id_col: str = "doc_id", tokens: str = "n_tokens", buckets: int = 256) -> DataFrame:
+    """Adds ``run``: the tokens before each document in a fixed pseudo-random order of its group, without a global sort.
 
-    Totals of hash buckets are summed first; within the bucket that crosses the budget a
-    running sum decides, so every window is a bucket.
+    Totals of hash buckets are summed first; within a bucket a running sum goes on, so every window is a bucket.
     """
     from spark_curation.functions.text import portable_share
 
-    pos = portable_share(F.col(id_col).cast("string"))
-    rows = docs.withColumn("__pos", pos).withColumn("__b", F.floor(F.col("__pos") * buckets).cast("int"))
-    sums = rows.groupBy("__b").agg(F.sum(tokens).alias("t"))
-    before = sums.alias("a").join(sums.alias("b"), F.col("b.__b") < F.col("a.__b"), "left").groupBy(F.col("a.__b").alias("__b")).agg(F.coalesce(F.sum("b.t"), F.lit(0)).alias("__before"))
-    w = Window.partitionBy("__b").orderBy("__pos", id_col).rowsBetween(Window.unboundedPreceding, -1)
-    placed = rows.join(F.broadcast(before), "__b").withColumn("__run", F.col("__before") + F.coalesce(F.sum(tokens).over(w), F.lit(0)))
-    return placed.where(F.col("__run") < budget).select(*docs.columns)
+    rows = docs.withColumn("__pos", portable_share(F.col(id_col).cast("string"))).withColumn("__b", F.floor(F.col("__pos") * buckets).cast("int"))
+    sums = rows.groupBy(*by, "__b").agg(F.sum(tokens).alias("t"))  # at most ``buckets`` rows for each group
+    a, b = sums.alias("a"), sums.select(*[F.col(c).alias(f"o_{c}") for c in by], F.col("__b").alias("o__b"), F.col("t").alias("o_t"))
+    same = F.col("o__b") < F.col("a.__b")
+    for c in by:
+        same = same & (F.col(f"o_{c}") == F.col(f"a.{c}"))
+    before = a.join(F.broadcast(b), same, "left").groupBy(*[F.col(f"a.{c}").alias(c) for c in by], F.col("a.__b").alias("__b")).agg(F.coalesce(F.sum("o_t"), F.lit(0)).alias("__before"))
+    w = Window.partitionBy(*by, "__b").orderBy("__pos", id_col).rowsBetween(Window.unboundedPreceding, -1)
+    placed = rows.join(F.broadcast(before), [*by, "__b"])
+    return placed.select(*docs.columns, (F.col("__before") + F.coalesce(F.sum(tokens).over(w), F.lit(0))).alias("run"))
+
+
+def equal_token_cut(docs: DataFrame, budget: int, by: tuple[str, ...] = (), id_col: str = "doc_id", tokens: str = "n_tokens", buckets: int = 256) -> DataFrame:
+    """Documents of a fixed pseudo-random order until the budget of tokens is used."""
+    return token_run(docs, by, id_col, tokens, buckets).where(F.col("run") < budget).select(*docs.columns)
 
 
 def confusion(a: DataFrame, b: DataFrame, key: str = "page_id") -> DataFrame:
@@ -129,30 +136,72 @@ def waterfall(programs: DataFrame) -> DataFrame:
     return steps.withColumn("change", F.col("words_left") - F.lag("words_left").over(w))
 
 
+def _quartiles(c: str) -> list[Column]:
+    return [F.expr(f"percentile({c}, {p})").alias(f"{c}_{n}") for n, p in (("q1", 0.25), ("median", 0.5), ("q3", 0.75))] + [F.round(F.avg(c), 6).alias(f"{c}_mean")]
+
+
+def _thirds(at: Column, n: Column, name: str) -> list[Column]:
+    """Shares of places (from 1 to n) in the first, middle and last third."""
+    third = F.least(F.floor((at - 1) * 3 / n), F.lit(2))
+    return [F.round(F.avg((third == k).cast("double")), 6).alias(f"{name}_{x}") for k, x in enumerate(("first", "middle", "last"))]
+
+
+def _sum(a: Column) -> Column:
+    return F.aggregate(a, F.lit(0).cast("long"), lambda s, x: s + x)
+
+
 def strip_stats(programs: DataFrame) -> DataFrame:
-    """Extraction-operation statistics over all pages, one row."""
-    size = lambda r: r["b"] - r["a"] + 1
-    total = F.aggregate(F.transform("strip", size), F.lit(0), lambda s, x: s + x)
+    """Extraction-operation statistics over all pages, one row: quartiles and means of operations and lines of a page, of lines and
+    words of a span, where removed lines stand, pages that lose a leading or trailing block, and where the removed words were."""
     n = F.size("lines")
-    per = programs.select(F.size("strip").alias("ops"), total.alias("gone"), F.exists("strip", lambda r: r["a"] == 1).alias("lead"), F.exists("strip", lambda r: r["b"] == n).alias("trail"), n.alias("n"))
-    return per.agg(
-        F.count("*").alias("pages"), F.round(F.avg((F.col("ops") > 0).cast("double")), 6).alias("with_removal"), F.expr("percentile(ops, 0.5)").alias("median_ops"), F.round(F.avg("ops"), 6).alias("mean_ops"),
-        F.expr("percentile(gone, 0.5)").alias("median_lines"), F.round(F.avg(F.col("lead").cast("double")), 6).alias("leading"), F.round(F.avg(F.col("trail").cast("double")), 6).alias("trailing"), F.sum("gone").cast("long").alias("lines_gone"), F.sum("n").cast("long").alias("lines_in"),
+    sizes = F.transform("strip", lambda r: F.struct((r["b"] - r["a"] + 1).alias("lines"), _sum(F.transform(F.slice("lines", r["a"], r["b"] - r["a"] + 1), count_words)).alias("words"), r["a"].alias("a"), r["b"].alias("b")))
+    per = programs.select(F.size("strip").alias("ops"), n.alias("n"), sizes.alias("spans")).withColumn("gone", _sum(F.transform("spans", lambda x: x["lines"].cast("long"))))
+    words = lambda pick: _sum(F.transform(F.filter("spans", pick), lambda x: x["words"]))
+    lead, trail = (lambda x: x["a"] == 1), (lambda x: (x["b"] == F.col("n")) & (x["a"] > 1))
+    per = per.withColumns({"lead": words(lead), "trail": words(trail), "every": words(lambda x: F.lit(True)), "leads": F.exists("spans", lambda x: x["a"] == 1), "trails": F.exists("spans", lambda x: x["b"] == F.col("n"))})
+    page = per.agg(
+        F.count("*").alias("pages"), F.round(F.avg((F.col("ops") > 0).cast("double")), 6).alias("with_removal"), *_quartiles("ops"), *_quartiles("gone"),
+        F.round(F.avg(F.col("leads").cast("double")), 6).alias("leading"), F.round(F.avg(F.col("trails").cast("double")), 6).alias("trailing"), F.sum("gone").alias("lines_gone"), F.sum("n").cast("long").alias("lines_in"),
+        F.round(F.sum("lead") / F.sum("every"), 6).alias("words_leading"), F.round((F.sum("every") - F.sum("lead") - F.sum("trail")) / F.sum("every"), 6).alias("words_interior"), F.round(F.sum("trail") / F.sum("every"), 6).alias("words_trailing"),
     )
+    span = per.select("n", F.explode("spans").alias("x")).select("n", F.col("x.lines").alias("span_lines"), F.col("x.words").alias("span_words"))
+    span = span.agg(*_quartiles("span_lines"), *_quartiles("span_words"))
+    at = per.select("n", F.explode(F.flatten(F.transform("spans", lambda x: F.sequence(x["a"], x["b"])))).alias("at")).agg(*_thirds(F.col("at"), F.col("n"), "lines"))
+    return page.crossJoin(span).crossJoin(at)  # one row each
 
 
 def edit_stats(programs: DataFrame) -> DataFrame:
-    """Edit-operation statistics over edited pages, one row."""
-    e = programs.where("verdict = 'edit'").select(F.size("drop").alias("rm"), F.size("cuts").alias("sub"), F.col("body").isNotNull().alias("paged"))
+    """Edit-operation statistics over edited pages, one row: operations of a page, kinds, spans, where edits stand among the extracted
+    lines, and pages that touch the first or last of these."""
+    e = programs.where("verdict = 'edit'")
+    kept = F.filter(F.transform("lines", lambda x, i: i + 1), lambda i: ~F.exists("strip", lambda r: i.between(r["a"], r["b"])))
+    e = e.select("lines", "drop", "cuts", "body", kept.alias("kept")).withColumn("n", F.size("kept"))
+    spans = F.transform("drop", lambda r: F.struct((r["b"] - r["a"] + 1).alias("lines"), _sum(F.transform(F.slice("lines", r["a"], r["b"] - r["a"] + 1), count_words)).alias("words")))
+    ids = F.concat(F.flatten(F.transform("drop", lambda r: F.sequence(r["a"], r["b"]))), F.transform("cuts", lambda c: c["lid"]))
+    e = e.withColumns({"rm": F.size("drop"), "sub": F.size("cuts"), "spans": spans, "at": F.filter(F.transform(ids, lambda i: F.array_position("kept", i)), lambda p: p > 0)})
     share = lambda c: F.round(F.avg(c.cast("double")), 6)
-    rm, sub = F.col("rm") > 0, F.col("sub") > 0
-    return e.agg(F.count("*").alias("pages"), F.expr("percentile(rm, 0.5)").alias("median_rm"), F.round(F.avg("rm"), 6).alias("mean_rm"), F.round(F.avg("sub"), 6).alias("mean_sub"), share(rm & ~sub).alias("rm_only"), share(~rm & sub).alias("sub_only"), share(rm & sub).alias("both_kinds"), share(F.col("paged")).alias("page_text"))
+    rm, sub, paged = F.col("rm") > 0, F.col("sub") > 0, F.col("body").isNotNull()
+    page = e.agg(
+        F.count("*").alias("pages"), F.count_if(~paged).alias("by_operations"), F.count_if(paged).alias("by_page_text"), *_quartiles("rm"), *_quartiles("sub"), share(rm & ~sub).alias("rm_only"), share(~rm & sub).alias("sub_only"), share(rm & sub).alias("both_kinds"),
+        share(F.array_contains("at", F.lit(1).cast("long"))).alias("first_kept"), share(F.array_contains("at", F.col("n").cast("long"))).alias("last_kept"),
+    )
+    span = e.select(F.explode("spans").alias("x")).select(F.col("x.lines").alias("rm_lines"), F.col("x.words").alias("rm_words")).agg(*_quartiles("rm_lines"), *_quartiles("rm_words"))
+    cut = e.select(F.explode("cuts").alias("x")).select(count_words(F.col("x.frag")).alias("sub_words")).agg(*_quartiles("sub_words"))
+    at = e.select("n", F.explode("at").alias("p")).agg(*_thirds(F.col("p"), F.col("n"), "edits"))
+    return page.crossJoin(span).crossJoin(cut).crossJoin(at)  # one row each
 
 
 def length_profile(corpus: DataFrame, by: str = "pipeline") -> DataFrame:
     return corpus.groupBy(by).agg(F.count("*").alias("n"), F.expr("percentile(n_tokens, 0.5)").alias("median_tokens"), F.round(F.avg((F.col("n_tokens") < 100).cast("double")), 6).alias("under_100"))
 
 
+def length_histogram(corpus: DataFrame, by: str = "pipeline") -> DataFrame:
+    """Documents by powers of two of their tokens; those without any count under 0."""
+    low = F.when(F.col("n_tokens") > 0, F.pow(F.lit(2.0), F.floor(F.log2("n_tokens"))).cast("long")).otherwise(F.lit(0).cast("long"))
+    n = corpus.groupBy(by, low.alias("from_tokens")).agg(F.count("*").alias("n"))
+    return n.withColumn("share", F.round(F.col("n") / F.sum("n").over(Window.partitionBy(by)), 6))
+
+
 def paired_length(a: DataFrame, b: DataFrame, key: str = "page_id") -> DataFrame:
     """Share of pages whose text in ``a`` is shorter than in ``b``, and the median ratio, where both keep one."""
     j = a.select(key, F.col("n_tokens").alias("x")).join(b.select(key, F.col("n_tokens").alias("y")), key).where("x > 0 and y > 0")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from spark_curation.functions.text import let
+
 RANGES, CUTS = "array<struct<a:int,b:int>>", "array<struct<lid:int,frag:string>>"
 #: The tags of the two layouts and the items of payloads.
 VERDICT = r"<(keep|delete|edit|rewrite)>"
@@ -63,6 +65,7 @@ def parse(df: DataFrame, col: str = "output", strict: bool = False) -> DataFrame
     none = lambda kind: F.array().cast(kind)
     body = F.when((F.col("verdict") == "rewrite") | paged, F.col("__payload"))
     status = F.when(F.col("layout").isNull(), "malformed").otherwise("ok")
+    df = df.withColumn("payload", F.coalesce("__payload", F.lit("")))
     return df.withColumns({"body": body, "strip": F.coalesce("strip", none(RANGES)), "drop": F.coalesce("drop", none(RANGES)), "cuts": F.coalesce("cuts", none(CUTS)), "status": status}).drop("__strip", "__payload")
 
 
@@ -78,17 +81,22 @@ def validate(programs: DataFrame, lines: str = "lines") -> DataFrame:
         F.when(F.exists(ranges, lambda r: (r["a"] < 1) | (r["b"] > n)), "range"),
         F.when(F.exists("cuts", lambda c: F.coalesce(F.instr(text(c), c["frag"]) == 0, F.lit(True))), "fragment"),
         F.when((F.col("verdict") == "rewrite") & (F.col("body") == ""), "no_body"),
+        F.when(F.col("verdict").isin("keep", "delete") & (F.col("payload") != ""), "payload"),
     ]
     return programs.withColumn("problems", F.array_compact(F.array(*flags)))
 
 
 def to_ranges(flags: Column) -> Column:
     """Array of booleans, one for each line, to maximal inclusive ranges of the true ones."""
-    at = lambda i: F.coalesce(F.get(flags, i), F.lit(False))
-    ids = F.sequence(F.lit(0), F.greatest(F.size(flags) - 1, F.lit(0)))
-    starts = F.filter(ids, lambda i: at(i) & ~F.when(i > 0, at(F.greatest(i - 1, F.lit(0)))).otherwise(False))
-    ends = F.filter(ids, lambda i: at(i) & ~at(i + 1))
-    return F.zip_with(starts, ends, lambda a, b: F.struct((a + 1).alias("a"), (b + 1).alias("b")))
+
+    def of(held: Column) -> Column:
+        at = lambda i: F.coalesce(F.get(held, i), F.lit(False))
+        ids = F.sequence(F.lit(0), F.greatest(F.size(held) - 1, F.lit(0)))
+        starts = F.filter(ids, lambda i: at(i) & ~F.when(i > 0, at(F.greatest(i - 1, F.lit(0)))).otherwise(False))
+        ends = F.filter(ids, lambda i: at(i) & ~at(i + 1))
+        return F.zip_with(starts, ends, lambda a, b: F.struct((a + 1).alias("a"), (b + 1).alias("b")))
+
+    return let(flags, of)
 
 
 def _items(ranges: Column) -> Column:

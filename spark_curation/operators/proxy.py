@@ -1,50 +1,127 @@
-"""Downstream proxy: a word-bigram model of a corpus, put to choosing the true continuation among four.
+"""Downstream proxy: a word-bigram model of a corpus, put to five kinds of multiple choice.
 
 It stands in for pretraining: it orders corpora by how much usable text they hold and
-reproduces no number of a language model.
+reproduces no number of a language model. A task row is one bigram of one candidate of
+one question; candidate 0 is the right one.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from collections.abc import Sequence
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from spark_curation.functions.text import ngrams, words
+from spark_curation.functions.text import ngrams, portable_share, words
+
+SMOOTH, VOCABULARY = 0.1, 100_000
+#: Kinds of tasks by category, for category means.
+CATEGORIES = {"continue": "reading", "order": "language", "reply": "commonsense", "continue_en": "language", "continue_de": "language", "continue_fr": "language", "continue_es": "language", "rank": "quality"}
+#: Share of documents held out for continuation by language.
+HELD_OUT = 0.1
+
 
-SMOOTH = 0.1
+def _bigrams(rows: DataFrame) -> DataFrame:
+    """``(task, id, choice, ws)`` to one row for each bigram."""
+    g = rows.select("task", "id", "choice", F.posexplode(ngrams(F.col("ws"), 2)).alias("pos", "g"))
+    return g.select("task", "id", "choice", "pos", F.split("g", " ")[0].alias("w1"), F.split("g", " ")[1].alias("w2"))
 
 
-def train(corpus: DataFrame, repetition: float = 1.0, text_col: str = "text") -> DataFrame:
-    """``(w1, w2, c2, c1)``: bigram and first-word counts, times how often the corpus is repeated to fill the budget."""
+def _offer(rows: DataFrame, choices: int, buckets: int) -> DataFrame:
+    """Candidates of ``(task, id, last, tail)``: a question's own tail and those of the next ones by id in its bucket, so no list of all is ever ordered."""
+    bucket = F.floor(portable_share(F.lit("bucket"), F.col("id").cast("string")) * buckets).cast("int")
+    rows = rows.withColumn("b", bucket)
+    w = Window.partitionBy("task", "b")
+    ranked = rows.withColumns({"r": F.row_number().over(w.orderBy("id")) - 1, "n": F.count("*").over(w)})
+    asked = ranked.select("task", "b", "id", "last", F.explode(F.sequence(F.lit(0), F.lit(choices - 1))).alias("choice"), "r", "n").withColumn("from", F.pmod(F.col("r") + F.col("choice"), F.col("n")))
+    got = asked.join(ranked.select("task", "b", F.col("r").alias("from"), "tail"), ["task", "b", "from"])
+    return got.select("task", "id", "choice", F.concat(F.array("last"), F.col("tail")).alias("ws"))
+
+
+def continuation_tasks(items: DataFrame, task: Column | str = "continue", choices: int = 4, buckets: int = 4, id_col: str = "item_id", text_col: str = "text") -> DataFrame:
+    """The text's second half against those of other texts, after its first half's last word."""
     ws = words(F.lower(F.col(text_col)))
-    pairs = corpus.select(F.explode(ngrams(ws, 2)).alias("g")).groupBy("g").agg(F.count("*").alias("n"))
-    split = F.split("g", " ")
-    counted = pairs.select(split[0].alias("w1"), split[1].alias("w2"), (F.col("n") * repetition).alias("c2"))
-    ones = counted.groupBy("w1").agg(F.sum("c2").alias("c1"))
-    return counted.join(ones, "w1").select("w1", "w2", "c2", "c1")
+    named = F.lit(task) if isinstance(task, str) else task
+    half = items.select(named.alias("task"), F.col(id_col).alias("id"), ws.alias("w")).where(F.size("w") >= 8).withColumn("m", (F.size("w") / 2).cast("int"))
+    return _bigrams(_offer(half.select("task", "id", F.element_at("w", F.col("m")).alias("last"), F.slice("w", F.col("m") + 1, F.size("w")).alias("tail")), choices, buckets))
+
+
+def language_tasks(docs: DataFrame, choices: int = 4, buckets: int = 4) -> DataFrame:
+    """Continuation of held-out documents, each language a task of its own."""
+    return continuation_tasks(docs.where(held_out(F.col("doc_id"))), F.concat(F.lit("continue_"), F.col("lang")), choices, buckets, "doc_id")
+
+
+def held_out(doc_id: Column) -> Column:
+    return portable_share(F.lit("held"), doc_id.cast("string")) < HELD_OUT
+
+
+def order_tasks(items: DataFrame, id_col: str = "item_id", text_col: str = "text") -> DataFrame:
+    """A text as it is against its words in a shuffled order."""
+    rows = items.select(F.col(id_col).alias("id"), words(F.lower(F.col(text_col))).alias("w")).where(F.size("w") >= 8)
+    keyed = F.array_sort(F.transform("w", lambda x, i: F.struct(F.md5(F.concat(i.cast("string"), F.lit("|"), x)).alias("k"), x.alias("x"))))
+    both = F.array(F.col("w"), F.transform(keyed, lambda p: p["x"]))
+    return _bigrams(rows.select(F.lit("order").alias("task"), "id", F.posexplode(both).alias("choice", "ws")))
+
 
+def reply_tasks(turns: DataFrame, choices: int = 4, buckets: int = 4) -> DataFrame:
+    """The second turn of a conversation against those of others, after the first turn's last word."""
+    first = turns.withColumn("k", F.row_number().over(Window.partitionBy("conv_id").orderBy("turn", "text"))).where("k <= 2")
+    pair = first.groupBy("conv_id").agg(F.max(F.when(F.col("k") == 1, F.col("text"))).alias("a"), F.max(F.when(F.col("k") == 2, F.col("text"))).alias("b"))
+    split = pair.select(F.lit("reply").alias("task"), F.col("conv_id").alias("id"), words(F.lower("a")).alias("a"), words(F.lower("b")).alias("tail")).where("size(a) > 0 and size(tail) > 0")
+    return _bigrams(_offer(split.select("task", "id", F.element_at("a", -1).alias("last"), "tail"), choices, buckets))
 
-def continuation_tasks(items: DataFrame, choices: int = 4, id_col: str = "item_id", text_col: str = "text") -> DataFrame:
-    """``(id, choice, w1, w2, right)``: bigrams of each candidate continuation.
 
-    The text's first half is followed by its own second half (choice 0) or by that of
-    the items after it, in id order around the table; every split is at the middle word.
+def ranking_tasks(docs: DataFrame, labels: DataFrame, buckets: int = 4) -> DataFrame:
+    """A good text against a bad one of the same language."""
+    rows = docs.join(labels.select("doc_id", "quality"), "doc_id").select("doc_id", "lang", "quality", words(F.lower("text")).alias("ws")).where("size(ws) >= 2")
+    rows = rows.withColumn("b", F.floor(portable_share(F.lit("bucket"), F.col("doc_id").cast("string")) * buckets).cast("int"))
+    w = Window.partitionBy("lang", "b", "quality")
+    ranked = rows.withColumns({"r": F.row_number().over(w.orderBy("doc_id")) - 1, "n": F.count("*").over(w)})
+    good = ranked.where("quality = 1").select("lang", "b", F.col("r").alias("of"), F.col("ws").alias("good"), F.col("n").alias("n_good"))
+    n = good.groupBy("lang", "b").agg(F.max("n_good").alias("n_good"))
+    bad = ranked.where("quality = 0").join(n, ["lang", "b"]).withColumn("of", F.pmod("r", F.col("n_good"))).drop("n_good")
+    both = bad.join(good, ["lang", "b", "of"]).select(F.lit("rank").alias("task"), F.col("doc_id").alias("id"), F.posexplode(F.array("good", "ws")).alias("choice", "ws"))
+    return _bigrams(both)
+
+
+def suite_tasks(benchmark: DataFrame, turns: DataFrame, docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """All five kinds."""
+    parts = [continuation_tasks(benchmark), order_tasks(benchmark), reply_tasks(turns), language_tasks(docs), ranking_tasks(docs, labels)]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def train(corpus: DataFrame, tasks: DataFrame | None = None, by: Sequence[str] = (), weight: Column | float = 1.0, text_col: str = "text") -> DataFrame:
+    """``(by..., w1, w2, c2, c1)``: bigram and first-word counts, times how often a text is repeated to fill the budget.
+
+    With ``tasks``, only pairs whose first word some question asks for are counted and moved.
     """
     ws = words(F.lower(F.col(text_col)))
-    half = items.select(F.col(id_col).alias("id"), ws.alias("w")).where(F.size("w") >= 8).withColumn("m", (F.size("w") / 2).cast("int"))
-    tails = half.select("id", F.slice("w", F.col("m") + 1, F.size("w")).alias("tail"), F.element_at("w", F.col("m")).alias("last"))
-    n = tails.count()
-    ranked = tails.withColumn("r", F.row_number().over(Window.orderBy("id")) - 1)  # items of a benchmark: a bounded table
-    offered = ranked.select("id", "last", F.explode(F.sequence(F.lit(0), F.lit(choices - 1))).alias("choice"), "r").withColumn("from", F.pmod(F.col("r") + F.col("choice"), F.lit(max(n, 1))))
-    got = offered.join(ranked.select(F.col("r").alias("from"), "tail"), "from")
-    grams = ngrams(F.concat(F.array("last"), F.col("tail")), 2)
-    return got.select("id", "choice", F.posexplode(grams).alias("pos", "g")).select("id", "choice", "pos", F.split("g", " ")[0].alias("w1"), F.split("g", " ")[1].alias("w2"))
-
-
-def evaluate(model: DataFrame, tasks: DataFrame, vocabulary: int = 100_000) -> DataFrame:
-    """Accuracy of picking choice 0 by smoothed log likelihood, ties to the larger choice, as one row with the chance level."""
-    got = tasks.join(model, ["w1", "w2"], "left")
-    p = (F.coalesce("c2", F.lit(0.0)) + SMOOTH) / (F.coalesce("c1", F.lit(0.0)) + SMOOTH * vocabulary)
-    scored = got.groupBy("id", "choice").agg(F.round(F.avg(F.log(p)), 6).alias("score"))
-    best = scored.groupBy("id").agg(F.max(F.struct("score", "choice")).alias("best"), F.count("*").alias("k"))
-    return best.agg(F.count("*").alias("n"), F.round(F.avg((F.col("best.choice") == 0).cast("double")), 6).alias("acc"), F.round(F.avg(1 / F.col("k")), 6).alias("chance"))
+    weight = F.lit(float(weight)) if isinstance(weight, (int, float)) else weight
+    pairs = corpus.select(*by, weight.alias("weight"), F.explode(ngrams(ws, 2)).alias("g"))
+    pairs = pairs.select(*by, "weight", F.split("g", " ")[0].alias("w1"), F.split("g", " ")[1].alias("w2"))
+    if tasks is not None:
+        pairs = pairs.join(tasks.select("w1").distinct(), "w1", "left_semi")
+    counted = pairs.groupBy(*by, "w1", "w2").agg(F.sum("weight").alias("c2"))
+    ones = counted.groupBy(*by, "w1").agg(F.sum("c2").alias("c1"))
+    return counted.join(ones, [*by, "w1"]).select(*by, "w1", "w2", "c2", "c1")
+
+
+def evaluate(model: DataFrame, tasks: DataFrame, by: Sequence[str] = (), groups: DataFrame | None = None) -> DataFrame:
+    """``(by..., task, n, acc, chance)`` of picking candidate 0 by smoothed log likelihood, ties to the larger choice.
+
+    ``groups`` lists the values of ``by`` (a small table), so that a corpus without any known pair is judged as well.
+    """
+    asked = tasks.crossJoin(F.broadcast(groups)) if groups is not None else tasks
+    got = asked.join(model, [*by, "w1", "w2"], "left")
+    p = (F.coalesce("c2", F.lit(0.0)) + SMOOTH) / (F.coalesce("c1", F.lit(0.0)) + SMOOTH * VOCABULARY)
+    scored = got.groupBy(*by, "task", "id", "choice").agg(F.round(F.avg(F.log(p)), 6).alias("score"))
+    best = scored.groupBy(*by, "task", "id").agg(F.max(F.struct("score", "choice")).alias("best"), F.count("*").alias("k"))
+    return best.groupBy(*by, "task").agg(F.count("*").alias("n"), F.round(F.avg((F.col("best.choice") == 0).cast("double")), 6).alias("acc"), F.round(F.avg(1 / F.col("k")), 6).alias("chance"))
+
+
+def category() -> Column:
+    """The category of column ``task``."""
+    return F.create_map(*[F.lit(x) for kv in CATEGORIES.items() for x in kv])[F.col("task")]

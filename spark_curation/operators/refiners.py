@@ -17,7 +17,8 @@ def _lines(text: Column) -> Column:
 
 def noisy(lines: Column) -> Column:
     """Flags of lines that the stand-in policy removes: notices, short lines without an end, and copies of earlier ones."""
-    return F.transform(lines, lambda x, i: teachers.noise_line(x, F.slice(lines, F.lit(1), i)) | ((F.length(x) < 20) & ~x.rlike(r"[.!?]$")))
+    bad = teachers.noisy_lines(lines)
+    return F.zip_with(bad, lines, lambda b, x: b | ((F.length(x) < 20) & ~x.rlike(r"[.!?]$")))
 
 
 def chunk_programs(docs: DataFrame, id_col: str = "page_id") -> DataFrame:

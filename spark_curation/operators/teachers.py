@@ -63,9 +63,10 @@ def edu_score(text: Column) -> Column:
     return F.round(5 * F.sqrt(safe_ratio(F.size(F.array_distinct(ws)), n)) * safe_ratio(alpha, n) * safe_ratio(ended, F.size(lines)), 4)
 
 
-def noise_line(line: Column, before: Column) -> Column:
-    """A licence notice, or a line that stood before in the page; bibliographic lines and bylines are never noise."""
-    return (line.rlike(NOTICE) | F.array_contains(before, line)) & ~line.rlike(PROTECTED)
+def noisy_lines(lines: Column) -> Column:
+    """For each line whether it is a licence notice or stood before in the page; bibliographic lines and bylines are never noise, null lines neither."""
+    again = lambda x, i: F.array_position(lines, x) <= i
+    return F.transform(lines, lambda x, i: F.coalesce((again(x, i) | x.rlike(NOTICE)) & ~x.rlike(PROTECTED), F.lit(False)))
 
 
 def fragments(line: Column) -> Column:
@@ -81,16 +82,11 @@ def refine(df: DataFrame, rescue: str = "edu", threshold: float = 1.0, hi: float
     """
     from spark_curation.operators.program import CUTS, RANGES, to_ranges
 
-    pairs = F.transform("lines", lambda x, i: F.struct((i + 1).alias("lid"), x.alias("text")))
-    gone = lambda p: F.exists(F.col("strip"), lambda r: p["lid"].between(r["a"], r["b"]))
-    df = df.withColumn("__main", F.filter(pairs, lambda p: ~gone(p)))
-    df = df.withColumn("extracted", F.array_join(F.transform("__main", lambda p: p["text"]), "\n"))
+    df = df.withColumn("__main", F.transform("lines", lambda x, i: F.when(~F.exists(F.col("strip"), lambda r: (i + 1).between(r["a"], r["b"])), x)))
+    df = df.withColumn("extracted", F.array_join("__main", "\n"))
     df = df.withColumn("family", valueless(F.col("extracted"))).withColumn("edu", edu_score(F.col("extracted")))
-    texts = lambda upto: F.transform(F.filter("__main", lambda q: q["lid"] < upto), lambda q: q["text"])
-    df = df.withColumn("__noise", F.transform("__main", lambda p: F.struct(p["lid"].alias("lid"), noise_line(p["text"], texts(p["lid"])).alias("bad"))))
-    flags = F.transform("lines", lambda x, i: F.exists(F.col("__noise"), lambda q: (q["lid"] == i + 1) & q["bad"]))
-    df = df.withColumn("drop", to_ranges(flags))
-    clean = F.filter("__main", lambda p: ~F.exists(F.col("drop"), lambda r: p["lid"].between(r["a"], r["b"])))
+    df = df.withColumn("__bad", noisy_lines(F.col("__main"))).withColumn("drop", to_ranges(F.col("__bad")))
+    clean = F.filter(F.transform("__main", lambda x, i: F.struct((i + 1).alias("lid"), x.alias("text"))), lambda p: p["text"].isNotNull() & ~F.get("__bad", p["lid"] - 1))
     df = df.withColumn("cuts", F.flatten(F.transform(clean, lambda p: F.transform(fragments(p["text"]), lambda f: F.struct(p["lid"].alias("lid"), f.alias("frag"))))))
     df = fence(df).withColumn("rewritten", rewrite(F.col("extracted")))
     df = df.withColumn("accepted", accept_rewrite(F.col("extracted"), F.col("rewritten")))
@@ -113,7 +109,7 @@ def refine(df: DataFrame, rescue: str = "edu", threshold: float = 1.0, hi: float
             "body": F.when(F.col("verdict") == "rewrite", F.col("rewritten")),
             "status": F.lit("ok"),
         }
-    ).drop("__main", "__noise", "rewritten", "accepted")
+    ).drop("__main", "__bad", "rewritten", "accepted")
 
 
 def read_refinement(cleaned: Column, marker: str = DELETE_MARKER, head: int = HEAD) -> Column:

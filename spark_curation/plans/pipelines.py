@@ -47,7 +47,9 @@ def endpoint(rendered: DataFrame, call: Callable[[list[str]], list[str]], batch:
 
 
 def rendered_pages(pages: DataFrame, **kw) -> DataFrame:
-    return render.admit(fence(render.render_pages(pages, with_blocks=True, **kw))).where("skip_reason is null").drop("skip_reason")
+    """Admitted pages with their lines; pages that are rendered already are taken as they are."""
+    rendered = pages if "blocks" in pages.columns else fence(render.render_pages(pages, with_blocks=True, **kw))
+    return render.admit(rendered.select("page_id", "url", "lines", "blocks", "n_lines", "n_chars", "n_tokens")).where("skip_reason is null").drop("skip_reason")
 
 
 def programs(pages: DataFrame, backend: Backend = policy_outputs) -> DataFrame:
@@ -97,6 +99,7 @@ PIPELINES: dict[str, Callable[[DataFrame], DataFrame]] = {
 def corpora(pages: DataFrame, names: list[str] | None = None, deduplicate: bool = True) -> DataFrame:
     """``(pipeline, page_id, text, n_tokens)`` of several pipelines over the same pages, each deduplicated by itself."""
     out = None
+    pages = cut(render.render_pages(pages, with_blocks=True))  # rendered once for all pipelines
     for name in names or list(PIPELINES):
         part = PIPELINES[name](pages).select(F.lit(name).alias("pipeline"), F.col("page_id"), "text", count_words(F.col("text")).alias("n_tokens"))
         out = part if out is None else out.unionByName(part)

@@ -4,14 +4,14 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spark_curation import published
 from spark_curation.functions import sql as sql_surface
-from spark_curation.functions.text import count_words, ngrams, portable_share, words
+from spark_curation.functions.text import count_words, ngrams, words
 from spark_curation.io import cut, table
-from spark_curation.operators import align, dedup, execute, judges, metrics, postfilter, program, proxy, refiners, relational, render, rules, scrapers, student, targets, teachers
+from spark_curation.operators import align, dedup, execute, judges, metrics, postfilter, program, refiners, relational, render, rules, scrapers, student, targets, teachers
 from spark_curation.plans import pipelines
 from spark_curation.streaming import pages as streams
 
@@ -314,16 +314,6 @@ def rescue_variants(s, d):
     return out
 
 
-@query
-def selection_leaderboard(s, d):
-    """Kept words and documents by data configuration, ranked."""
-    out = None
-    for name, kw in {"edu 1.0": {}, "edu 1.5": {"threshold": 1.5}, "classifier": {"rescue": "classifier"}, "three_way": {"rescue": "three_way"}}.items():
-        one = execute.run(_policy(s, d, **kw)).agg(F.count_if(F.col("text").isNotNull()).alias("n_docs"), F.sum("words_out").alias("words")).select(F.lit(name).alias("variant"), "n_docs", "words")
-        out = one if out is None else out.union(one)
-    return out.withColumn("place", F.dense_rank().over(Window.orderBy(F.col("words").desc())))
-
-
 # ---- filters and deduplication ----
 
 
@@ -360,16 +350,6 @@ def unique_tokens(s, d):
     return metrics.unique_tokens(left.withColumn("pipeline", F.col("lang")))
 
 
-@query
-def distinct_3grams(s, d):
-    return metrics.distinct_ngrams(_docs(s, d), 3, by=("lang",))
-
-
-@query
-def distinct_5grams(s, d):
-    return metrics.distinct_ngrams(_docs(s, d), 5, by=("lang",))
-
-
 @query
 def equal_token_cut(s, d):
     x = _docs(s, d).select("doc_id", count_words(F.col("text")).alias("n_tokens"))
@@ -501,21 +481,6 @@ def chunk_route(s, d):
     return refiners.orchestrated(_docs(s, d), id_col="doc_id").select(F.col("page_id").alias("doc_id"), "n_chunks", "n_dropped", "n_cleaned", "n_guided", count_words(F.col("text")).alias("words_out"))
 
 
-@query
-def main_unique_tokens(s, d):
-    return metrics.unique_tokens(pipelines.corpora(_pages(s, d)))
-
-
-@query
-def cascade_tokens(s, d):
-    out = None
-    for scraper in scrapers.SCRAPERS:
-        for cleaner in ("b", "lineprog"):
-            one = pipelines.cascade(scrapers.SCRAPERS[scraper], cleaner)(_pages(s, d)).agg(F.count("*").alias("n_docs"), F.coalesce(F.sum(count_words(F.col("text"))), F.lit(0)).alias("words")).select(F.lit(scraper).alias("scraper"), F.lit(cleaner).alias("cleaner"), "n_docs", "words")
-            out = one if out is None else out.union(one)
-    return out
-
-
 @query
 def teacher_pipeline(s, d):
     """The teachers in sequence without program text, as the reference for the student."""
@@ -606,21 +571,6 @@ def judge_replies(s, d):
     return judges.read_replies(x).select("id", "judged.recall", "judged.verdict", "judged.value", "bad_reply")
 
 
-@query
-def extraction_judge(s, d):
-    gold, p = scrapers.teacher(_pages(s, d)), _pages(s, d)
-    out = None
-    for name in ("tagdrop", "density"):
-        one = judges.extraction(scrapers.SCRAPERS[name](p), gold).agg(F.round(F.avg("recall"), 4).alias("recall"), F.round(F.avg("precision"), 4).alias("precision"), F.round(F.avg("integrity"), 4).alias("integrity")).select(F.lit(name).alias("scraper"), "recall", "precision", "integrity")
-        out = one if out is None else out.union(one)
-    return out
-
-
-@query
-def length_profile(s, d):
-    return metrics.length_profile(pipelines.corpora(_pages(s, d), ["raw", "refiner_lineprog", "unified"], deduplicate=False))
-
-
 @query
 def paired_length(s, d):
     c = pipelines.corpora(_pages(s, d), ["raw", "unified"], deduplicate=False)
@@ -679,39 +629,6 @@ def token_f1_student(s, d):
 # ---- proxy suite ----
 
 
-@query
-def proxy_bigrams(s, d):
-    return proxy.train(_docs(s, d)).select("w1", "w2", F.col("c2").cast("long").alias("c2"), F.col("c1").cast("long").alias("c1"))
-
-
-@query
-def proxy_suite(s, d):
-    return proxy.evaluate(proxy.train(_docs(s, d)), proxy.continuation_tasks(table(s, d, "benchmark")))
-
-
-@query
-def main_suite(s, d):
-    tasks = cut(proxy.continuation_tasks(table(s, d, "benchmark")))
-    out = None
-    for name in ("raw", "rules_b", "unified"):
-        corpus = pipelines.corpora(_pages(s, d), [name], deduplicate=False)
-        one = proxy.evaluate(proxy.train(corpus), tasks).select(F.lit(name).alias("pipeline"), "n", F.round(metrics.centered(F.col("acc"), F.col("chance")), 4).alias("score"))
-        out = one if out is None else out.union(one)
-    return out
-
-
-@query
-def seed_variance(s, d):
-    """Five seeds of half the documents each; mean and deviation of the proxy score."""
-    tasks = cut(proxy.continuation_tasks(table(s, d, "benchmark")))
-    runs = None
-    for seed in range(5):
-        part = _docs(s, d).where(portable_share(F.lit(f"seed{seed}"), F.col("doc_id").cast("string")) < 0.5)
-        one = proxy.evaluate(proxy.train(part), tasks).select(F.lit("documents").alias("pipeline"), F.lit(seed).alias("seed"), metrics.centered(F.col("acc"), F.col("chance")).alias("score"))
-        runs = one if runs is None else runs.union(one)
-    return metrics.seed_summary(runs).select("pipeline", "n", "mean", "sd", F.round("least", 6).alias("least"), F.round("most", 6).alias("most"))
-
-
 @query
 def benchmark_hits(s, d):
     """Documents that share eight words in a row with a benchmark passage, by equi-join of 8-grams."""
