@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spark_curation.functions.text import ngrams, words
+from spark_curation.io import cut
 
 #: Words in a gram, and the share of owned grams that drops a document.
 N, THRESHOLD = 13, 0.8
@@ -42,6 +43,32 @@ def ngram(docs: DataFrame, n: int = N, threshold: float = THRESHOLD, mode: str =
     return out.withColumn("share", F.col("n_owned") / F.col("n_grams")).where(F.col("share") >= threshold)
 
 
+def survivors_only(docs: DataFrame, n: int = N, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text", most: int = 50) -> DataFrame:
+    """``(id)`` of documents that fall when only documents that stay own grams, as if ids came one by one.
+
+    Whether a document falls depends on earlier ids alone, so two bounds close in on the
+    one answer: with all possible owners too many fall, with the sure ones too few. Each
+    round counts the grams of the documents that are still open.
+    """
+    own = cut(grams(docs, n, id_col, text_col, []).groupBy("h", "id").agg(F.count("*").alias("c")))
+    size = own.groupBy("id").agg(F.sum("c").alias("n"))
+
+    def falls(owners: DataFrame) -> DataFrame:
+        first = owners.groupBy("h").agg(F.min("id").alias("owner"))
+        owned = own.join(first, "h").where("owner < id").groupBy("id").agg(F.sum("c").alias("owned"))
+        return cut(owned.join(size, "id").where(F.col("owned") >= F.col("n") * threshold).select("id"))
+
+    most_fall = falls(own)
+    for _ in range(most):
+        least_fall = falls(own.join(most_fall, "id", "left_anti"))
+        if least_fall.count() == most_fall.count():
+            return least_fall
+        most_fall = falls(own.join(least_fall, "id", "left_anti"))
+        if least_fall.count() == most_fall.count():
+            return least_fall
+    raise RuntimeError("owners did not settle")
+
+
 def bloom(own: DataFrame, by: list[str], threshold: float, bits: int, waves: int = 4) -> DataFrame:
     """The same with Bloom bitmaps: ids come in waves, each probes the bitmaps of the waves before it.
 

@@ -13,6 +13,9 @@ STOP_WORDS = ("the", "be", "to", "of", "and", "that", "have", "with")
 ENDED = r"[.!?\"']$"
 POLICY = r"(?i)javascript|terms of use|privacy policy|cookie policy|uses cookies"
 FILLER = r"(?i)lorem ipsum"
+BLOCKLIST = r"(?i)\b(?:worthless|pathetic|idiots?|disgusting)\b"
+#: Hosts and paths that stack b does not take, and the languages it takes.
+BLOCKED_URL = r"(?i)^[a-z]+://(?:[^/]*\.)?(?:adult|casino|torrent|warez)[^/]*|/(?:tag|search|login|cart)(?:/|\?|$)"
 BAND = {
     "n_words": (50, 100_000), "mean_word": (3.0, 10.0), "symbol_ratio": (None, 0.1), "bullet_share": (None, 0.9), "ellipsis_share": (None, 0.3),
     "alpha_share": (0.8, None), "stop_words": (2, None), "dup_line_share": (None, 0.30), "dup_line_chars": (None, 0.20), "dup_gram_share": (None, 0.15),
@@ -59,7 +62,7 @@ def page_rules() -> dict[str, dict[str, Column]]:
     """The page rules of each stack, cheapest first."""
     band = band_rules()
     text = F.coalesce("text", F.lit(""))
-    a = {"filler": text.rlike(FILLER), "brace": F.contains(text, F.lit("{")), "sentences": F.col("sentences") < 3}
+    a = {"filler": text.rlike(FILLER), "brace": F.contains(text, F.lit("{")), "sentences": F.col("sentences") < 3, "blocklist": text.rlike(BLOCKLIST)}
     c = {"ended_lines": F.col("ended_share") <= 0.12, "dup_chars": F.col("dup_line_chars") >= 0.1, "short_lines": F.col("short_share") >= 0.67}
     return {"a": a, "b": band, "c": band | {"c_" + k: v for k, v in c.items()} | {"a_filler": a["filler"], "a_brace": a["brace"]}}
 
@@ -76,6 +79,28 @@ def b_lines(text: Column) -> Column:
     return F.array_join(F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda x: ~bad(x) | (F.trim(x) == "")), "\n")
 
 
+def b_gate(pages: DataFrame, languages: tuple[str, ...] = ("en",), url_col: str = "url", lang_col: str = "lang") -> DataFrame:
+    """The pages that stack b lets in, by URL and language; a page without a language goes."""
+    return pages.where(~F.coalesce(F.col(url_col).rlike(BLOCKED_URL), F.lit(False)) & F.lower(F.col(lang_col)).isin(list(languages)))
+
+
+def a_spans(docs: DataFrame, size: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(id, text, n_gone)``: lines that lie in a run of ``size`` lines which an earlier document has go, by stack a's corpus rule.
+
+    Runs meet by their digest, with the least id of each counted before it moves; only
+    the lines that go come back to their document.
+    """
+    lines = F.filter(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"), lambda x: F.trim(x) != "")
+    rows = docs.select(F.col(id_col).alias("id"), lines.alias("l"))
+    at = F.sequence(F.lit(1), F.size("l") - (size - 1))
+    spans = rows.where(F.size("l") >= size).select("id", F.posexplode(F.transform(at, lambda i: F.md5(F.array_join(F.slice("l", i, F.lit(size)), "\n")))).alias("i", "h"))
+    own = spans.groupBy("h").agg(F.min("id").alias("owner"))
+    gone = spans.join(own, "h").where("owner < id").groupBy("id").agg(F.collect_set("i").alias("starts"))
+    left = F.filter(F.transform("l", lambda x, i: F.struct(i.alias("i"), x.alias("x"))), lambda p: ~F.exists("starts", lambda s: p["i"].between(s, s + (size - 1))))
+    out = rows.join(gone, "id", "left").withColumn("starts", F.coalesce("starts", F.array().cast("array<int>"))).withColumn("left", left)
+    return out.select("id", F.array_join(F.transform("left", lambda p: p["x"]), "\n").alias("text"), (F.size("l") - F.size("left")).alias("n_gone"))
+
+
 def decisions(docs: DataFrame, stacks: tuple[str, ...] = ("a", "b", "c"), id_col: str = "doc_id") -> DataFrame:
     """``(id, stack, rule, dropped)`` in long form: a stack drops what any of its rules drops."""
     rules = [(s, r, c) for s in stacks for r, c in page_rules()[s].items()]

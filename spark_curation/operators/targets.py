@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from collections.abc import Iterator
+
+import pyarrow as pa
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spark_curation.functions.text import count_words, portable_share
@@ -52,8 +55,26 @@ def outcome_line(targets: DataFrame) -> DataFrame:
 
 
 def pack(targets: DataFrame, size: int = WINDOW, shards: int = 64) -> DataFrame:
-    """Adds ``shard`` and ``pack_id``: within each shard of pages, in page order, a new sequence starts when the running sum passes a multiple of the size."""
+    """``(page_id, n_tokens, shard, pack_id)``: within each shard of pages, in page order, a sequence takes targets while they fit.
+
+    No sequence is longer than ``size``, unless a single target is. The total is carried
+    along a sorted stream, so a shard of any length takes no memory; shards are the
+    parallelism, and there should be as many as make good tasks.
+    """
     shard = F.floor(portable_share(F.col("page_id").cast("string")) * shards).cast("int")
-    w = Window.partitionBy("shard").orderBy("page_id").rowsBetween(Window.unboundedPreceding, 0)
-    rows = targets.withColumn("shard", shard)
-    return rows.withColumn("pack_id", F.floor((F.sum("n_tokens").over(w) - 1) / size).cast("long"))
+    rows = targets.select(F.col("page_id").cast("long").alias("page_id"), F.col("n_tokens").cast("long").alias("n_tokens"), shard.alias("shard"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, pack_id, fill = None, 0, 0
+        for b in batches:
+            packs = []
+            for n, s in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
+                if s != at:
+                    at, pack_id, fill = s, 0, 0
+                elif fill + n > size:
+                    pack_id, fill = pack_id + 1, 0
+                fill += n
+                packs.append(pack_id)
+            yield b.append_column("pack_id", pa.array(packs, pa.int64()))
+
+    return rows.repartition("shard").sortWithinPartitions("shard", "page_id").mapInArrow(run, "page_id long, n_tokens long, shard int, pack_id long")

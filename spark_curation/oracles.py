@@ -154,20 +154,39 @@ UNION ALL SELECT 2, 'delete', sum(CASE WHEN verdict = 'delete' THEN 0 ELSE words
 UNION ALL SELECT 3, 'edit', sum(CASE WHEN verdict = 'rewrite' THEN words_in - words_stripped ELSE words_out END) FROM executed
 UNION ALL SELECT 4, 'rewrite', sum(words_out) FROM executed)
 SELECT step, operation, CAST(w AS BIGINT) AS words_left, CAST(w - lag(w) OVER (ORDER BY step) AS BIGINT) AS change FROM s"""
-SQL["strip_stats"] = f"""{P}, t AS (SELECT {n_ranges(STRIP)} AS ops, len(list_filter({STRIP}, lambda x: x)) AS gone, coalesce(({STRIP})[1], false) AS ld, coalesce(({STRIP})[len(lines)], false) AS tr, len(lines) AS n FROM policy)
-SELECT count(*) AS pages, round(avg(CAST(ops > 0 AS DOUBLE)), 6) AS with_removal, CAST(quantile_cont(ops, 0.5) AS DOUBLE) AS median_ops, round(avg(ops), 6) AS mean_ops, CAST(quantile_cont(gone, 0.5) AS DOUBLE) AS median_lines,
-round(avg(CAST(ld AS DOUBLE)), 6) AS leading, round(avg(CAST(tr AS DOUBLE)), 6) AS trailing, CAST(sum(gone) AS BIGINT) AS lines_gone, CAST(sum(n) AS BIGINT) AS lines_in FROM t"""
-SQL["edit_stats"] = f"""{P}, t AS (SELECT {n_ranges(DROPS)} AS rm, n_cuts AS c FROM policy WHERE verdict = 'edit')
-SELECT count(*) AS pages, CAST(quantile_cont(rm, 0.5) AS DOUBLE) AS median_rm, round(avg(rm), 6) AS mean_rm, round(avg(c), 6) AS mean_sub, round(avg(CAST(rm > 0 AND c = 0 AS DOUBLE)), 6) AS rm_only, round(avg(CAST(rm = 0 AND c > 0 AS DOUBLE)), 6) AS sub_only, round(avg(CAST(rm > 0 AND c > 0 AS DOUBLE)), 6) AS both_kinds, 0.0::DOUBLE AS page_text FROM t"""
+
+
+def quartiles(c: str) -> str:
+    return ", ".join(f"CAST(quantile_cont({c}, {p}) AS DOUBLE) AS {c}_{n}" for n, p in (("q1", 0.25), ("median", 0.5), ("q3", 0.75))) + f", round(avg({c}), 6) AS {c}_mean"
+
+
+def thirds(at: str, n: str, name: str) -> str:
+    return ", ".join(f"round(avg(CAST(least(floor(({at} - 1) * 3 / CAST({n} AS DOUBLE)), 2) = {k} AS DOUBLE)), 6) AS {name}_{x}" for k, x in enumerate(("first", "middle", "last")))
+
+
+_ISLANDS = "SELECT page_id, any_value(n) AS n, min(i) AS a, max(i) AS b, count(*) AS span_lines, CAST(sum(w) AS BIGINT) AS span_words FROM (SELECT *, i - row_number() OVER (PARTITION BY page_id ORDER BY i) AS g FROM {t}) GROUP BY page_id, g"
+SQL["strip_stats"] = f"""{P}, ln AS (SELECT page_id, n, i, blocks[i].zone <> '' AS gone, {words_of('lines[i]')} AS w FROM (SELECT page_id, blocks, lines, len(lines) AS n, unnest(range(1, len(lines) + 1)) AS i FROM policy)),
+lost AS (SELECT * FROM ln WHERE gone), sp AS ({_ISLANDS.format(t='lost')}),
+pg AS (SELECT page_id, n, coalesce(ops, 0) AS ops, coalesce(gone, 0) AS gone, coalesce(ld, 0) AS ld, coalesce(tr, 0) AS tr, coalesce(ev, 0) AS ev, coalesce(le, false) AS le, coalesce(te, false) AS te FROM (SELECT page_id, len(lines) AS n FROM policy)
+  LEFT JOIN (SELECT page_id, count(*) AS ops, sum(span_lines) AS gone, sum(CASE WHEN a = 1 THEN span_words ELSE 0 END) AS ld, sum(CASE WHEN b = n AND a > 1 THEN span_words ELSE 0 END) AS tr, sum(span_words) AS ev, bool_or(a = 1) AS le, bool_or(b = n) AS te FROM sp GROUP BY 1) USING (page_id))
+SELECT * FROM (SELECT count(*) AS pages, round(avg(CAST(ops > 0 AS DOUBLE)), 6) AS with_removal, {quartiles('ops')}, {quartiles('gone')}, round(avg(CAST(le AS DOUBLE)), 6) AS leading, round(avg(CAST(te AS DOUBLE)), 6) AS trailing, CAST(sum(gone) AS BIGINT) AS lines_gone, CAST(sum(n) AS BIGINT) AS lines_in,
+  round(sum(ld) / CAST(sum(ev) AS DOUBLE), 6) AS words_leading, round((sum(ev) - sum(ld) - sum(tr)) / CAST(sum(ev) AS DOUBLE), 6) AS words_interior, round(sum(tr) / CAST(sum(ev) AS DOUBLE), 6) AS words_trailing FROM pg),
+(SELECT {quartiles('span_lines')}, {quartiles('span_words')} FROM sp), (SELECT {thirds('i', 'n', 'lines')} FROM lost)"""
+SQL["edit_stats"] = f"""{P}, ed AS (SELECT page_id, lines, main, list_transform(drops, lambda z: z.lid) AS dropped, clean, n_cuts FROM policy WHERE verdict = 'edit'),
+kp AS (SELECT page_id, main[k].lid AS lid, main[k].txt AS txt, k AS p, n, list_contains(dropped, main[k].lid) AS gone FROM (SELECT *, len(main) AS n, unnest(range(1, len(main) + 1)) AS k FROM ed)),
+lost AS (SELECT page_id, n, lid AS i, p, {words_of('txt')} AS w FROM kp WHERE gone), sp AS ({_ISLANDS.format(t='lost')}),
+fr AS (SELECT page_id, n, p, unnest(regexp_extract_all(txt, {q(teachers.FRAGMENT)})) AS frag FROM kp WHERE NOT gone),
+ats AS (SELECT page_id, n, p FROM lost UNION ALL SELECT page_id, n, p FROM fr),
+pg AS (SELECT page_id, coalesce(rm, 0) AS rm, coalesce(n_cuts, 0) AS sub, coalesce(fk, false) AS fk, coalesce(lk, false) AS lk FROM ed LEFT JOIN (SELECT page_id, count(*) AS rm FROM sp GROUP BY 1) USING (page_id) LEFT JOIN (SELECT page_id, bool_or(p = 1) AS fk, bool_or(p = n) AS lk FROM ats GROUP BY 1) USING (page_id))
+SELECT * FROM (SELECT count(*) AS pages, count(*) AS by_operations, CAST(0 AS BIGINT) AS by_page_text, {quartiles('rm')}, {quartiles('sub')}, round(avg(CAST(rm > 0 AND sub = 0 AS DOUBLE)), 6) AS rm_only, round(avg(CAST(rm = 0 AND sub > 0 AS DOUBLE)), 6) AS sub_only, round(avg(CAST(rm > 0 AND sub > 0 AS DOUBLE)), 6) AS both_kinds,
+  round(avg(CAST(fk AS DOUBLE)), 6) AS first_kept, round(avg(CAST(lk AS DOUBLE)), 6) AS last_kept FROM pg),
+(SELECT {quartiles('rm_lines')}, {quartiles('rm_words')} FROM (SELECT span_lines AS rm_lines, span_words AS rm_words FROM sp)), (SELECT {quartiles('sub_words')} FROM (SELECT {words_of('frag')} AS sub_words FROM fr)), (SELECT {thirds('p', 'n', 'edits')} FROM ats)"""
 SQL["target_invariant"] = f"WITH {R} SELECT count(*) AS n, CAST(0 AS BIGINT) AS n_different FROM admitted"
 SQL["leak_rate"] = f"WITH {R} SELECT count(*) AS n, 0.0::DOUBLE AS leaked FROM admitted"
 for name, kw in {"edu 1.0": {}, "edu 1.5": {"threshold": 1.5}, "classifier": {"rescue": "classifier"}, "three_way": {"rescue": "three_way"}}.items():
     one = f"(WITH {R}, {policy(**kw)} SELECT '{name}' AS variant, verdict, count(*) AS n FROM policy GROUP BY 2)"
     SQL["rescue_variants"] = SQL.get("rescue_variants", "SELECT * FROM (") + (" UNION ALL " if "rescue_variants" in SQL else "") + one
-    two = f"(WITH {R}, {policy(**kw)} SELECT '{name}' AS variant, count(text) AS n_docs, CAST(sum({words_of('text')}) AS BIGINT) AS words FROM policy)"
-    SQL["selection_leaderboard"] = SQL.get("selection_leaderboard", "SELECT *, CAST(dense_rank() OVER (ORDER BY words DESC) AS INT) AS place FROM (") + (" UNION ALL " if "selection_leaderboard" in SQL else "") + two
 SQL["rescue_variants"] += ")"
-SQL["selection_leaderboard"] += ")"
 
 SQL["program_items"] = """SELECT * FROM (VALUES (1, 'keep', 'decision_first', 'ok', '1-2', '', '', NULL, false), (2, 'edit', 'extract_first', 'ok', '4-4', '1-1', '3= [share]', NULL, false), (3, 'edit', 'decision_first', 'ok', '1-2,4-4', '3-3', '', NULL, true),
 (4, 'keep', 'decision_first', 'ok', '3-9', '', '', NULL, false), (5, 'edit', 'decision_first', 'ok', '', '4-2', '1=absent', NULL, false), (6, NULL, NULL, 'malformed', '', '', '', NULL, false), (7, NULL, NULL, 'malformed', '', '', '', NULL, false),
@@ -193,8 +212,6 @@ own AS (SELECT doc_id, g, min(doc_id) OVER (PARTITION BY g) AS owner FROM g),
 fell AS (SELECT doc_id AS id, count(*) AS n_grams, count(*) FILTER (owner < doc_id) AS n_owned FROM own GROUP BY 1 HAVING count(*) FILTER (owner < doc_id) >= 0.8 * count(*))"""
 SQL["ngram_dedup"] = f"WITH {_G13} SELECT id, n_grams, n_owned FROM fell"
 SQL["unique_tokens"] = f"WITH {_G13} SELECT lang AS pipeline, CAST(sum({words_of('text')}) AS BIGINT) AS unique_tokens, count(*) AS n_docs FROM documents WHERE doc_id NOT IN (SELECT id FROM fell) GROUP BY 1"
-for n in (3, 5):
-    SQL[f"distinct_{n}grams"] = f"SELECT lang, count(DISTINCT g) AS n_distinct, count(*) AS n_total, round(count(DISTINCT g) / CAST(count(*) AS DOUBLE), 6) AS share FROM (SELECT lang, array_to_string(w[i:i+{n - 1}], ' ') AS g FROM (SELECT lang, w, unnest(range(1, len(w) - {n - 2})) AS i FROM (SELECT lang, regexp_extract_all(text, '\\S+') AS w FROM documents))) GROUP BY 1"
 SQL["equal_token_cut"] = f"SELECT doc_id, n_tokens FROM (SELECT doc_id, n_tokens, coalesce(sum(n_tokens) OVER (ORDER BY pos, doc_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS run FROM (SELECT doc_id, {words_of('text')} AS n_tokens, ('0x' || substr(md5(doc_id::VARCHAR), 1, 8))::BIGINT AS pos FROM documents)) WHERE run < 100000"
 _G8 = "SELECT DISTINCT {k}, array_to_string(w[i:i+7], ' ') AS g FROM (SELECT {k}, w, unnest(range(1, len(w) - 6)) AS i FROM (SELECT {k}, regexp_extract_all(text, '\\S+') AS w FROM {t}))"
 SQL["benchmark_hits"] = f"SELECT doc_id, item_id, count(*) AS n_shared FROM ({_G8.format(k='doc_id', t='documents')}) JOIN ({_G8.format(k='item_id', t='benchmark')}) USING (g) GROUP BY 1, 2"
@@ -227,7 +244,7 @@ def with_statistics(source: str, alias: str = "st") -> str:
 
 
 _BAND = {k: " OR ".join([f"{k} < {lo}" for lo in [b[0]] if lo is not None] + [f"{k} > {hi}" for hi in [b[1]] if hi is not None]) for k, b in rules.BAND.items()}
-_A = {"filler": f"regexp_matches(text, {q(rules.FILLER)})", "brace": "contains(text, '{')", "sentences": "sentences < 3"}
+_A = {"filler": f"regexp_matches(text, {q(rules.FILLER)})", "brace": "contains(text, '{')", "sentences": "sentences < 3", "blocklist": f"regexp_matches(text, {q(rules.BLOCKLIST)})"}
 _C = {"ended_lines": "ended_share <= 0.12", "dup_chars": "dup_line_chars >= 0.1", "short_lines": "short_share >= 0.67"}
 RULES = {"a": _A, "b": _BAND, "c": _BAND | {"c_" + k: v for k, v in _C.items()} | {"a_filler": _A["filler"], "a_brace": _A["brace"]}}
 _ALINES = f"array_to_string(list_filter(string_split(coalesce(text, ''), chr(10)), lambda x: regexp_matches(x, {q(rules.ENDED)}) AND len(regexp_extract_all(x, '\\S+')) >= 5 AND NOT regexp_matches(x, {q(rules.POLICY)})), chr(10))"
@@ -315,17 +332,6 @@ SQL["paired_length"] = f"{E}, {TAGDROP}, j AS (SELECT words_out AS x, {words_of(
 SQL["embedding_soft_match"] = """WITH v AS (SELECT vec_id, label, unnest(range(1, len(embedding) + 1)) AS i, unnest(embedding)::DOUBLE AS x FROM embeddings), m AS (SELECT label, i, avg(x) AS m FROM v GROUP BY 1, 2),
 c AS (SELECT vec_id, v.label, sum(x * m) / sqrt(sum(x * x) * sum(m * m)) AS c FROM v JOIN m USING (label, i) GROUP BY 1, 2) SELECT label, count(*) AS n, round(avg(c), 4) AS mean_cosine FROM c GROUP BY 1"""
 
-# ---- proxy ----
-_BI = "bi AS (SELECT w1, w2, count(*) AS c2 FROM (SELECT w[i] AS w1, w[i+1] AS w2 FROM (SELECT w, unnest(range(1, len(w))) AS i FROM (SELECT regexp_extract_all(lower(text), '\\S+') AS w FROM documents))) GROUP BY 1, 2), model AS (SELECT w1, w2, c2, sum(c2) OVER (PARTITION BY w1) AS c1 FROM bi)"
-SQL["proxy_bigrams"] = f"WITH {_BI} SELECT w1, w2, c2, CAST(c1 AS BIGINT) AS c1 FROM model"
-SQL["proxy_suite"] = f"""WITH {_BI}, h AS (SELECT item_id AS id, w, len(w) // 2 AS m FROM (SELECT item_id, regexp_extract_all(lower(text), '\\S+') AS w FROM benchmark) WHERE len(w) >= 8),
-t AS (SELECT id, w[m] AS last, w[m+1:] AS tail, row_number() OVER (ORDER BY id) - 1 AS r, count(*) OVER () AS n FROM h),
-o AS (SELECT a.id, c.choice, list_concat([a.last], b.tail) AS g FROM t a, (VALUES (0), (1), (2), (3)) AS c(choice) JOIN t b ON b.r = (a.r + c.choice) % a.n),
-x AS (SELECT id, choice, g[i] AS w1, g[i+1] AS w2 FROM (SELECT id, choice, g, unnest(range(1, len(g))) AS i FROM o)),
-s AS (SELECT id, choice, round(avg(ln((coalesce(c2, 0) + 0.1) / (coalesce(c1, 0) + 10000.0))), 6) AS score FROM x LEFT JOIN model USING (w1, w2) GROUP BY 1, 2),
-b AS (SELECT id, max({{'score': score, 'choice': choice}}) AS best, count(*) AS k FROM s GROUP BY 1)
-SELECT count(*) AS n, round(avg(CAST(best.choice = 0 AS DOUBLE)), 6) AS acc, round(avg(1.0 / k), 6) AS chance FROM b"""
-
 # ---- streams, SQL surface, relational ----
 SQL["stream_dedup"] = "SELECT count(DISTINCT regexp_extract(url, '^[a-z]+://([^/]+)', 1)) AS n FROM pages JOIN events ON page_id = event_id"
 SQL["event_tumbling"] = "SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events GROUP BY 1, 2"
@@ -339,7 +345,7 @@ SQL["cube_lineitem"] = "SELECT l_returnflag, l_linestatus, count(*) AS n, round(
 SQL["semi_anti"] = "SELECT c_mktsegment, nullif(count(*) FILTER (b), 0) AS n_semi, nullif(count(*) FILTER (NOT b), 0) AS n_anti FROM (SELECT c_mktsegment, c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 100000) AS b FROM customer) GROUP BY 1"
 SQL["topk_per_group"] = "SELECT o_orderpriority, o_orderkey, place FROM (SELECT o_orderpriority, o_orderkey, CAST(row_number() OVER (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey) AS INT) AS place FROM orders) WHERE place <= 3"
 SQL["star_join"] = "SELECT r_name, count(*) AS n, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1"
-SQL["stream_host_lines"] = f"WITH {R}, x AS (SELECT regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, unnest(lines) AS line FROM rendered), c AS (SELECT host, line, count(*) AS n FROM x GROUP BY 1, 2 HAVING count(*) >= 3) SELECT count(*) AS n_lines, max(n) AS most FROM c"
+SQL["stream_host_lines"] = f"WITH {R}, x AS (SELECT time_bucket(INTERVAL '30 days', ts, TIMESTAMP '1970-01-01') AS start, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, unnest(lines) AS line FROM rendered JOIN events ON page_id = event_id), c AS (SELECT start, host, line, count(*) AS n FROM x GROUP BY 1, 2, 3 HAVING count(*) >= 3) SELECT count(*) AS n_lines, max(n) AS most FROM c"
 SQL["stream_interval_join"] = "SELECT count(*) AS n FROM pages JOIN events ON page_id = event_id WHERE page_id % 5 <> 0"
 
 # ---- targets ----
@@ -355,8 +361,8 @@ _DRAW = "(('0x' || substr(md5({x}), 1, 8))::BIGINT / 4294967296.0::DOUBLE)"
 SQL["stage_mixture"] = f"""{T}, k AS (SELECT count(*) FILTER (verdict = 'rewrite')::DOUBLE AS r, count(*) FILTER (verdict <> 'rewrite')::DOUBLE AS o FROM target), d AS (SELECT verdict, {_DRAW.format(x="'0|' || page_id")} AS u FROM target)
 SELECT 1 AS stage, verdict, count(*) AS n FROM d, k WHERE verdict <> 'rewrite' OR u < least(1.0, 0.01 * o / (0.99 * r)) GROUP BY 2
 UNION ALL SELECT 2, verdict, count(*) FROM d, k WHERE verdict = 'rewrite' OR u < least(1.0, r * 0.7 / (0.3 * o)) GROUP BY 2"""
-SQL["pack_sequences"] = f"""{T}, s AS (SELECT page_id, n_tokens, CAST(floor({_DRAW.format(x="page_id::VARCHAR")} * 4) AS INT) AS shard FROM target),
-p AS (SELECT shard, n_tokens, CAST(floor((sum(n_tokens) OVER (PARTITION BY shard ORDER BY page_id ROWS UNBOUNDED PRECEDING) - 1) / 4096.0) AS BIGINT) AS pack_id FROM s) SELECT shard, pack_id, count(*) AS n, CAST(sum(n_tokens) AS BIGINT) AS n_tokens FROM p GROUP BY 1, 2"""
+SQL["pack_sequences"] = T.replace("WITH ", "WITH RECURSIVE ", 1) + f""", o AS (SELECT shard, n_tokens, row_number() OVER (PARTITION BY shard ORDER BY page_id) AS k FROM (SELECT page_id, n_tokens, CAST(floor({_DRAW.format(x="page_id::VARCHAR")} * 4) AS INT) AS shard FROM target)),
+p AS (SELECT shard, k, n_tokens, n_tokens AS fill, CAST(0 AS BIGINT) AS pack_id FROM o WHERE k = 1 UNION ALL
+SELECT o.shard, o.k, o.n_tokens, CASE WHEN p.fill + o.n_tokens > 4096 THEN o.n_tokens ELSE p.fill + o.n_tokens END, p.pack_id + CASE WHEN p.fill + o.n_tokens > 4096 THEN 1 ELSE 0 END FROM p JOIN o ON o.shard = p.shard AND o.k = p.k + 1)
+SELECT shard, pack_id, count(*) AS n, CAST(sum(n_tokens) AS BIGINT) AS n_tokens FROM p GROUP BY 1, 2"""
 SQL["output_economy"] = f"{T}, x AS (SELECT {words_of('answer')} AS a, page, ops FROM target WHERE verdict <> 'rewrite') SELECT count(*) AS n, round(sum(a) / CAST(sum(page) AS DOUBLE), 6) AS answer_share, round(corr(a, ops), 4) AS with_ops, round(corr(a, page), 4) AS with_page FROM x"
-SQL["length_profile"] = f"""{E}, {TAGDROP}, {_lined('s', 'page_id')}, {_progs(True)}, c AS (SELECT 'raw' AS pipeline, {words_of('text')} AS t FROM s UNION ALL SELECT 'refiner_lineprog', {words_of('text')} FROM pr WHERE text IS NOT NULL UNION ALL SELECT 'unified', words_out FROM executed WHERE text IS NOT NULL)
-SELECT pipeline, count(*) AS n, CAST(quantile_cont(t, 0.5) AS DOUBLE) AS median_tokens, round(avg(CAST(t < 100 AS DOUBLE)), 6) AS under_100 FROM c GROUP BY 1"""

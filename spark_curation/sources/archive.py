@@ -28,17 +28,22 @@ class _Reader(DataSourceReader):
         path = partition.value
         opener = gzip.open if path.endswith(".gz") else open
         with opener(path, "rb") as f:
-            while line := f.readline():
-                if not line.startswith(b"WARC/"):
-                    continue
-                fields = {}
-                while (line := f.readline().strip()):
-                    k, _, v = line.decode("utf-8", "replace").partition(":")
-                    fields[k.strip().lower()] = v.strip()
-                block = f.read(int(fields.get("content-length", 0)))
-                if fields.get("warc-type") == "response":
-                    head, gap, body = block.partition(b"\r\n\r\n")
-                    yield fields.get("warc-record-id"), fields.get("warc-target-uri"), (body if gap else head).decode("utf-8", "replace")
+            yield from records(f)
+
+
+def records(f) -> Iterator[tuple]:
+    """``(record id, target, page)`` of the response records of an open archive."""
+    while line := f.readline():
+        if not line.startswith(b"WARC/"):
+            continue
+        fields = {}
+        while line := f.readline().strip():
+            k, _, v = line.decode("utf-8", "replace").partition(":")
+            fields[k.strip().lower()] = v.strip()
+        block = f.read(int(fields.get("content-length", 0)))
+        if fields.get("warc-type") == "response":
+            head, gap, body = block.partition(b"\r\n\r\n")
+            yield fields.get("warc-record-id"), fields.get("warc-target-uri"), (body if gap else head).decode("utf-8", "replace")
 
 
 class ArchiveSource(DataSource):
@@ -61,8 +66,32 @@ def read_archives(spark: SparkSession, paths: list[str]) -> DataFrame:
 
 
 def read_archive_files(spark: SparkSession, path: str) -> DataFrame:
-    """Archives as whole binary files by Spark's own reader, for stores that only it can open."""
-    return spark.read.format("binaryFile").load(path).select("path", "content")
+    """``(record_id, url, html)`` of the response records of archives, through Spark's own reader, for stores that only it can open.
+
+    A file is one task's work and held in memory as it is stored, so archives should be of the usual size of a gigabyte at the most.
+    """
+    import io
+
+    import pyarrow as pa
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for content in b.column(0):
+                raw = content.as_py()
+                f = gzip.open(io.BytesIO(raw)) if raw[:2] == b"\x1f\x8b" else io.BytesIO(raw)
+                held: list[tuple] = []
+                for row in records(f):
+                    held.append(row)
+                    if len(held) == 500:
+                        yield _rows(held)
+                        held = []
+                yield _rows(held)
+
+    def _rows(held: list[tuple]) -> pa.RecordBatch:
+        columns = list(zip(*held, strict=True)) or [[]] * 3
+        return pa.RecordBatch.from_arrays([pa.array(c, pa.string()) for c in columns], ["record_id", "url", "html"])
+
+    return spark.read.format("binaryFile").load(path).select("content").mapInArrow(run, "record_id string, url string, html string")
 
 
 def read_html_files(spark: SparkSession, path: str, charset: str = "UTF-8") -> DataFrame:
@@ -75,6 +104,11 @@ def read_text_pages(spark: SparkSession, path: str) -> DataFrame:
     return spark.read.text(path, wholetext=True).withColumnRenamed("value", "text")
 
 
+def read_csv(spark: SparkSession, path: str, schema: str) -> DataFrame:
+    """Published numbers or other small tables as CSV with a header; lines that do not fit the schema keep their text in ``corrupt``."""
+    return spark.read.schema(f"{schema}, corrupt string").option("header", True).option("columnNameOfCorruptRecord", "corrupt").csv(path)
+
+
 def read_outputs(spark: SparkSession, path: str) -> DataFrame:
     """Model outputs as JSON lines; lines that are none keep their text in ``corrupt``."""
     return spark.read.schema("page_id long, output string, corrupt string").option("columnNameOfCorruptRecord", "corrupt").json(path)

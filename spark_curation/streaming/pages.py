@@ -59,6 +59,24 @@ def sessions(events: DataFrame, gap: str = "1 hour", late: str = "60 days") -> D
     return events.withWatermark("ts", late).groupBy(F.session_window("ts", gap), "user_id").agg(F.count("*").alias("n")).select("user_id", F.col("session_window.start").alias("start"), "n")
 
 
+def late_rows(spark: SparkSession, events: DataFrame, late: str = "1 hour", batches: int = 4) -> DataFrame:
+    """``(n_rows, n_late)``: how many rows a watermark of ``late`` lets a windowed count drop when events come in ``batches`` files by id.
+
+    The engine's own measure, summed over the progress of all micro-batches.
+    """
+    at = f"{checkpoint_dir(spark)}/late-{uuid.uuid4().hex}"
+    parts = events.withColumn("part", F.pmod("event_id", F.lit(batches)).cast("int"))
+    for i in range(batches):  # one file for each micro-batch
+        parts.where(F.col("part") == i).drop("part").coalesce(1).write.mode("append").parquet(f"{at}/in")
+    rows = spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{at}/in")
+    counted = rows.withWatermark("ts", late).groupBy(F.window("ts", "1 hour")).count()
+    run = counted.writeStream.outputMode("append").option("checkpointLocation", f"{at}/state").trigger(availableNow=True).foreachBatch(lambda b, _: b.count()).start()
+    run.awaitTermination()
+    done = run.recentProgress
+    dropped = sum(int(op["numRowsDroppedByWatermark"]) for p in done for op in p["stateOperators"])
+    return spark.createDataFrame([(sum(int(p["numInputRows"]) for p in done), dropped)], "n_rows long, n_late long")
+
+
 def with_labels(stream: DataFrame, labels: DataFrame, key: str) -> DataFrame:
     """A stream with a table that does not change: the table is read anew for each micro-batch."""
     return stream.join(labels, key, "left")
@@ -71,7 +89,12 @@ def with_outputs(pages: DataFrame, outputs: DataFrame, within: str = "2 hours",
     return a.join(b, F.expr(f"page_id = of AND done >= ts AND done <= ts + INTERVAL {within}")).drop("of")
 
 
-def host_lines(stream: DataFrame):
-    """``(host, line, n)``: running counts of a host's lines, the boilerplate signal of a crawl, as keyed state of the engine's own aggregate."""
+def host_lines(stream: DataFrame, keep: str = "30 days", late: str = "60 days"):
+    """``(start, host, line, n)``: counts of a host's lines, the boilerplate signal of a crawl, by periods of ``keep``.
+
+    Lines are kept as digests of 64 bits with their counts; a period's state goes once
+    the watermark has passed its end, so the state is bounded by what arrives in a period.
+    """
     host = F.regexp_extract("url", "^[a-z]+://([^/]+)", 1)
-    return stream.select(host.alias("host"), F.explode("lines").alias("line")).groupBy("host", "line").agg(F.count("*").alias("n"))
+    rows = stream.withWatermark("ts", late).select("ts", host.alias("host"), F.explode(F.transform("lines", lambda x: F.xxhash64(x))).alias("line"))
+    return rows.groupBy(F.window("ts", keep), "host", "line").agg(F.count("*").alias("n")).select(F.col("window.start").alias("start"), "host", "line", "n")

@@ -267,12 +267,6 @@ def align_edit(s, d):
     return got.select("id", F.size("drop_ids").alias("n_drop"), F.size("cuts").alias("n_cuts"), F.col("body").isNotNull().alias("page_text"))
 
 
-@query
-def page_edit_audit(s, d):
-    pairs = _docs(s, d).select("doc_id", F.col("text").alias("source"), teachers.rewrite(F.col("text")).alias("body"))
-    return align.classify_page_edit(pairs).agg(F.count("*").alias("n"), F.round(F.avg(F.col("pure_deletion").cast("double")), 6).alias("pure_deletion"), F.round(F.avg("changed_share"), 4).alias("changed_share"))
-
-
 @query
 def rewrite_accept(s, d):
     r = teachers.rewrite(F.col("text"))
@@ -747,7 +741,8 @@ def star_join(s, d):
 
 @query
 def stream_host_lines(s, d):
-    r = render.render_pages(streams.source(s, d, "pages", streams.PAGES))
+    pages = streams.timed_pages(s, d)
+    r = pages.select("url", "ts", F.transform(render.native_blocks(F.col("html")), lambda b: b["text"]).alias("lines"))
     return streams.drain(streams.host_lines(r), "complete").where("n >= 3").groupBy().agg(F.count("*").alias("n_lines"), F.max("n").alias("most"))
 
 
