@@ -47,5 +47,5 @@ def register(spark: SparkSession) -> None:
     verdict = "regexp_extract(output, '^\\\\s*<(keep|delete|edit|rewrite)>', 1)"
     payload = "regexp_extract(output, '(?s)<extract>(.*?)<(?:keep|delete|edit|rewrite)>(.*)$', {})"
     kept = f"nullif(array_join(transform(filter(transform(lines, (x, i) -> struct(i + 1 AS lid, x AS x)), p -> NOT array_contains(concat(removed_lines({payload.format(1)}), CASE WHEN {verdict} = 'edit' THEN removed_lines({payload.format(2)}) ELSE cast(array() AS ARRAY<INT>) END), p.lid)), p -> p.x), '\\n'), '')"
-    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION run_program(lines ARRAY<STRING>, output STRING) RETURNS STRING RETURN CASE {verdict} WHEN 'delete' THEN NULL WHEN 'rewrite' THEN nullif(regexp_replace({payload.format(2)}, r'^\s+|\s+$', ''), '') WHEN '' THEN NULL ELSE {kept} END")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION run_program(lines ARRAY<STRING>, output STRING) RETURNS STRING RETURN CASE {verdict} WHEN 'delete' THEN NULL WHEN 'rewrite' THEN nullif(regexp_replace({payload.format(2)}, r'^\\s+|\\s+$', ''), '') WHEN '' THEN NULL ELSE {kept} END")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION numbered(lines ARRAY<STRING>) RETURNS STRING RETURN array_join(transform(lines, (x, i) -> concat('<lid:', i + 1, '> ', x)), '\n')")

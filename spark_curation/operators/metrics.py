@@ -262,7 +262,7 @@ def soft_match_f1(pairs: DataFrame, a: str = "source", b: str = "out", dim: int
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            t = batch.to_pydict()
+            t = {a: batch.column(a).to_pylist(), b: batch.column(b).to_pylist()}
             yield batch.append_column("soft_f1", pa.array([f1(x, y) for x, y in zip(t[a], t[b], strict=True)], pa.float64()))
 
     return pairs.mapInArrow(run, ", ".join(f"`{n}` {k}" for n, k in pairs.dtypes) + ", soft_f1 double")

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Iterator
 from html.parser import HTMLParser
 
@@ -96,31 +97,42 @@ class _Reader(HTMLParser):
             self.text.append(data)
 
 
-def parse_blocks(html: str | None) -> list[tuple[str, str]]:
-    r = _Reader()
-    r.feed(html or "")
+def parse_blocks(html: str | None, timeout_s: float = 60.0) -> list[tuple[str, str]]:
+    """(text, zone) of the lines of a page; a page that takes longer than the limit raises ``TimeoutError``."""
+    r, began, html = _Reader(), time.monotonic(), html or ""
+    for at in range(0, len(html), 1 << 16):  # the clock is looked at between pieces
+        if time.monotonic() - began > timeout_s:
+            raise TimeoutError
+        r.feed(html[at : at + (1 << 16)])
     r.close()
     r.flush()
     return r.blocks
 
 
-def _by_parser(pages: DataFrame) -> DataFrame:
+def _by_parser(pages: DataFrame, timeout_s: float) -> DataFrame:
     kind = pa.list_(pa.struct([("text", pa.string()), ("zone", pa.string())]))
 
+    def one(html: str | None) -> list[dict] | None:
+        try:
+            return [{"text": t, "zone": z} for t, z in parse_blocks(html, timeout_s)]
+        except TimeoutError:
+            return None
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            blocks = [[{"text": t, "zone": z} for t, z in parse_blocks(h.as_py())] for h in b.column(2)]
+            blocks = [one(h.as_py()) for h in b.column(2)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(blocks, kind)], ["page_id", "url", "blocks"])
 
     return pages.select("page_id", "url", "html").mapInArrow(run, "page_id long, url string, blocks array<struct<text:string,zone:string>>")
 
 
-def render_pages(pages: DataFrame, mode: str = "native", with_blocks: bool = False) -> DataFrame:
+def render_pages(pages: DataFrame, mode: str = "native", with_blocks: bool = False, timeout_s: float = 60.0) -> DataFrame:
     """Rendered rows: lines with counts and, on request, the zones that only teachers may see.
 
-    ``native`` stays in the JVM; ``parser`` follows nesting. A null page renders to no lines.
+    ``native`` stays in the JVM; ``parser`` follows nesting. A null page renders to no
+    lines, one that takes the parser longer than the limit to null lines.
     """
-    rows = pages.select("page_id", "url", native_blocks(F.col("html")).alias("blocks")) if mode == "native" else _by_parser(pages)
+    rows = pages.select("page_id", "url", native_blocks(F.col("html")).alias("blocks")) if mode == "native" else _by_parser(pages, timeout_s)
     lines = F.transform("blocks", lambda b: b["text"])
     out = rows.select("page_id", "url", lines.alias("lines"), "blocks")
     text = F.array_join("lines", "\n")
@@ -132,7 +144,7 @@ def render_pages(pages: DataFrame, mode: str = "native", with_blocks: bool = Fal
 
 def admit(rendered: DataFrame, max_prompt: int = MAX_PROMPT, min_chars: int = MIN_CHARS) -> DataFrame:
     """Adds ``skip_reason``: null for pages that go on."""
-    why = F.when(F.col("n_lines") == 0, "empty").when(F.col("n_chars") < min_chars, "short").when(F.col("n_tokens") > max_prompt, "long")
+    why = F.when(F.col("lines").isNull(), "timeout").when(F.col("n_lines") == 0, "empty").when(F.col("n_chars") < min_chars, "short").when(F.col("n_tokens") > max_prompt, "long")
     return rendered.withColumn("skip_reason", why)
 
 

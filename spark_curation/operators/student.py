@@ -1,15 +1,18 @@
 """The student: verdicts and line removals from lines alone, trained on composed targets in two stages.
 
-A softmax over page features gives the verdict, a logistic over line features the
-removals; line features include the verdict's probabilities, so that weighing decisions
-five times shifts both. One summed loss is minimised; each step sums gradients of the
-partitions and moves weights of fixed size.
+A softmax over page features gives the verdict, two logistics over line features what
+extraction and what an edit removes; line features include the verdict's probabilities,
+so that weighing decisions five times shifts all. One summed loss is minimised; each
+step takes a batch of the rows by their hash, sums gradients of the partitions and moves
+weights of fixed size.
 """
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from itertools import islice
 from zlib import crc32
 
 import numpy as np
@@ -17,6 +20,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from spark_curation.io import cut
+from spark_curation.operators.render import MAX_ANSWER
+
 VERDICTS = ("keep", "delete", "edit", "rewrite")
 PAGE, LINE, HASH = 12, 14, 64
 _TOP = PAGE + 1
@@ -34,8 +40,8 @@ def line_features(lines: list[str]) -> np.ndarray:
             "©" in t or "·" in t, t in seen, sum(c.isdigit() for c in t) > 0.2 * len(t), t.isupper(),
         )
         seen.add(t)
-        for w in ws[:8]:
-            x[i, LINE + crc32(w.lower().encode()) % HASH] += 0.5
+        for w in ws:
+            x[i, LINE + crc32(w.lower().encode()) % HASH] += min(0.5, 4 / len(ws))
     return x
 
 
@@ -50,14 +56,15 @@ def page_features(lines: list[str]) -> np.ndarray:
 @dataclass
 class Weights:
     verdict: np.ndarray = field(default_factory=lambda: np.zeros((len(VERDICTS), PAGE)))
-    line: np.ndarray = field(default_factory=lambda: np.zeros(LINE + HASH + len(VERDICTS)))
+    #: One row for what extraction removes, one for what an edit removes.
+    line: np.ndarray = field(default_factory=lambda: np.zeros((2, LINE + HASH + len(VERDICTS))))
 
     def probabilities(self, lines: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         z = self.verdict @ page_features(lines)
         p = np.exp(z - z.max())
         p /= p.sum()
-        x = np.hstack([line_features(lines), np.tile(p, (len(lines), 1))]) if lines else np.zeros((0, len(self.line)))
-        return p, 1 / (1 + np.exp(-np.clip(x @ self.line, -30, 30))), x
+        x = np.hstack([line_features(lines), np.tile(p, (len(lines), 1))]) if lines else np.zeros((0, self.line.shape[1]))
+        return p, 1 / (1 + np.exp(-np.clip(x @ self.line.T, -30, 30))), x
 
 
 def _gradients(weights: Weights, decision: float):
@@ -67,13 +74,13 @@ def _gradients(weights: Weights, decision: float):
             for row in b.to_pylist():
                 p, q, x = weights.probabilities(row["lines"])
                 y = VERDICTS.index(row["verdict"])
-                t = np.array(row["gone"], float)
+                t = np.stack([np.array(row[k] or [], float) for k in ("strip", "drop")], 1)
                 gv += decision * np.outer(p - np.eye(len(VERDICTS))[y], page_features(row["lines"]))
                 m = max(1, len(t))
-                gl += ((q - t) @ x) / m
+                gl += ((q - t).T @ x) / m
                 loss += -decision * np.log(p[y] + 1e-12) - float(np.sum(t * np.log(q + 1e-12) + (1 - t) * np.log(1 - q + 1e-12))) / m
                 n += 1
-        flat = np.concatenate([gv.ravel(), gl, [loss, n]])
+        flat = np.concatenate([gv.ravel(), gl.ravel(), [loss, n]])
         yield pa.RecordBatch.from_arrays([pa.array(range(len(flat)), pa.int32()), pa.array(flat)], ["i", "g"])
 
     return run
@@ -81,37 +88,65 @@ def _gradients(weights: Weights, decision: float):
 
 def examples(programs: DataFrame) -> DataFrame:
     """Target programs with ``lines`` to training rows; what the teachers saw of the markup stays behind."""
-    gone = F.transform("lines", lambda x, i: F.exists(F.concat("strip", "drop"), lambda r: (i + 1).between(r["a"], r["b"])).cast("int"))
-    return programs.select("lines", "verdict", gone.alias("gone"))
+    flags = lambda c: F.transform("lines", lambda x, i: F.exists(c, lambda r: (i + 1).between(r["a"], r["b"])).cast("int"))
+    return programs.select("lines", "verdict", flags("strip").alias("strip"), flags("drop").alias("drop"))
+
 
+def fit(first: DataFrame, second: DataFrame | None = None, decision_weight: float = 5.0, epochs: int = 3, batches: int = 4, peak: float = 0.8, warmup: int = 3) -> tuple[Weights, list[float]]:
+    """Weights after stage 1 and, going on from them, stage 2; and the mean loss of every step.
 
-def fit(first: DataFrame, second: DataFrame | None = None, decision_weight: float = 5.0, steps: int = 30, peak: float = 0.8, warmup: int = 3) -> tuple[Weights, list[float]]:
-    """Weights after stage 1 and, going on from them, stage 2; and the mean loss of every step."""
+    An epoch goes through the rows once in ``batches`` steps, a row's batch being its hash.
+    """
     w, losses = Weights(), []
+    steps = epochs * batches
     for stage in (first, second):
         if stage is None:
             continue
+        stage = cut(stage)  # read by every step
         seen = np.zeros(w.verdict.size + w.line.size)
         for step in range(steps):
-            summed = stage.mapInArrow(_gradients(w, decision_weight), "i int, g double").groupBy("i").agg(F.sum("g").alias("g")).collect()
+            part = stage.where(F.pmod(F.xxhash64("lines", "verdict"), F.lit(batches)) == step % batches)
+            summed = part.mapInArrow(_gradients(w, decision_weight), "i int, g double").groupBy("i").agg(F.sum("g").alias("g")).collect()
             flat = np.zeros(len(seen) + 2)
             for r in summed:
                 flat[r["i"]] = r["g"]
-            n = max(1.0, flat[-1])
+            if not flat[-1]:
+                continue
+            n = flat[-1]
             losses.append(float(flat[-2] / n))
             g = flat[:-2] / n
             seen += g * g
             rate = peak * min(1.0, (step + 1) / warmup) * (0.5 + 0.5 * np.cos(np.pi * step / steps))
             move = rate * g / np.sqrt(seen + 1e-9) * 0.5
-            w = Weights(w.verdict - move[: w.verdict.size].reshape(w.verdict.shape), w.line - move[w.verdict.size :])
+            w = Weights(w.verdict - move[: w.verdict.size].reshape(w.verdict.shape), w.line - move[w.verdict.size :].reshape(w.line.shape))
     return w, losses
 
 
-def decode(rendered: DataFrame, weights: Weights, temperature: float = 0.0, seed: int = 0) -> DataFrame:
+def draw(p: np.ndarray, u: float, temperature: float, top_p: float) -> int:
+    """The choice that the number ``u`` in [0, 1) draws from the likeliest choices that make up ``top_p`` together; the likeliest at temperature 0."""
+    if temperature <= 0:
+        return int(p.argmax())
+    p = p ** (1 / temperature)
+    p = p / p.sum()
+    order = np.argsort(-p, kind="stable")
+    few = order[: 1 + int(np.searchsorted(np.cumsum(p[order]), top_p - 1e-12))]
+    kept = np.zeros_like(p)
+    kept[few] = p[few]
+    return int(np.searchsorted(np.cumsum(kept / kept.sum()), u, "right").clip(0, len(p) - 1))
+
+
+def shortened(text: str, most: int) -> str:
+    """The text up to the end of its ``most``-th word."""
+    last = next(islice(re.finditer(r"\S+", text), most - 1, None), None)
+    return text if last is None else text[: last.end()]
+
+
+def decode(rendered: DataFrame, weights: Weights, temperature: float = 0.0, top_p: float = 1.0, seed: int = 0, most: int = MAX_ANSWER) -> DataFrame:
     """``(page_id, output)``: one program for each page, in the decision-first layout.
 
     Temperature 0 takes the likeliest verdict; above it the verdict is drawn by a hash
-    of page and seed, so that runs agree.
+    of page and seed, so that runs agree. An edit without a line to remove is a keep.
+    Output ends after ``most`` words, as a model's does, in the middle of what it writes.
     """
 
     def ranges(flags: list[bool]) -> list[str]:
@@ -130,14 +165,14 @@ def decode(rendered: DataFrame, weights: Weights, temperature: float = 0.0, seed
             outs = []
             for page, lines in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 p, q, _ = weights.probabilities(lines or [])
-                if temperature > 0:
-                    p = p ** (1 / temperature)
-                    u = crc32(f"{seed}|{page}".encode()) / 2**32
-                    v = VERDICTS[int(np.searchsorted(np.cumsum(p / p.sum()), u, "right").clip(0, 3))]
-                else:
-                    v = VERDICTS[int(p.argmax())]
-                tail = ["\n".join(lines or [])] if v == "rewrite" else []
-                outs.append("\n".join([f"<{v}>", "<extract>", *ranges((q > 0.5).tolist()), f"<{v}>", *tail]))
+                v = VERDICTS[draw(p, crc32(f"{seed}|{page}".encode()) / 2**32, temperature, top_p)]
+                strip = q[:, 0] > 0.5
+                drop = ranges(((q[:, 1] > 0.5) & ~strip).tolist()) if v == "edit" else []
+                if v == "edit" and not drop:
+                    v = "keep"
+                left = [x for x, s in zip(lines or [], strip.tolist(), strict=True) if not s]
+                tail = ["\n".join(left)] if v == "rewrite" else drop
+                outs.append(shortened("\n".join([f"<{v}>", "<extract>", *ranges(strip.tolist()), f"<{v}>", *tail]), most))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(outs, pa.string())], ["page_id", "output"])
 
     return rendered.select("page_id", "lines").mapInArrow(run, "page_id long, output string")

@@ -6,11 +6,13 @@ import math
 import duckdb
 import pytest
 
-from spark_curation import oracles, workloads
+from spark_curation import comparison, comparison_sql, oracles, surfaces, surfaces_sql, workloads
 from spark_curation.io import TABLES
 from tests.conftest import DATA
 
-CHECKED = sorted(set(workloads.QUERIES) & set(oracles.SQL))
+SQL = oracles.SQL | comparison_sql.SQL | surfaces_sql.SQL
+CHECKED = sorted(set(workloads.QUERIES) & set(SQL))
+assert comparison and surfaces  # they register queries
 
 
 @pytest.fixture(scope="module")
@@ -34,7 +36,7 @@ def test_query_equals_sql(spark, duck, name):
     df = workloads.QUERIES[name](spark, DATA)
     cols = sorted(df.columns)
     got = sorted([plain(r[c]) for c in cols] for r in df.collect())
-    rel = duck.sql(oracles.SQL[name])
+    rel = duck.sql(SQL[name])
     names = rel.columns
     assert sorted(names) == cols
     assert got == sorted([plain(r[names.index(c)]) for c in cols] for r in rel.fetchall())
