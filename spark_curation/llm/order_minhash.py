@@ -18,8 +18,8 @@ from pyspark.sql import functions as F
 
 #: Words in a k-mer, elements in a tuple, bits of the bin number (64 bins).
 K, TUPLE, BIN_BITS = 3, 2, 6
-#: Bits of a position (33 million words in a text) and of a rank within a bin.
-POS, RANK = 25, 32
+#: Bits of a position (more words than a string can have) and of a rank within a bin.
+POS, RANK = 31, 26
 #: Scripts written without spaces; each of their characters is a word.
 UNSPACED = "[\\u3040-\\u30ff\\u3400-\\u9fff\\uac00-\\ud7af]"
 
@@ -155,7 +155,7 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     without words has the empty fingerprint and is wholly like another such text.
     Repeated rows and null ids stay; an empty table gives none.
     """
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
+    rows = docs.select(F.col(f"`{id_col}`").cast("long").alias("doc_id"), F.coalesce(F.col(f"`{text_col}`").cast("string"), F.lit("")).alias("text"))
     led = with_next(add_signature(rows, "text", "sig"), ["text", "sig"])
     n = F.length("text")
     half = F.floor(n / 2).cast("int")
