@@ -50,8 +50,7 @@ def ngrams(ws: Column, n: int) -> Column:
 
 def repeats(ws: Column) -> Column:
     """How many words equal the word before them."""
-    pairs = F.zip_with(ws, F.slice(ws, 2, F.greatest(F.size(ws), F.lit(1))), lambda a, b: F.when(a == b, 1).otherwise(0))
-    return F.aggregate(pairs, F.lit(0), lambda s, x: s + x).cast("long")
+    return let(ws, lambda w: F.size(F.filter(w, lambda x, i: (i > 0) & (x == F.get(w, i - 1)))).cast("long"))
 
 
 def portable_share(*parts: Column) -> Column:

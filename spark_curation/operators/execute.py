@@ -54,8 +54,8 @@ def run(df: DataFrame, disable: tuple[str, ...] = (), cut_policy: str = "first")
         .when(v == "rewrite", "rewritten").when(is_edit, "refined").otherwise("extracted")
     )
     raw, kept = F.array_join("lines", "\n"), joined(F.col("__kept"))
-    stats = {"provenance": tag, "lines_in": F.size("lines"), "lines_kept": F.size("__kept"), "words_in": count_words(raw), "words_stripped": count_words(raw) - count_words(kept), "words_out": count_words(F.col("text"))}
-    return fence(df.withColumns(stats).drop("__kept", "__edited"))
+    stats = {"provenance": tag, "lines_in": F.size("lines"), "lines_kept": F.size("__kept"), "words_in": count_words(raw), "__left": count_words(kept), "words_out": count_words(F.col("text"))}
+    return fence(df.withColumns(stats).withColumn("words_stripped", F.col("words_in") - F.col("__left")).drop("__kept", "__edited", "__left"))
 
 
 def run_relational(df: DataFrame) -> DataFrame:

@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spark_curation.functions.text import safe_ratio
-from spark_curation.operators.teachers import junk_shares
+from spark_curation.operators.teachers import with_junk
 
 #: Characters a judge sees, and the keys of its replies.
 INPUT = 24_000
@@ -26,16 +26,18 @@ def seen(text: Column) -> Column:
 
 def quality_score(text: Column) -> Column:
     """1 to 5 by how much of a text is junk."""
-    m = junk_shares(seen(text))
-    junk = F.least(F.lit(1.0), m["symbols"] + m["shouts"] + m["runs"] + F.when(m["pipes"] >= 3, 0.5).otherwise(0.0))
-    return F.round(1 + 4 * (1 - junk)).cast("int")
+    junk = lambda m: F.least(F.lit(1.0), m["symbols"] + m["shouts"] + m["runs"] + F.when(m["pipes"] >= 3, 0.5).otherwise(0.0))
+    return with_junk(seen(text), lambda m: F.round(1 + 4 * (1 - junk(m))).cast("int"))
 
 
 def output_rating(text: Column) -> Column:
     """0 to 3 for a kept text: no junk family, some length, sentences that end."""
-    m = junk_shares(seen(text))
-    clean = F.when((m["symbols"] <= 0.1) & (m["shouts"] <= 0.1) & (m["runs"] <= 0.1), 1).otherwise(0)
-    return clean + F.when(m["n_words"] >= 50, 1).otherwise(0) + F.when((m["ends"] * 40 >= m["n_words"]) & (m["ends"] > 0), 1).otherwise(0)
+
+    def grade(m: dict[str, Column]) -> Column:
+        clean = F.when((m["symbols"] <= 0.1) & (m["shouts"] <= 0.1) & (m["runs"] <= 0.1), 1).otherwise(0)
+        return clean + F.when(m["n_words"] >= 50, 1).otherwise(0) + F.when((m["ends"] * 40 >= m["n_words"]) & (m["ends"] > 0), 1).otherwise(0)
+
+    return with_junk(seen(text), grade)
 
 
 def extraction(found: DataFrame, gold: DataFrame, key: str = "page_id") -> DataFrame:

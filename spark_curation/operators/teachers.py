@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from spark_curation.io import fence
-from spark_curation.functions.text import count, count_words, repeats, safe_ratio, words
+from spark_curation.functions.text import count, count_words, let, repeats, safe_ratio, words
 
 #: The marker of the refining reply, the characters it is looked for in, rewriting chunk and acceptance.
 DELETE_MARKER, HEAD, CHUNK, LO, HI = "[[DELETE]]", 120, 7000, 0.2, 3.0
@@ -30,37 +30,32 @@ def extract(rendered: DataFrame) -> DataFrame:
     return rendered.withColumn("strip", to_ranges(F.transform("blocks", lambda b: b["zone"] != "")))
 
 
-def junk_shares(text: Column) -> dict[str, Column]:
-    """The measures of the valueless families for a text."""
-    n = count_words(text)
+def with_junk(text: Column, body) -> Column:
+    """``body`` of the measures of the valueless families, each worked out once: words, shares of symbol endings, shouts and runs, pipes, ends."""
     padded = F.concat(F.coalesce(text, F.lit("")), F.lit(" "))
-    return {
-        "n_words": n,
-        "symbols": safe_ratio(count(padded, SYMBOLED), n),
-        "shouts": safe_ratio(count(padded, SHOUTED), n),
-        "runs": safe_ratio(repeats(words(text)), n),
-        "pipes": count(text, r"\|"),
-        "ends": count(text, r"[.!?]"),
-    }
+    raw = F.struct(count_words(text).alias("n"), count(padded, SYMBOLED).alias("s"), count(padded, SHOUTED).alias("h"), repeats(words(text)).alias("r"), count(text, r"\|").alias("p"), count(text, r"[.!?]").alias("e"))
+    return let(raw, lambda m: body({"n_words": m["n"], "symbols": safe_ratio(m["s"], m["n"]), "shouts": safe_ratio(m["h"], m["n"]), "runs": safe_ratio(m["r"], m["n"]), "pipes": m["p"], "ends": m["e"]}))
 
 
 def valueless(text: Column) -> Column:
     """The family of a text without value, else null."""
-    m = junk_shares(text)
-    return (
-        F.when((m["symbols"] > 0.3) | (m["shouts"] > 0.3), "gibberish").when(m["runs"] > 0.3, "spam").when(m["pipes"] >= 3, "listing")
-        .when((m["ends"] == 0) & (m["n_words"] < 10), "ui_only")
-    )
+
+    def family(m: dict[str, Column]) -> Column:
+        return (
+            F.when((m["symbols"] > 0.3) | (m["shouts"] > 0.3), "gibberish").when(m["runs"] > 0.3, "spam").when(m["pipes"] >= 3, "listing")
+            .when((m["ends"] == 0) & (m["n_words"] < 10), "ui_only")
+        )
+
+    return with_junk(text, family)
 
 
 def edu_score(text: Column) -> Column:
     """0 to 5: five times the root of the share of distinct words, the share of words with a letter and of punctuated lines."""
-    ws = words(text)
-    n = F.size(ws)
-    alpha = count(text, r"\S*[A-Za-zÀ-ÿ]\S*")
     lines = F.filter(F.split(F.coalesce(text, F.lit("")), "\n"), lambda x: x != "")
-    ended = F.size(F.filter(lines, lambda x: x.rlike(r"[.!?][\"')\]]*$")))
-    return F.round(5 * F.sqrt(safe_ratio(F.size(F.array_distinct(ws)), n)) * safe_ratio(alpha, n) * safe_ratio(ended, F.size(lines)), 4)
+    raw = F.struct(words(text).alias("w"), count(text, r"\S*[A-Za-zÀ-ÿ]\S*").alias("alpha"), F.transform(lines, lambda x: x.rlike(r"[.!?][\"')\]]*$")).alias("ended"))
+    distinct = lambda m: safe_ratio(F.size(F.array_distinct(m["w"])), F.size(m["w"]))
+    ended = lambda m: safe_ratio(F.size(F.filter(m["ended"], lambda x: x)), F.size(m["ended"]))
+    return let(raw, lambda m: F.round(5 * F.sqrt(distinct(m)) * safe_ratio(m["alpha"], F.size(m["w"])) * ended(m), 4))
 
 
 def noisy_lines(lines: Column) -> Column:
@@ -144,5 +139,5 @@ def head_tail(text: Column, budget: int = 4096) -> Column:
 
 def accept_rewrite(source: Column, out: Column, lo: float = LO, hi: float = HI) -> Column:
     """A rewrite stands if it is not empty, opens without a lead-in and has 0.2 to 3 times the words."""
-    ratio = safe_ratio(count_words(out), count_words(source))
-    return (F.trim(F.coalesce(out, F.lit(""))) != "") & ~out.rlike(ARTIFACTS) & ratio.between(lo, hi)
+    fits = let(F.struct(count_words(out).alias("n"), count_words(source).alias("of")), lambda c: safe_ratio(c["n"], c["of"]).between(lo, hi))
+    return (F.trim(F.coalesce(out, F.lit(""))) != "") & ~out.rlike(ARTIFACTS) & fits
