@@ -52,7 +52,7 @@ def test_welch(spark):
 
 def test_student_learns_from_lines(spark):
     p = pipelines.programs(table(spark, "/root/testdata/sf0.001", "pages"))
-    w, losses = student.fit(student.examples(p), steps=15)
+    w, losses = student.fit(student.examples(p), epochs=15, batches=1)
     assert losses[-1] < 0.6 * losses[0]
     from spark_curation.operators import program
 
