@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from xxhash import xxh64_digest
 
-from spark_curation.io import cut
+from spark_curation.io import cut, shuffled
 from spark_curation.llm.graph import components, join_small
 
 BITS, SEED = 64, 42
@@ -90,7 +90,7 @@ def links(fps: DataFrame, distance: int = 4) -> DataFrame:
         slot = F.when(part == 0, F.lit(off)).otherwise(F.lit(off) + F.bit_count(part - 1))
         first = F.when(F.bit_count(part) <= 1, slot).otherwise(first)
     near = (F.bit_count(x) <= distance) & (F.shiftrightunsigned(F.col("key"), 48).cast("int") == first)
-    return a.join(b, (F.col("at") == F.col("key")) & (F.col("u") > F.col("v")) & near).select("u", "v")
+    return a.join(shuffled(b), (F.col("at") == F.col("key")) & (F.col("u") > F.col("v")) & near).select("u", "v")
 
 
 def near_duplicates(docs: DataFrame, distance: int = 4, width: int = 4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -119,10 +119,10 @@ def _grouped(docs: DataFrame, distance: int, width: int, id_col: str, text_col:
     nodes = fps.groupBy("fp").agg(F.coalesce(F.min("doc_id"), F.lit(_NONE)).alias("least"), F.count("*").alias("n"))
     near = links(nodes.select("fp"), distance)
     name = lambda side: nodes.select(F.col("fp").alias(side), F.struct("least", "fp").alias(f"{side}_node"))
-    edges = near.join(name("u"), "u").join(name("v"), "v").select(F.col("u_node").alias("u"), F.col("v_node").alias("v"))
+    edges = near.join(shuffled(name("u")), "u").join(shuffled(name("v")), "v").select(F.col("u_node").alias("u"), F.col("v_node").alias("v"))
     comp = components(edges).select(F.col("node.fp").alias("linked"), F.col("component").alias("root"))
     root = F.coalesce("root", F.struct("least", "fp"))
-    named = nodes.join(comp, nodes["fp"] == comp["linked"], "left").select("fp", "n", root.alias("root"))
+    named = nodes.join(shuffled(comp), nodes["fp"] == comp["linked"], "left").select("fp", "n", root.alias("root"))
     by_fp = named.select("fp", "n", F.col("root.fp").alias("part"), F.nullif(F.col("root.least"), F.lit(_NONE)).alias("component_id"))
     return join_small(fps, by_fp, "fp").select("doc_id", "fp", "part", "component_id")
 
