@@ -150,9 +150,9 @@ def keep_one(docs: DataFrame, distance: int = 4, width: int = 4, id_col: str = "
     stays, print_, of = _unused(docs, "stays", "print", "of_print")
     key = F.col(f"`{id_col}`").cast("long")
     if found.groupBy("doc_id").agg(F.count("*").alias("n")).where("n > 1 or doc_id is null").isEmpty():
-        return docs.join(stay.select(F.col("doc_id").alias(stays)), key == F.col(stays), "left_semi")
+        return docs.join(shuffled(stay.select(F.col("doc_id").alias(stays))), key == F.col(stays), "left_semi")
     named = stay.where("doc_id is not null").groupBy("part", "doc_id").agg(F.min("fp").alias(of)).select(F.col("doc_id").alias(stays), of)
     free = stay.where("doc_id is null").select(F.col("fp").alias(of)).distinct()
     rows = docs.withColumn(print_, F.udf(lambda t: fingerprint(t, width), "long")(F.col(f"`{text_col}`").cast("string")))
-    one = rows.where(key.isNotNull()).join(named, (key == F.col(stays)) & (F.col(print_) == F.col(of)), "left_semi").dropDuplicates([id_col, print_])
-    return one.unionByName(rows.where(key.isNull()).join(free, F.col(print_) == F.col(of), "left_semi")).drop(print_)
+    one = rows.where(key.isNotNull()).join(shuffled(named), (key == F.col(stays)) & (F.col(print_) == F.col(of)), "left_semi").dropDuplicates([id_col, print_])
+    return one.unionByName(rows.where(key.isNull()).join(shuffled(free), F.col(print_) == F.col(of), "left_semi")).drop(print_)

@@ -19,3 +19,11 @@ def test_links_and_groups_are_joined_without_broadcast(spark):
         assert "Broadcast" not in plan(step(edges))
     named = fps.select("fp", F.lit(1).alias("n"))
     assert "SortMergeJoin" in plan(graph.join_small(fps, named, "fp"))
+
+
+def test_one_of_each_is_kept_without_broadcast(spark):
+    docs = spark.range(9).select(F.col("id").alias("doc_id"), F.concat(F.lit("text of words "), F.col("id") % 3).alias("text"))
+    kept = simhash.keep_one(docs)
+    rows = [r["doc_id"] for r in kept.collect()]
+    assert len(rows) >= 1 and 0 in rows
+    assert "SortMergeJoin" in plan(kept) and "Broadcast" not in plan(kept)
