@@ -7,6 +7,7 @@ from tests.conftest import DATA
 
 assert surfaces  # it registers queries
 READS = {
+    "cost_break_even": "orders",
     "centered_accuracy": "documents",
 }
 
