@@ -7,6 +7,7 @@ from tests.conftest import DATA
 
 assert surfaces  # it registers queries
 READS = {
+    "csv_published": "customer",
     "cost_ledger": "orders",
     "cost_break_even": "orders",
     "centered_accuracy": "documents",
