@@ -7,6 +7,7 @@ from tests.conftest import DATA
 
 assert surfaces  # it registers queries
 READS = {
+    "fused_cells": "part",
     "flawed_execution": "pages",
     "csv_published": "customer",
     "cost_ledger": "orders",
