@@ -7,6 +7,7 @@ from tests.conftest import DATA
 
 assert surfaces  # it registers queries
 READS = {
+    "scale_ranks": "documents",
     "repetition_factor": "documents",
     "relative_gain": "documents",
     "program_problems": "pages",
