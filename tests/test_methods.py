@@ -2,6 +2,8 @@
 
 import gzip
 import random
+from pathlib import Path
+from urllib.parse import urlparse
 
 import numpy as np
 import pytest
@@ -9,7 +11,7 @@ from pyspark.sql import functions as F
 
 from spark_curation import comparison, comparison_sql, surfaces, surfaces_sql, workloads
 from spark_curation.functions import tokens
-from spark_curation.io import cut, remove, table, written
+from spark_curation.io import checkpoint_dir, cut, remove, table, written
 from spark_curation.operators import align, dedup, execute, metrics, program, proxy, render, rulebook, runlog, scrapers, student, targets
 from spark_curation.plans import pipelines
 from spark_curation.sources import archive
@@ -73,6 +75,38 @@ def test_owners_that_stay(spark):
     assert fell <= {x.id for x in dedup.ngram(df).collect()}
 
 
+def test_survivors_move_what_ids_share(spark):
+    """Rounds read what ids share, not every gram; ids may be repeated, null and out of order, and a gram common to all."""
+    r = random.Random(4)
+    text = lambda n: [f"w{r.randrange(9_000)}" for _ in range(n)]
+    common, rows = text(20), []
+    for i in r.sample(range(-200, 70_000), 240):
+        t = common + text(380)
+        rows.append((i, " ".join(t)))
+        if not len(rows) % 6:
+            near = list(t)
+            near[200] = "changed"
+            rows += [(i + 100_000, " ".join(t)), (i + 9, " ".join(near + near[:60])), (i + 11, " ".join(near[90:]))]
+    rows += [(rows[0][0], rows[7][1]), (None, rows[3][1]), (200_001, None), (200_002, " ".join(text(12))), (200_003, "a b " * 300), (200_004, "a b " * 9)]
+    grams: dict[int, list] = {}
+    for i, t in rows:
+        ws = (t or "").split()
+        grams.setdefault(i, []).extend(tuple(ws[k : k + 13]) for k in range(len(ws) - 12))
+    owned, fell = set(), set()
+    for i in sorted(i for i in grams if i is not None):
+        if grams[i] and sum(g in owned for g in grams[i]) >= 0.8 * len(grams[i]):
+            fell.add(i)
+        else:
+            owned |= set(grams[i])
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    held = lambda: sum(f.stat().st_size for f in Path(urlparse(checkpoint_dir(spark)).path).rglob("*") if f.is_file())
+    before = held()
+    assert {x.id for x in dedup.survivors_only(df).collect()} == fell and len(fell) > 60
+    assert held() - before < sum(len(t or "") for _, t in rows) / 4
+    assert dedup.shared_grams(df).count() < 0.1 * sum(map(len, grams.values()))
+    assert dedup.survivors_only(df.limit(0)).count() == 0
+
+
 def test_main_subtree():
     page = '<body><div id=side><p>Side words that are many and go on for long, longer than all else here, on and on.</p></div>{}</body>'
     assert scrapers.main_subtree(page.format("<article><h1>Head</h1><p>Body text.</p></article>")) == "Head\nBody text."
