@@ -14,7 +14,8 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from spark_curation.functions.text import ngrams, portable_share, words
+from spark_curation.functions.text import let, ngrams, portable_share, words
+from spark_curation.io import stored
 
 SMOOTH, VOCABULARY = 0.1, 100_000
 #: Kinds of tasks by category, for category means.
@@ -44,6 +45,7 @@ def _offer(rows: DataFrame, choices: int, buckets: int) -> DataFrame:
     rows = rows.withColumn("b", bucket)
     w = Window.partitionBy("task", "b")
     ranked = rows.withColumns({"r": F.row_number().over(w.orderBy("id", "last", "tail")) - 1, "n": F.count("*").over(w)})
+    ranked = stored(ranked)  # read three times, and its words are costly
     key = lambda r: F.concat_ws("|", F.col("b").cast("string"), F.col(r).cast("string"))
     asked = ranked.select("task", "b", "id", "last", F.explode(F.sequence(F.lit(0), F.lit(choices - 1))).alias("choice"), "r", "n").withColumn("from", F.pmod(F.col("r") + F.col("choice"), F.col("n")))
     got = asked.join(ranked.select("task", "b", F.col("r").alias("from"), F.col("tail")[0].alias("next")), ["task", "b", "from"])
@@ -91,6 +93,7 @@ def ranking_tasks(docs: DataFrame, labels: DataFrame, buckets: int = 4) -> DataF
     w = Window.partitionBy("lang", "b", "quality")
     ranked = rows.withColumns({"r": F.row_number().over(w.orderBy("doc_id", "ws")) - 1, "n": F.count("*").over(w)})
     ranked = ranked.withColumn("key", F.concat_ws("|", "lang", F.col("b").cast("string"), F.col("quality").cast("string"), F.col("r").cast("string")))
+    ranked = stored(ranked)  # read four times
     good = ranked.where("quality = 1").select("lang", "b", F.col("r").alias("of"), F.col("key").alias("good"), F.col("n").alias("n_good"))
     n = good.groupBy("lang", "b").agg(F.max("n_good").alias("n_good"))
     bad = ranked.where("quality = 0").join(n, ["lang", "b"]).select("lang", "b", "doc_id", F.col("key").alias("bad"), F.pmod("r", F.col("n_good")).alias("of"))
@@ -130,12 +133,57 @@ def evaluate(model: DataFrame, tasks: DataFrame, by: Sequence[str] = (), groups:
     Questions move once for all groups: a pair has a column for each group, and a pair that
     a corpus lacks has one fixed likelihood, so only what known pairs differ from it is summed.
     """
-    named = sorted((tuple(r) for r in (groups if groups is not None else model.select(*by).distinct()).collect()), key=repr) if by else [()]
+    named = _named(groups if groups is not None else model, by)
+    over = _over(F.col("c2"), F.col("c1"))
+    wide = model.withColumn("over", over).groupBy("w1", "w2").agg(*[F.sum(F.when(_is_one(by, vs), F.col("over"))).alias(f"o{i}") for i, vs in enumerate(named)])
+    return _answered(wide, tasks, by, named)
+
+
+def compare(corpus: DataFrame, tasks: DataFrame, by: Sequence[str], weight: Column | float = 1.0, text_col: str = "text") -> DataFrame:
+    """``evaluate`` of ``train`` for many corpora that have most of their texts in common.
+
+    A text is cut into words once for all corpora, with a column for each that says how often it is
+    read there; so is a pair, and only pairs that some question has go on.
+    """
+    named = _named(corpus, by)
+    if not named:
+        return evaluate(train(corpus, tasks, by, weight, text_col), tasks, by)
+    at = range(len(named))
+    weight = F.lit(float(weight)) if isinstance(weight, (int, float)) else weight
+    parts = int(corpus.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = corpus.select(F.lower(F.col(text_col)).alias("text"), *[F.when(_is_one(by, vs), weight).alias(f"t{i}") for i, vs in enumerate(named)])
+    texts = rows.repartition(parts, "text").groupBy("text").agg(*[F.sum(f"t{i}").alias(f"t{i}") for i in at])
+    none = F.array().cast("array<struct<w1:string,w2:string>>")
+    two = let(words(F.col("text")), lambda w: F.when(F.size(w) >= 2, F.transform(F.sequence(F.lit(1), F.size(w) - 1), lambda i: F.struct(F.get(w, i - 1).alias("w1"), F.get(w, i).alias("w2")))).otherwise(none))
+    pairs = texts.select(*[f"t{i}" for i in at], F.inline(two)).where("w1 is not null and w2 is not null")
+    c2 = pairs.groupBy("w1", "w2").agg(*[F.sum(f"t{i}").alias(f"t{i}") for i in at])
+    c1 = c2.groupBy("w1").agg(*[F.sum(f"t{i}").alias(f"f{i}") for i in at])
+    asked = tasks.where("w1 is not null and w2 is not null").select("w1", "w2").distinct()
+    wide = c2.join(asked, ["w1", "w2"], "left_semi").join(c1, "w1").select("w1", "w2", *[_over(F.col(f"t{i}"), F.col(f"f{i}")).alias(f"o{i}") for i in at])
+    return _answered(wide, tasks, by, named)
+
+
+def _named(groups: DataFrame, by: Sequence[str]) -> list[tuple]:
+    return sorted((tuple(r) for r in groups.select(*by).distinct().collect()), key=repr) if by else [()]
+
+
+def _is_one(by: Sequence[str], vs: tuple) -> Column:
+    return reduce(lambda a, b: a & b, [F.col(c).eqNullSafe(F.lit(v)) for c, v in zip(by, vs, strict=True)], F.lit(True))
+
+
+def _unknown() -> Column:
+    return F.log(F.lit(SMOOTH) / F.lit(SMOOTH * VOCABULARY))
+
+
+def _over(c2: Column, c1: Column) -> Column:
+    """By how much the log likelihood of a known pair is over that of an unknown one."""
+    return F.log((c2 + SMOOTH) / (c1 + SMOOTH * VOCABULARY)) - _unknown()
+
+
+def _answered(wide: DataFrame, tasks: DataFrame, by: Sequence[str], named: list[tuple]) -> DataFrame:
+    """``evaluate`` for pairs ``(w1, w2, o0, o1...)``, a column for each group."""
     at = range(len(named))
-    unknown = F.log(F.lit(SMOOTH) / F.lit(SMOOTH * VOCABULARY))
-    over = F.log((F.col("c2") + SMOOTH) / (F.col("c1") + SMOOTH * VOCABULARY)) - unknown
-    is_one = lambda vs: reduce(lambda a, b: a & b, [F.col(c).eqNullSafe(F.lit(v)) for c, v in zip(by, vs, strict=True)], F.lit(True))
-    wide = model.withColumn("over", over).groupBy("w1", "w2").agg(*[F.sum(F.when(is_one(vs), F.col("over"))).alias(f"o{i}") for i, vs in enumerate(named)])
+    unknown = _unknown()
     got = tasks.join(wide, ["w1", "w2"], "left")
     sums = got.groupBy("task", "key", "asks", "id", "choice").agg(F.count("w1").alias("n"), F.count("*").alias("times"), *[F.coalesce(F.sum(f"o{i}"), F.lit(0.0)).alias(f"o{i}") for i in at])
     w = Window.partitionBy("task", "key")
