@@ -193,22 +193,43 @@ def _members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield rows()
 
 
-def shared_grams(docs: DataFrame, n: int = N, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def shared_grams(docs: DataFrame, n: int = N, id_col: str = "doc_id", text_col: str = "text", by: tuple[str, ...] = ()) -> DataFrame:
     """``(h, id, c)``: what ids share, from all grams: ``c`` places of ``id`` have grams that exactly the ids under ``h`` have.
 
     Grams that one id alone has are left out, and grams with the same ids are one ``h``, so
     this is small beside the text. Each gram moves once, as seven bytes of its hash under
     the bits that deal it out, and a step from the id before. All of a gram's ids meet in
     one task, some tens of bytes for each. Ids are whole numbers; rows with a null id are left out.
+    Rows of different values of ``by`` share nothing; their ids must differ.
     """
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     bits = max(8, (8 * parts - 1).bit_length())
-    rows = docs.where(F.col(f"`{id_col}`").isNotNull()).select(F.col(f"`{id_col}`").cast("long").alias("id"), F.transform(words(F.col(f"`{text_col}`")), lambda w: F.xxhash64(w)).alias("ws"))
+    rows = docs.where(F.col(f"`{id_col}`").isNotNull()).select(F.col(f"`{id_col}`").cast("long").alias("id"), F.transform(words(F.col(f"`{text_col}`")), lambda w: F.xxhash64(w, *by)).alias("ws"))
     blobs = rows.mapInArrow(_blobs(n, bits), "bucket long, id long, rest binary, steps binary")
     lists = blobs.repartitionById(parts, F.shiftright(F.col("bucket") * parts, bits).cast("int")).sortWithinPartitions("bucket").mapInArrow(_shared, "key long, ids array<long>, counts array<long>")
     return lists.repartition(parts, "key").mapInArrow(_members, "h long, id long, c long")
 
 
+def fallen(docs: DataFrame, groups: list[str], by: str, n: int = N, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``(by, id)`` of what ``ngram`` drops within each of ``groups``, the values of ``by``: each gram moves once, see ``shared_grams``.
+
+    An id goes with its group as one number; where ids leave no room for that, ``ngram`` itself is run.
+    """
+    k = len(groups)
+    ends = docs.agg(F.min(id_col), F.max(id_col)).first()
+    if any(x is not None and abs(x) >= (1 << 62) // k for x in ends):
+        return ngram(docs, n, threshold, id_col=id_col, text_col=text_col, by=(by,)).select(by, "id")
+    at = F.element_at(F.create_map(*[F.lit(x) for i, g in enumerate(groups) for x in (g, i)]), F.col(by))
+    rows = docs.select((F.col(id_col).cast("long") * k + at).alias("id"), F.col(text_col).alias("text"), at.alias("g")).where("id is not null")
+    own = written(shared_grams(rows, n, "id", "text", ("g",)), "shared")[0]
+    first = own.groupBy("h").agg(F.min("id").alias("owner"))
+    owned = own.join(shuffled(first), "h").where("owner < id").groupBy("id").agg(F.sum("c").alias("owned"))
+    size = rows.select("id", F.greatest(count_words(F.col("text")) - (n - 1), F.lit(0)).alias("n")).groupBy("id").agg(F.sum("n").alias("n"))
+    fell = owned.join(shuffled(size), "id").where(F.col("owned") / F.col("n") >= threshold)
+    of = F.element_at(F.array(*map(F.lit, groups)), (F.pmod("id", F.lit(k)) + 1).cast("int"))
+    return fell.select(of.alias(by), F.expr(f"(id - pmod(id, {k})) div {k}").alias("id"))
+
+
 def survivors_only(docs: DataFrame, n: int = N, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text", most: int = 50) -> DataFrame:
     """``(id)`` of documents that fall when only documents that stay own grams, as if ids came one by one.
 

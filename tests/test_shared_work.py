@@ -4,7 +4,7 @@ from pyspark.sql import functions as F
 
 from spark_curation import comparison
 from spark_curation.io import cut, table
-from spark_curation.operators import execute, proxy
+from spark_curation.operators import dedup, execute, proxy
 from spark_curation.plans import pipelines
 from tests.conftest import DATA
 
@@ -30,6 +30,17 @@ def test_a_text_of_many_corpora_is_cut_into_words_once(spark):
     assert 0 < rows_of(got._jdf.queryExecution().executedPlan(), "Generate") <= 2 * 40 * 19 + 6
 
 
+def test_grams_of_groups_move_once_and_fall_as_before(spark):
+    docs = table(spark, DATA, "documents").select(F.expr("case when doc_id % 23 = 0 then null when doc_id % 5 = 0 then doc_id div 2 else doc_id - 30 end").alias("doc_id"), "text")
+    x = cut(docs.select(F.lit("a").alias("g"), "*").union(docs.where("doc_id % 3 > 0").select(F.lit("b"), "*")).union(docs.where("doc_id < 0").select(F.lit("b"), "*")))
+    want = sorted((r.g, r.id) for r in dedup.ngram(x, by=("g",)).collect())
+    assert want and sorted(map(tuple, dedup.fallen(x, ["a", "b"], "g").collect())) == want
+    far = x.withColumn("doc_id", F.col("doc_id") + (1 << 62))
+    assert sorted(map(tuple, dedup.fallen(far, ["a", "b"], "g").collect())) == [(g, i + (1 << 62)) for g, i in want]
+    none = x.where("false")
+    assert dedup.fallen(none, ["a", "b"], "g").collect() == []
+
+
 def test_rescue_rules_share_their_work(spark):
     got = comparison.selection(spark, DATA).where("share = 1.0")
     plan = got._jdf.queryExecution().executedPlan().toString()
